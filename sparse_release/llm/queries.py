@@ -7,12 +7,18 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, quality_rules, secret_scan, source_mixing, url_rules
+from . import license_scan, packing, quality_rules, secret_scan, source_mixing, substring_dedup, url_rules
 from .common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    done = substring_dedup.dedup_substrings(documents(spark, sf_dir))
+    lost = F.aggregate("removed", F.lit(0).cast("long"), lambda a, r: a + r["end"] - r["start"])
+    return done.select("doc_id", "n_words", lost.alias("n_removed"), F.sha2("kept_text", 256).alias("kept_sha256"))
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows, col = quality_rules.ledger(documents(spark, sf_dir).select("doc_id", "text"))
     led = F.col(col)
@@ -41,6 +47,17 @@ def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.selectExpr("doc_id", *counts, f"sha2({secret_scan.spelled(base)}, 256) AS base_sha256", f"{secret_scan.spelled(f'`{col}`.spans')} AS spans")
 
 
+def vocabulary(name: str = "word_bpe_49k.json") -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces = packing.pack_documents(documents(spark, sf_dir), vocabulary())
+    return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "tier", "step")
+
+
 def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mix = source_mixing.mix_sources(documents(spark, sf_dir))
     each = mix.withColumn("one", F.explode(F.sequence(F.lit(1), F.col("repeats").cast("int"))))
@@ -48,10 +65,12 @@ def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Query] = {
+    "op1_substring_dedup": op1_substring_dedup,
     "op3_quality_rules": op3_quality_rules,
     "op5_url_rules": op5_url_rules,
     "op6_license_scan": op6_license_scan,
     "op7_secret_scan": op7_secret_scan,
+    "op9_packing": op9_packing,
     "op10_source_mixing": op10_source_mixing,
 }
 ORACLE_SQL: dict[str, str] = {}
