@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, packing, quality_rules, secret_scan, source_mixing, substring_dedup, url_rules
+from . import license_scan, near_dup, packing, quality_rules, secret_scan, source_mixing, substring_dedup, url_rules
 from .common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -47,6 +47,10 @@ def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.selectExpr("doc_id", *counts, f"sha2({secret_scan.spelled(base)}, 256) AS base_sha256", f"{secret_scan.spelled(f'`{col}`.spans')} AS spans")
 
 
+def op8_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(documents(spark, sf_dir)).select("doc_id", near_dup.spelled().alias("fingerprint"), "component_id")
+
+
 def vocabulary(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -70,6 +74,7 @@ QUERIES: dict[str, Query] = {
     "op5_url_rules": op5_url_rules,
     "op6_license_scan": op6_license_scan,
     "op7_secret_scan": op7_secret_scan,
+    "op8_near_dup": op8_near_dup,
     "op9_packing": op9_packing,
     "op10_source_mixing": op10_source_mixing,
 }
