@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, near_dup, packing, quality_rules, secret_scan, source_mixing, substring_dedup, url_rules
+from . import license_scan, near_dup, packing, quality_rules, secret_scan, source_mixing, substring_dedup, topk_search, url_rules
 from .common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -19,6 +19,14 @@ def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done.select("doc_id", "n_words", lost.alias("n_removed"), F.sha2("kept_text", 256).alias("kept_sha256"))
 
 
+def op2_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("id"), "embedding")
+    fine = rows.where("embedding IS NOT NULL AND forall(embedding, x -> x IS NOT NULL AND NOT isnan(x) AND abs(x) < double('Infinity'))")
+    whole = fine.selectExpr("id", "transform(embedding, x -> CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT)) AS vec")
+    found = topk_search.top_k(whole, whole.where("id % 50 = 0"), 5)
+    return found.select("query_id", "rank", F.col("id").alias("vec_id"), "score")
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows, col = quality_rules.ledger(documents(spark, sf_dir).select("doc_id", "text"))
     led = F.col(col)
@@ -70,6 +78,7 @@ def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Query] = {
     "op1_substring_dedup": op1_substring_dedup,
+    "op2_topk_search": op2_topk_search,
     "op3_quality_rules": op3_quality_rules,
     "op5_url_rules": op5_url_rules,
     "op6_license_scan": op6_license_scan,
