@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, near_dup, packing, quality_rules, secret_scan, source_mixing, substring_dedup, topk_search, url_rules
+from . import license_scan, near_dup, packing, quality_rules, secret_scan, source_mixing, substring_dedup, topk_search, toxicity, url_rules
 from .common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -34,6 +34,13 @@ def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", led["n_words"].alias("n_words"), *[led[k].alias(k) for k in ("word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], base.alias("base_failed"), quality_rules.passes(led["failures"], "v1").alias("kept"))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    remainder = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5
+    scored = toxicity.score(docs, toxicity.fit(docs, labels.where(remainder != 0)))
+    return scored.select("doc_id", F.coalesce(remainder == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
 #: The list of rules that op5's contract states.
 URL_RULES = (("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block"))
 
@@ -80,6 +87,7 @@ QUERIES: dict[str, Query] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_topk_search": op2_topk_search,
     "op3_quality_rules": op3_quality_rules,
+    "op4_toxicity": op4_toxicity,
     "op5_url_rules": op5_url_rules,
     "op6_license_scan": op6_license_scan,
     "op7_secret_scan": op7_secret_scan,
