@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, partitions
+from .common import durable, fresh, partitions
 
 SHINGLE, SEED = 4, 42
 #: Shingles whose bits are counted at once.
@@ -60,15 +60,15 @@ def simhash(text: str | None, width: int = SHINGLE, seed: int = SEED) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """id and fp (the fingerprint's bits as a signed long) of each row."""
-    rows = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"))
+    """id, th (a hash of the text) and fp (the fingerprint's bits as a signed long) of each row."""
+    rows = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"), F.xxhash64(F.col(f"`{text_col}`")).alias("th"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fp = np.fromiter((simhash(t.as_py()) for t in b.column(1)), np.uint64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp.view(np.int64))], ["id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(fp.view(np.int64))], ["id", "th", "fp"])
 
-    return rows.mapInArrow(run, f"id {dict(rows.dtypes)['id']}, fp long")
+    return rows.mapInArrow(run, f"id {dict(rows.dtypes)['id']}, th long, fp long")
 
 
 def linked(a: np.ndarray, b: np.ndarray, max_bits: int = MAX_BITS) -> np.ndarray:
@@ -161,15 +161,37 @@ def components(edges: DataFrame) -> DataFrame:
     return e.selectExpr("a AS node", "b AS root")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK) -> DataFrame:
-    """For each row: id, fp (fingerprint, as a signed long), component_id (smallest id that links reach, its own included)."""
+def grouped(docs: DataFrame, id_col: str, text_col: str, block: int) -> tuple[DataFrame, DataFrame]:
+    """Rows (id, th, fp), and for each fp its component: root, and the component's first row, by id (null last) and th."""
     rows = durable(fingerprints(docs, id_col, text_col))
-    fps = durable(rows.groupBy("fp").agg(F.min("id").alias("least")))
+    first = F.min(F.struct(F.col("id").isNull().alias("nameless"), "id", "th")).alias("first")
+    fps = durable(rows.groupBy("fp").agg(first))
     roots = components(candidate_edges(fps.select("fp"), block))
-    rooted = durable(fps.join(roots, F.col("fp") == F.col("node"), "left").selectExpr("fp", "least", "coalesce(root, fp) AS root"))
-    firsts = rooted.groupBy("root").agg(F.min("least").alias("component_id")).withColumnRenamed("root", "r")
-    named = rooted.join(firsts, F.col("root") == F.col("r")).selectExpr("fp AS f", "component_id")
-    return rows.join(named, F.col("fp") == F.col("f")).select(F.col("id").alias(id_col), "fp", "component_id")
+    rooted = durable(fps.join(roots, F.col("fp") == F.col("node"), "left").selectExpr("fp", "first", "coalesce(root, fp) AS root"))
+    firsts = rooted.groupBy("root").agg(F.min("first").alias("first")).withColumnRenamed("root", "r")
+    return rows, rooted.drop("first").join(firsts, F.col("root") == F.col("r")).selectExpr("fp AS f", "root", "first")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK) -> DataFrame:
+    """For each row: id, fp (fingerprint, as a signed long), component_id (smallest id that links reach, its own included)."""
+    rows, named = grouped(docs, id_col, text_col, block)
+    return rows.join(named, F.col("fp") == F.col("f")).select(F.col("id").alias(id_col), "fp", F.col("first.id").alias("component_id"))
+
+
+def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK) -> DataFrame:
+    """One row of docs for each component, the first by id (null last), then by the text's hash; with the columns of docs."""
+    rows, named = grouped(docs, id_col, text_col, block)
+    winners = durable(named.select("root", "first.id", "first.th").distinct())
+    repeated = rows.groupBy("id", "th").count().where("count > 1").select(F.col("id").alias("i"), F.col("th").alias("t"))
+    again = durable(winners.join(repeated, F.col("id").eqNullSafe(F.col("i")) & (F.col("th") == F.col("t")), "left_semi"))
+    k, h, = fresh(docs, "nd_id", "nd_th")
+    keyed = docs.select(*[F.col(f"`{c}`") for c in docs.columns], F.col(f"`{id_col}`").alias(k), F.xxhash64(F.col(f"`{text_col}`")).alias(h))
+    own = F.col(k).eqNullSafe(F.col("w.nd_win_id")) & (F.col(h) == F.col("w.nd_win_th"))
+    at = lambda w: w.select(F.col("id").alias("nd_win_id"), F.col("th").alias("nd_win_th")).alias("w")
+    kept = keyed.join(at(winners), own, "left_semi")
+    if not again.isEmpty():  # rows that are repeated whole: one of each stays
+        kept = kept.join(at(again), own, "left_anti").unionByName(keyed.join(at(again), own, "left_semi").dropDuplicates([k, h]))
+    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def spelled(fp: str = "fp") -> F.Column:

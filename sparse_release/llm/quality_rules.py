@@ -97,7 +97,10 @@ def passes(failures: Column, policy: str = "v1") -> Column:
 def apply_policy(docs: DataFrame, policy: str = "v1", text_col: str = "text") -> DataFrame:
     """The rows of docs that the policy keeps, with the columns of docs."""
     rows, name = ledger(docs, text_col)
-    return rows.where(passes(F.col(name)["failures"], policy)).select(*[F.col(f"`{c}`") for c in docs.columns])
+    # A filter would be moved below the ledger's projections and evaluate them again for each measure; it stays above a column that is not deterministic.
+    stop, = fresh(rows, "qr_stop")
+    held = rows.withColumn(stop, F.monotonically_increasing_id())
+    return held.where(passes(F.col(name)["failures"], policy) & (F.col(stop) >= 0)).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def ablations(rows: DataFrame, failures: Column, policy: str = "v1") -> DataFrame:
