@@ -23,6 +23,8 @@ from .common import durable
 #: Pivots are this many vectors, those with the smallest hashes of their ids; they shape the load, not the result.
 PIVOTS = 64
 BLOCK_ROWS, SLICE_QUERIES, LEAF, GULP = 1024, 8192, 32, 256
+#: A node stays a leaf if its first SINGLES children hold fewer than FEW rows each.
+SINGLES, FEW = 8, 4
 
 
 class Node:
@@ -35,12 +37,14 @@ class Node:
         self.center, self.rows, self.radius, self.norm = center, rows, float(far.max(initial=0.0)), float(np.sqrt((center**2).sum()))
         self.kids: list[Node] = []
         if len(rows) > LEAF and self.radius > 0:
-            left = rows
+            left, groups = rows, []
             while len(left):
-                c = x[left[0]]
-                near = ((x[left] - c) ** 2).sum(axis=1) <= (self.radius / 2) ** 2
-                self.kids.append(Node(x, left[near], c))
+                near = ((x[left] - x[left[0]]) ** 2).sum(axis=1) <= (self.radius / 2) ** 2
+                groups.append(left[near])
                 left = left[~near]
+                if len(groups) >= SINGLES and len(rows) - len(left) < FEW * len(groups):
+                    return  # rows that all lie apart have no structure at half the radius: a leaf
+            self.kids = [Node(x, g, x[g[0]]) for g in groups]
             self.centers, self.radii, self.norms = np.stack([k.center for k in self.kids]), np.array([k.radius for k in self.kids]), np.array([k.norm for k in self.kids])
 
     def bounds(self, q: Node) -> np.ndarray:
@@ -85,15 +89,32 @@ class Search:
                 self.meet(q.rows, np.concatenate(held))
 
     def meet(self, qs: np.ndarray, xs: np.ndarray) -> None:
-        for at in range(0, len(xs), 4096):
-            some = xs[at : at + 4096]
-            score = self.q[qs] @ self.x[some].T
-            score[self.q_ids[qs][:, None] == self.ids[some][None, :]] = -np.inf
-            score = np.concatenate((self.best[qs], score), axis=1)
-            who = np.concatenate((self.who[qs], np.broadcast_to(self.ids[some], (len(qs), len(some)))), axis=1)
-            order = np.lexsort((who, -score), axis=1)[:, : self.k]
-            self.best[qs], self.who[qs] = np.take_along_axis(score, order, 1), np.take_along_axis(who, order, 1)
-            self.floor[qs] = np.maximum(self.floor[qs], self.best[qs, -1])
+        for lo in range(0, len(qs), 256):
+            for at in range(0, len(xs), 4096):
+                self._meet(qs[lo : lo + 256], xs[at : at + 4096])
+
+    def _meet(self, qs: np.ndarray, xs: np.ndarray) -> None:
+        score = self.q[qs] @ self.x[xs].T
+        score[self.q_ids[qs][:, None] == self.ids[xs][None, :]] = -np.inf
+        least = self.floor[qs]
+        if score.shape[1] > self.k:
+            least = np.maximum(least, np.partition(score, -self.k, axis=1)[:, -self.k])
+        row, col = np.nonzero((score >= least[:, None]) & np.isfinite(score))  # ties with the kth stay
+        if not len(row):
+            return
+        some = np.unique(row)
+        old, rank = np.nonzero(np.isfinite(self.best[qs[some]]))
+        query = np.concatenate((row, some[old]))
+        value = np.concatenate((score[row, col], self.best[qs[some]][old, rank]))
+        who = np.concatenate((self.ids[xs[col]], self.who[qs[some]][old, rank]))
+        order = np.lexsort((who, -value, query))
+        query, value, who = query[order], value[order], who[order]
+        heads = np.flatnonzero(np.diff(query, prepend=-1))
+        rank = np.arange(len(query)) - np.repeat(heads, np.diff(np.append(heads, len(query))))
+        top = rank < self.k
+        at = qs[query[top]]
+        self.best[at, rank[top]], self.who[at, rank[top]] = value[top], who[top]
+        self.floor[qs[some]] = np.maximum(self.floor[qs[some]], self.best[qs[some], -1])
 
 
 def _matrix(col: pa.ChunkedArray, dims: int) -> np.ndarray:
