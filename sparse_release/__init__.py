@@ -1,0 +1 @@
+"""Private, size-controlled summaries of sparse counts, as DataFrame plans."""
