@@ -15,23 +15,38 @@ from __future__ import annotations
 
 import bisect
 import os
-import struct
 from collections.abc import Iterator
+from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import word_hashes, word_spans
+
 SEQ_LEN, SHORTEST_TIER = 4096, 512
 #: Tokens packed together, tokens of a step group, words remembered by one worker.
-GROUP_TOKENS, STEP_TOKENS, REMEMBERED = 4_000_000, 65_536, 600_000
+GROUP_TOKENS, STEP_TOKENS, REMEMBERED = 4_000_000, 65_536, 800_000
+#: Texts that are encoded together.
+TEXTS = 1024
 
 _PIECE = "{name} {kind}, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long, tier int, step long"
 
 
+# What a word may end in, by its last bytes, before signs that no piece of the vocabulary joins to it: an ASCII letter or digit, or a letter of U+00C0 to U+00FF.
+_SIGN, _ALNUM = np.zeros(256, bool), np.zeros(256, bool)
+_SIGN[list(b".,;:!?*#$%&")] = True
+_ALNUM[[c for c in range(128) if chr(c).isalnum()]] = True
+
+
 class Encoder:
-    """Texts to little-endian 32-bit ids, by words."""
+    """Texts to little-endian 32-bit ids, by words.
+
+    The vocabulary's pieces are lower-case, and change at each border of letters and other characters; so words are taken in lower case, and the signs that many
+    end in are words of their own. Far fewer of these are distinct, and each is encoded when it is first met. They are told apart by 64-bit hashes.
+    """
 
     def __init__(self, path: str, end_id: int) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -39,24 +54,51 @@ class Encoder:
 
         self.tokenizer, self.end, self.known = Tokenizer.from_file(path), end_id.to_bytes(4, "little"), {}
 
-    def __call__(self, text: str | None) -> bytes:
-        words, known = (text or "").encode().split(), self.known
-        try:
-            return b"".join([known[w] for w in words]) + self.end
-        except KeyError:
-            pass
-        if len(known) > REMEMBERED:
-            known.clear()
-        new = [w for w in set(words) if w not in known]
-        for w, e in zip(new, self.tokenizer.encode_batch_fast([w.decode() for w in new], add_special_tokens=False), strict=True):
-            known[w] = struct.pack(f"<{len(e.ids)}I", *e.ids)
-        out = b"".join([known[w] for w in words]) + self.end
-        for w in new:
-            if len(w) > 64:
-                del known[w]
+    def __call__(self, texts: list[str | None]) -> list[bytes]:
+        coded = [(t or "").encode() for t in texts]
+        raw = b"".join(coded).lower()
+        bounds = np.concatenate(([0], np.cumsum([len(c) for c in coded], dtype=np.int64)))
+        buf = np.frombuffer(raw, np.uint8)
+        starts, ends = _parted(buf, *word_spans(buf, bounds)[:2])
+        firsts = np.searchsorted(starts, bounds)
+        distinct, at, which = np.unique(word_hashes(buf, starts, ends, 5), return_index=True, return_inverse=True)
+        ids = self._ids(raw, distinct.tolist(), starts[at], ends[at])
+        flat, n = np.frombuffer(b"".join(ids), "<u4"), np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        count, place = n[which], (np.cumsum(n) - n)[which]
+        upto = np.concatenate(([0], np.cumsum(count)))
+        out = flat[np.repeat(place - upto[:-1], count) + np.arange(upto[-1])]
+        cuts = upto[firsts]
+        return [out[a:b].tobytes() + self.end for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+
+    def _ids(self, raw: bytes, words: list[int], starts: np.ndarray, ends: np.ndarray) -> list[bytes]:
+        """Ids of distinct words, given their hashes and one place of each."""
+        if len(self.known) > REMEMBERED:
+            self.known.clear()
+        out = list(map(self.known.get, words))
+        new = [k for k, v in enumerate(out) if v is None]
+        spelled = [raw[a:b].decode() for a, b in zip(starts[new].tolist(), ends[new].tolist(), strict=True)]
+        ids = [e.ids for e in self.tokenizer.encode_batch_fast(spelled, add_special_tokens=False)]
+        blob, at = np.fromiter(chain.from_iterable(ids), "<u4").tobytes(), 0
+        for k, n in zip(new, map(len, ids), strict=True):
+            out[k] = self.known[words[k]] = blob[at : at + 4 * n]
+            at += 4 * n
         return out
 
 
+def _parted(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Words, with the signs that end them cut off as words of their own where that is safe."""
+    if not len(starts):
+        return starts, ends
+    plain = np.maximum.accumulate(np.where(_SIGN[buf], -1, np.arange(len(buf))))
+    body = plain[ends - 1] + 1
+    last, before = buf[np.maximum(body - 1, 0)], buf[np.maximum(body - 2, 0)]
+    safe = _ALNUM[last] | ((before == 0xC3) & (last != 0x97) & (last != 0xB7) & (body - 2 >= starts))
+    cut = (body < ends) & (body > starts) & safe
+    left = np.where(cut, body, ends)
+    order = np.argsort(both := np.concatenate((starts, body[cut])), kind="stable")
+    return both[order], np.concatenate((left, ends[cut]))[order]
+
+
 _ENCODERS: dict[tuple, Encoder] = {}
 
 
@@ -156,13 +198,13 @@ def pack_documents(docs: DataFrame, vocabulary: str, end_id: int = 2, id_col: st
 
         for b in batches:
             kinds = [b.schema.field(0).type]
-            texts = b.column(1)
-            for k, key in enumerate(b.column(0).to_pylist()):
-                held.append((key, ids := encode(texts[k].as_py())))
-                tokens += len(ids) // 4
-                if tokens >= GROUP_TOKENS:
-                    yield from flush()
-                    held, tokens = [], 0
+            for at in range(0, b.num_rows, TEXTS):
+                for key, ids in zip(b.column(0).slice(at, TEXTS).to_pylist(), encode(b.column(1).slice(at, TEXTS).to_pylist()), strict=True):
+                    held.append((key, ids))
+                    tokens += len(ids) // 4
+                    if tokens >= GROUP_TOKENS:
+                        yield from flush()
+                        held, tokens = [], 0
         if held:
             yield from flush()
 
