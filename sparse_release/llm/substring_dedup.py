@@ -25,14 +25,17 @@ from .common import BLANK_RE, n_words, partitions, window_hashes, word_hashes, w
 
 #: Rows of a chunk, and cells by which ids are counted to cut chunks of that many.
 CHUNK_ROWS, CELLS = 256, 4096
+#: Index buckets for each shuffle partition; a task holds one at a time.
+BUCKETS = 2
 
 _RESULT = "id long, n_words long, removed array<struct<start:long,end:long>>, kept_text string"
 
 
 def id_chunks(docs: DataFrame, id_col: str, rows: int = CHUNK_ROWS) -> DataFrame:
     """docs (with an id that is not null) and a chunk number that rises with the id; a chunk has about so many rows, also where ids crowd."""
-    lo, hi = docs.agg(F.min(id_col), F.max(id_col)).first()
-    lo, width = (0, 1) if lo is None else (lo, (hi - lo) // CELLS + 1)
+    lo, hi, n = docs.agg(F.min(id_col), F.max(id_col), F.count(id_col)).first()
+    # chunks do not reach over cells, so a cell holds several
+    lo, width = (0, 1) if lo is None else (lo, (hi - lo) // max(1, min(CELLS, n // (16 * rows))) + 1)
     cell = F.expr(f"(`{id_col}` - {lo}L) div {width}L")
     counts = docs.groupBy(cell.alias("cell")).count().collect()  # CELLS rows at most
     table = docs.sparkSession.createDataFrame([(int(r["cell"]), -(-width * rows // r["count"])) for r in counts], "cell long, step long")
@@ -116,7 +119,8 @@ def dedup_substrings(docs: DataFrame, window: int = 13, block: int = 7, id_col:
     """id, n_words, removed (word ranges, ends exclusive), kept_text (the other words, joined by one space)."""
     if window < 2 * block - 1:
         raise ValueError("a window must hold a whole block wherever the grid lies: window >= 2 * block - 1")
-    buckets, n_parts = partitions(docs.sparkSession), partitions(docs.sparkSession)
+    n_parts = partitions(docs.sparkSession)
+    buckets = BUCKETS * n_parts
     rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text_col}`").alias("text"))
     placed = id_chunks(rows.where("id IS NOT NULL"), "id", chunk_rows)
     texts = placed.repartition(n_parts, "chunk")  # one exchange, reused by the three passes below
@@ -140,7 +144,7 @@ def dedup_substrings(docs: DataFrame, window: int = 13, block: int = 7, id_col:
     def meet(rows: pa.Table) -> pa.Table:
         hs = [np.frombuffer(x.as_py(), np.uint32) for x in rows.column("hashes")]
         n = [len(x) for x in hs]
-        h, chunk = np.concatenate(hs), np.repeat(np.arange(len(n)), n)
+        h, chunk = np.concatenate(hs), np.repeat(np.arange(len(n), dtype=np.int32), n)
         indexed, several = (np.concatenate([_unbits(x.as_py(), k) for x, k in zip(rows.column(c), n, strict=True)]) for c in ("indexed", "several"))
         order = np.argsort(h, kind="stable")
         heads = np.flatnonzero(np.diff(h[order].astype(np.int64), prepend=-1))
