@@ -12,6 +12,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from ..functions.laws import KeepLaw
 from .summaries import Plan, adjusted, high_pass, reduced, top_priorities
 
@@ -33,14 +34,24 @@ def node_of(h: int, name: str = "cell_id") -> tuple[str, str]:
     return level, f"({name} - {1 << (h + 1)} + shiftleft(1L, {h + 1} - {level}))"
 
 
-def dyadic(cells: DataFrame, h: int) -> DataFrame:
-    """Occupied nodes (level, pos, v). Each level is added up from the one below, so a level shuffles no more than that one's nodes."""
-    rows = cells.selectExpr("0 AS level", "cell_id AS pos", "CAST(v AS BIGINT) AS v")
-    levels = [rows]
-    for k in range(1, h + 1):
-        rows = rows.groupBy(F.expr("shiftright(pos, 1)").alias("pos")).agg(F.sum("v").alias("v")).selectExpr(f"{k} AS level", "pos", "v")
-        levels.append(rows)
-    return reduce(DataFrame.unionByName, levels)
+#: Levels that are added up in one shuffle; the topmost of them, far fewer nodes, feeds the next.
+STEP = 6
+
+
+def dyadic(cells: DataFrame, h: int, step: int = STEP) -> DataFrame:
+    """Occupied nodes (level, pos, v), some levels at a time: no shuffle has more than step + 1 rows for each node of its lowest level, and low levels are read once."""
+    rows, parts = cells.selectExpr("cell_id AS pos", "CAST(v AS BIGINT) AS v"), []
+    for low in range(0, h + 1, step):
+        top = min(low + step, h)
+        up = rows.selectExpr(f"explode(sequence({low}, {top})) AS level", "pos", "v").selectExpr("level", f"shiftright(pos, level - {low}) AS pos", "v")
+        sums = up.groupBy("level", "pos").agg(F.sum("v").cast("long").alias("v"))
+        if top == h:
+            parts.append(sums)
+            break
+        sums = durable(sums)
+        parts.append(sums.where(f"level < {top}"))
+        rows = sums.where(f"level = {top}").select("pos", "v")
+    return reduce(DataFrame.unionByName, parts)
 
 
 def dyadic_at_once(cells: DataFrame, h: int) -> DataFrame:
@@ -113,7 +124,8 @@ def answer_haar(coefficients: DataFrame, queries: DataFrame, h: int, value: str
 
 
 def prune(nodes: DataFrame, h: int) -> DataFrame:
-    """Nodes all of whose ancestors are in the summary too. One shuffle: each node asks for its ancestors and counts the answers."""
+    """Nodes all of whose ancestors are in the summary too. Each node asks for its ancestors and counts the answers; nodes are read four times, so they are kept."""
+    nodes = durable(nodes)
     asked = nodes.where(f"level < {h}").selectExpr("level AS l", "pos AS p", f"explode(transform(sequence(level + 1, {h}), a -> struct(a AS level, shiftright(pos, a - level) AS pos))) AS a").selectExpr("l", "p", "a.level AS level", "a.pos AS pos")
     whole = asked.join(nodes.select("level", "pos"), ["level", "pos"], "left_semi").groupBy("l", "p").agg(F.count(F.lit(1)).alias("n")).where(f"n = {h} - l").selectExpr("l AS level", "p AS pos")
     return nodes.join(whole.unionByName(nodes.where(f"level = {h}").select("level", "pos")), ["level", "pos"], "left_semi")
@@ -123,13 +135,13 @@ def consistent_filter(cells: DataFrame, h: int, plan: Plan, cut: int, every: int
     """The pruned two-sided filter of the dyadic counts, made from the root down: nodes have noise of their own, so only children of what stays need be drawn. The same
     draws as filtering all nodes and pruning, at the cost of what stays."""
     full = replace(plan, m=(1 << (h + 1)) - 1, sensitivity=plan.sensitivity * (h + 1))
-    nodes, out = dyadic(cells, h), []
+    nodes, out = durable(dyadic(cells, h)), []
     front = cells.sparkSession.range(1).selectExpr(f"{h} AS level", "0L AS pos")
     for level in range(h, -1, -1):
         known = front.join(nodes.where(f"level = {level}"), ["level", "pos"], "left").selectExpr("level", "pos", f"{node_id(h)} AS cell_id", "coalesce(v, 0) AS v")
         kept = known.selectExpr("level", "pos", f"CAST(v AS BIGINT) + {full.noise()} AS value").where(f"abs(value) >= {cut}")
         if (h - level) % every == every - 1:
-            kept = kept.checkpoint()
+            kept = durable(kept)
         out.append(kept)
         front = kept.selectExpr(f"{level - 1} AS level", "explode(array(2 * pos, 2 * pos + 1)) AS pos")
     return reduce(DataFrame.unionByName, out).selectExpr("CAST(level AS INT) AS level", "CAST(pos AS BIGINT) AS pos", "value", "CAST(value AS DOUBLE) AS weight")

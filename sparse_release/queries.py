@@ -279,7 +279,7 @@ def consistency_v3(spark, sf):
 
 @query("consistent_filter_v3", ORACLE_SQL["consistency_v3"])
 def consistent_filter_v3(spark, sf):
-    return H.consistent_filter(_v3(spark, sf), H3, _plan(M3), 60, every=100).select("level", "pos", "value")
+    return H.consistent_filter(_v3(spark, sf), H3, _plan(M3), 60).select("level", "pos", "value")
 
 
 query("filter_prune_priority_v3")(lambda spark, sf: H.filter_prune_priority(_v3(spark, sf), H3, _plan(M3), 60, 2000)[0])
