@@ -36,11 +36,13 @@ def id_chunks(docs: DataFrame, id_col: str, rows: int = CHUNK_ROWS) -> DataFrame
     lo, hi, n = docs.agg(F.min(id_col), F.max(id_col), F.count(id_col)).first()
     # chunks do not reach over cells, so a cell holds several
     lo, width = (0, 1) if lo is None else (lo, (hi - lo) // max(1, min(CELLS, n // (16 * rows))) + 1)
-    cell = F.expr(f"(`{id_col}` - {lo}L) div {width}L")
+    # in decimals, since ids may lie further apart than a long reaches
+    offset = f"(CAST(`{id_col}` AS DECIMAL(20, 0)) - CAST({lo} AS DECIMAL(20, 0)))"
+    cell = F.expr(f"CAST({offset} div CAST({width} AS DECIMAL(20, 0)) AS BIGINT)")
     counts = docs.groupBy(cell.alias("cell")).count().collect()  # CELLS rows at most
-    table = docs.sparkSession.createDataFrame([(int(r["cell"]), -(-width * rows // r["count"])) for r in counts], "cell long, step long")
+    table = docs.sparkSession.createDataFrame([(int(r["cell"]), min(-(-width * rows // r["count"]), 1 << 62)) for r in counts], "cell long, step long")
     # ids are integers, so a step of less than 1 changes nothing
-    chunk = F.expr(f"cell * 4294967296L + (`{id_col}` - {lo}L - cell * {width}L) div greatest(step, 1L)")
+    chunk = F.expr(f"cell * 4294967296L + CAST(({offset} % CAST({width} AS DECIMAL(20, 0))) div CAST(greatest(step, 1L) AS DECIMAL(20, 0)) AS BIGINT)")
     return docs.withColumn("cell", cell).join(F.broadcast(table), "cell").withColumn("chunk", chunk).drop("cell", "step")
 
 
