@@ -33,7 +33,8 @@ def _skip(cells: DataFrame, m: int, p: float, seed, blocks: int, mode: str) -> D
     by_place = Window.partitionBy("block").orderBy("at")
     # An occupied cell stands before the empty cell whose rank is its own place less the occupied ones before it.
     taken = occupied.withColumn("key", F.col("at") - (F.row_number().over(by_place) - 1)).selectExpr("block", "key", "1 AS taken", "CAST(NULL AS BIGINT) AS draw_no")
-    gap = "1" if p >= 1 else f"CAST(floor(ln({uniform(seed, 'gap', 'block', 'i', mode=mode)}) / {math.log1p(-p)!r}D) AS BIGINT) + 1"
+    # a gap longer than the block ends the walk, however long
+    gap = "1" if p >= 1 else f"CAST(least(floor(ln({uniform(seed, 'gap', 'block', 'i', mode=mode)}) / {math.log1p(-p)!r}D), {float(width)!r}D) AS BIGINT) + 1"
     sizes = spark.range(n_blocks).selectExpr("id AS block").join(occupied.groupBy("block").count(), "block", "left").selectExpr("block", f"least({width}, {m} - block * {width}) - coalesce(count, 0) AS empty")
     walks = sizes.selectExpr("block", "empty", f"explode(sequence(0, {steps if p < 1 else width})) AS i").selectExpr("block", "empty", "CAST(i AS BIGINT) AS i", f"{gap} AS gap")
     ranked = walks.withColumn("key", F.sum("gap").over(Window.partitionBy("block").orderBy("i")) - 1).where("key < empty").selectExpr("block", "key", "0 AS taken", f"block * {steps + 1} + i AS draw_no")
