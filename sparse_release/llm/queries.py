@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, near_dup, packing, quality_rules, secret_scan, source_mixing, substring_dedup, topk_search, toxicity, url_rules
+from . import license_scan, near_dup, oracle, packing, quality_rules, secret_scan, source_mixing, substring_dedup, topk_search, toxicity, url_rules
 from .common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -95,4 +95,11 @@ QUERIES: dict[str, Query] = {
     "op9_packing": op9_packing,
     "op10_source_mixing": op10_source_mixing,
 }
-ORACLE_SQL: dict[str, str] = {}
+#: The rest is beyond SQL on whole tables (fitted models, fingerprints by component, packing, dependent rounding, linked parts); tests compare it with plain versions.
+ORACLE_SQL: dict[str, str] = {
+    "op1_substring_dedup": oracle.substring_dedup(),
+    "op2_topk_search": oracle.topk_search(),
+    "op3_quality_rules": oracle.quality_rules(),
+    "op5_url_rules": oracle.url_rules(URL_RULES),
+    "op6_license_scan": oracle.license_scan(),
+}
