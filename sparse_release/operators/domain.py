@@ -27,10 +27,9 @@ class Dimension:
 def categorical(name: str, values: list[str], column: str | None = None, other: bool = False) -> Dimension:
     """One code for each value in the order given; with `other`, a last one for all else and null."""
     column = column or name
-    listed = ", ".join("'" + v.replace("\\", "\\\\").replace("'", "\\'") + "'" for v in [*values, *([OTHER] if other else [])])
-    at = f"array_position(array({listed}), {column})"
-    code = f"CASE WHEN {at} > 0 THEN {at} - 1 {'ELSE ' + str(len(values)) if other else ''} END"
-    return Dimension(name, len(values) + other, code, f"array({listed})[CAST({{c}} AS INT)]")
+    quoted = ["'" + v.replace("\\", "\\\\").replace("'", "\\'") + "'" for v in [*values, *([OTHER] if other else [])]]
+    code = f"map({', '.join(f'{v}, {k}L' for k, v in enumerate(quoted[: len(values)]))})[{column}]"
+    return Dimension(name, len(quoted), f"coalesce({code}, {len(values)}L)" if other else code, f"array({', '.join(quoted)})[CAST({{c}} AS INT)]")
 
 
 def int_range(name: str, lo: int, hi: int, column: str | None = None) -> Dimension:
@@ -74,12 +73,13 @@ class Domain:
             raise ValueError("cells need more than 63 bits; split the domain by its first dimensions")
         if self.outside not in ("drop", "clamp"):
             raise ValueError("outside must be drop or clamp")
+        # codes are columns of their own first: each is used several times, and one expression of them all would outgrow generated code
+        codes = {f"_code_{k}": F.expr(f"CAST(({d.code}) AS BIGINT)") for k, d in enumerate(self._layout())}
         cell = "CAST(0 AS BIGINT)"
-        for d in self._layout():
-            code = f"CAST(({d.code}) AS BIGINT)"
-            code = f"least(greatest(coalesce({code}, 0), 0), {d.radix - 1})" if self.outside == "clamp" else f"CASE WHEN {code} BETWEEN 0 AND {d.radix - 1} THEN {code} END"
-            cell = f"({cell} * {d.radix} + {code})"
-        out = df.withColumn(name, F.expr(cell))
+        for k, d in enumerate(self._layout()):
+            fit = f"least(greatest(coalesce(_code_{k}, 0), 0), {d.radix - 1})" if self.outside == "clamp" else f"CASE WHEN _code_{k} BETWEEN 0 AND {d.radix - 1} THEN _code_{k} END"
+            cell = f"({cell} * {d.radix} + {fit})"
+        out = df.withColumns(codes).withColumn(name, F.expr(cell)).drop(*codes)
         return out.where(F.col(name).isNotNull()) if self.outside == "drop" else out
 
     def decode(self, df: DataFrame, name: str = "cell_id", labels: bool = True) -> DataFrame:

@@ -11,6 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from ..functions.laws import KeepLaw, pick_tau, solve_tau
 from ..functions.noise import alpha_of, geometric, laplace, tail
 from ..functions.prf import draw, uniform
@@ -191,13 +192,13 @@ def priority_sample(cells: DataFrame, plan: Plan, s: int, cut: int = 0, tau0: fl
     if plan.route == "materialised":
         law = KeepLaw(plan.alpha, cut, 1.0)
         rows = all_noisy(cells, plan).where(_fits(law)).selectExpr("cell_id", "value", f"{plan.u('keep')} AS r")
-        kept, tau = top_priorities(rows.selectExpr("*", "abs(value) / r AS priority"), s)
+        kept, tau = top_priorities(durable(rows.selectExpr("*", "abs(value) / r AS priority")), s)
     else:
         tau0 = tau0 or guess_tau(cells, plan, s, cut)
         while True:
             law = KeepLaw(plan.alpha, cut, max(tau0, 1.0) if tau0 > cut else 1.0)
             rows = reduced(cells, law, plan).selectExpr("cell_id", "value", f"coalesce(u, {plan.u('keep')}) AS r").selectExpr("*", "abs(value) / r AS priority")
-            kept, tau = top_priorities(rows, s)
+            kept, tau = top_priorities(durable(rows), s)  # candidates are read several times, and their noise is dear
             if tau > 0 or law.tau <= 1:
                 break
             tau0 /= 2

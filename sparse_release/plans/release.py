@@ -8,6 +8,7 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
 
+from ..functions.durable import durable
 from ..functions.laws import advise_cut, pick_cut, pick_tau
 from ..functions.noise import alpha_of, moments
 from ..operators import estimators as E
@@ -96,7 +97,7 @@ class ReleasePlan:
         plan = S.Plan(m=self.domain.size, eps=self.eps, **self.options)
         if ledger is not None:
             ledger.spend(plan.release, self.eps)
-        cells = contingency(self.rows, self.domain, self.measure)
+        cells = durable(contingency(self.rows, self.domain, self.measure))  # read for the occupied part and for the empty one
         meta = {"eps": self.eps, "sensitivity": plan.sensitivity, "alpha": plan.alpha, "m": plan.m, "method": self.how, "release": plan.release, "route": plan.route, "way": plan.way, **self.params}
         p = self.params
         match self.how:
