@@ -6,7 +6,7 @@ Both routes give summaries of one law. The direct one costs what the occupied ce
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -187,22 +187,56 @@ def guess_tau(cells: DataFrame, plan: Plan, s: int, cut: int = 0, slack: float =
 def priority_sample(cells: DataFrame, plan: Plan, s: int, cut: int = 0, tau0: float | None = None) -> tuple[DataFrame, float]:
     """A sample of s rows and its threshold (the next priority): cell_id, value, weight, r, priority; drop the last two before publishing.
 
-    Candidates come from a threshold sample; a candidate's r is uniform up to its chance of being one. If a guess leaves too few, a lower one extends the same
-    draws, so nothing is conditioned on the outcome: the occupied part is the same, and the empty part is drawn as for the lower guess from the start."""
+    Candidates come from a threshold sample; a candidate's r is uniform up to its chance of being one. If a guess leaves too few, a lower one extends the same outcome:
+    occupied cells keep their draws, empty candidates stay, and empty cells that were none are drawn for the band between the thresholds only."""
     if plan.route == "materialised":
         law = KeepLaw(plan.alpha, cut, 1.0)
         rows = all_noisy(cells, plan).where(_fits(law)).selectExpr("cell_id", "value", f"{plan.u('keep')} AS r")
         kept, tau = top_priorities(durable(rows.selectExpr("*", "abs(value) / r AS priority")), s)
-    else:
-        tau0 = tau0 or guess_tau(cells, plan, s, cut)
-        while True:
-            law = KeepLaw(plan.alpha, cut, max(tau0, 1.0) if tau0 > cut else 1.0)
-            rows = reduced(cells, law, plan).selectExpr("cell_id", "value", f"coalesce(u, {plan.u('keep')}) AS r").selectExpr("*", "abs(value) / r AS priority")
-            kept, tau = top_priorities(durable(rows), s)  # candidates are read several times, and their noise is dear
-            if tau > 0 or law.tau <= 1:
-                break
-            tau0 /= 2
-    return kept.selectExpr("cell_id", "value", f"signum(value) * greatest(CAST(abs(value) AS DOUBLE), {tau!r}D) AS weight", "r", "priority"), tau
+        return _prioritised(kept, tau), tau
+    tau0 = tau0 or guess_tau(cells, plan, s, cut)
+    law = _candidate_law(plan, cut, tau0)
+    empty = durable(_ranked(empty_part(cells, law, plan), law, plan))
+    while True:
+        own = _kept(noisy_occupied(cells, plan), law, plan).selectExpr("cell_id", "value", f"coalesce(u, {plan.u('keep')}) AS r")
+        rows = durable(own.unionByName(empty).selectExpr("*", "abs(value) / r AS priority"))  # read several times, and noise is dear
+        kept, tau = top_priorities(rows, s)
+        if tau > 0 or law.tau <= 1:
+            return _prioritised(kept, tau), tau
+        lower = _candidate_law(plan, cut, law.tau / 2)
+        empty, law = durable(empty.unionByName(_band(cells, empty, law, lower, plan))), lower
+
+
+def _candidate_law(plan: Plan, cut: int, tau: float) -> KeepLaw:
+    return KeepLaw(plan.alpha, cut, max(tau, 1.0) if tau > cut else 1.0)
+
+
+def _chance_of(law: KeepLaw) -> str:
+    return "1D" if law.tau <= 1 else f"least(abs(value) / {float(law.tau)!r}D, 1D)"
+
+
+def _ranked(rows: DataFrame, law: KeepLaw, plan: Plan) -> DataFrame:
+    return rows.selectExpr("cell_id", "value", f"{plan.u('rank' if law.tau > 1 else 'keep')} * {_chance_of(law)} AS r")
+
+
+def _band(cells: DataFrame, empty: DataFrame, law: KeepLaw, lower: KeepLaw, plan: Plan) -> DataFrame:
+    """Empty cells that the lower threshold keeps and the higher one did not, given which the higher one kept. A candidate of the lower one is of the band if its r is at
+    least the higher one's chance. Each of the other empty cells is of the band with chance (p1 - p0) / (1 - p0); its value and r are the first of the band among draws
+    of the lower law, of which so many are laid out that none being so is out of the question."""
+    p0, p1, own = law.keep(), lower.keep(), replace(plan, release=f"{plan.release}/band-{lower.tau!r}")
+    rest = cells.select("cell_id").unionByName(empty.select("cell_id"))
+    places = zero_cells(rest, plan.m, (p1 - p0) / (1 - p0), own.key, plan.way, plan.blocks, plan.mode)
+    tries = math.ceil(42 / math.log(p1 / p0))
+    drawn = places.selectExpr("cell_id AS place", f"explode(sequence(0, {tries - 1})) AS t").selectExpr("place", "t", "xxhash64(place, t) AS cell_id")
+    sign = f"CASE WHEN {own.u('sign')} < 0.5D THEN -1 ELSE 1 END"
+    sized = drawn.selectExpr("place", "t", "cell_id", f"CAST({sign} * ({magnitude(lower, own)}) AS BIGINT) AS value")
+    ranked = sized.selectExpr("place", "t", "value", f"{own.u('rank')} * {_chance_of(lower)} AS r").where(f"r >= {_chance_of(law)}")
+    first = ranked.groupBy("place").agg(F.min(F.struct("t", "value", "r")).alias("x"))
+    return first.selectExpr("place AS cell_id", "x.value AS value", "x.r AS r")
+
+
+def _prioritised(kept: DataFrame, tau: float) -> DataFrame:
+    return kept.selectExpr("cell_id", "value", f"signum(value) * greatest(CAST(abs(value) AS DOUBLE), {tau!r}D) AS weight", "r", "priority")
 
 
 def filter_priority(cells: DataFrame, plan: Plan, cut: int, s: int, tau0: float | None = None) -> tuple[DataFrame, float]:

@@ -185,3 +185,18 @@ def test_estimators(spark, cells):
     errors = A.by_size(A.errors(E.exact_range(cells, q), E.est_range(cells, q, "v"), q)).collect()
     assert all(r.abs_error == 0 for r in errors)
     assert E.est_point(cells.selectExpr("cell_id", "v AS value"), spark.range(5).withColumnRenamed("id", "cell_id"), 0.5).count() == 5
+
+
+def test_extended_candidates_have_the_law(spark):
+    """A first guess far too high is extended in bands; sizes and magnitudes are those of a good first guess."""
+    none = spark.createDataFrame([], "cell_id long, v long")
+    seen = {8.0: [], 400.0: []}
+    for seed in range(3):
+        for tau0 in seen:
+            rows, tau = S.priority_sample(none, replace(PLAN, m=80_000, seed=seed, way="block"), 4000, tau0=tau0)
+            got = rows.agg(F.count("*"), F.countDistinct("cell_id"), F.avg(F.abs("value"))).first()
+            assert got[0] == got[1] == 4000
+            seen[tau0].append((tau, got[2]))
+    for k, slack in ((0, 4.0), (1, 0.3)):
+        a, b = (mean_sd([x[k] for x in seen[t]])[0] for t in seen)
+        assert abs(a - b) < slack
