@@ -34,6 +34,11 @@ def est_range(summary: DataFrame, queries: DataFrame, weight: str = "weight", ab
     return q.join(total, "qid", "left").selectExpr("qid", f"coalesce(w, 0D) + {float(absent)!r}D * (hi - lo - coalesce(n, 0D)) AS estimate")
 
 
+def est_dense(noisy: DataFrame, queries: DataFrame, clamp: bool = False) -> DataFrame:
+    """Range answers from all noisy cells (cell_id, value): signed for large ranges, where noise cancels; clamped at 0 for small ones."""
+    return est_range(noisy.selectExpr("cell_id", "greatest(value, 0) AS value") if clamp else noisy, queries, "value")
+
+
 def est_subset(summary: DataFrame, members: DataFrame, weight: str = "weight", absent: float = 0.0) -> DataFrame:
     """(qid, estimate) for sets of cells (qid, cell_id); a cell named twice counts once."""
     asked = members.select("qid", "cell_id").distinct()

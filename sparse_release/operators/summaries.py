@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.durable import durable
-from ..functions.laws import KeepLaw, pick_tau, solve_tau
+from ..functions.laws import KeepLaw, laplace_keep, pick_tau, solve_tau
 from ..functions.noise import alpha_of, geometric, laplace, tail
 from ..functions.prf import draw, uniform
 from .zero_cells import zero_cells
@@ -265,6 +265,27 @@ def laplace_filter(cells: DataFrame, m: int, eps: float, cut: float, seed: str |
     return kept.unionByName(empty)
 
 
+def laplace_sample(cells: DataFrame, m: int, eps: float, tau: float, cut: float = 0.0, seed: str | int = 1, sensitivity: float = 1.0, way: str = "skip", blocks: int = 64, mode: str = "md5") -> DataFrame:
+    """Threshold sample of real values with Laplace noise, after a cut if one is given: cell_id, value, weight. With tau up to the cut, the filter alone.
+
+    Behind a cut, empty cells that pass it are thinned. Without one, a kept magnitude has density min(x, tau) exp(-x / scale): the sum of two exponential draws, taken
+    with chance min(1, tau / x), first of so many that none being taken is out of the question."""
+    b, u = sensitivity / eps, lambda tag, key="cell_id": uniform(seed, tag, key, mode=mode)
+    if tau <= cut:
+        return laplace_filter(cells, m, eps, cut, seed, sensitivity, way, blocks, mode).selectExpr("cell_id", "value", "value AS weight")
+    keep = f"{u('keep')} < least(abs(value) / {float(tau)!r}D, 1D)"
+    if cut > 0:
+        rows = laplace_filter(cells, m, eps, cut, seed, sensitivity, way, blocks, mode).where(keep)
+    else:
+        own = cells.selectExpr("cell_id", f"CAST(v AS DOUBLE) + {laplace(b, seed, 'cell_id', mode=mode)} AS value").where(keep)
+        places = zero_cells(cells, m, laplace_keep(b, 0.0, tau), seed, way, blocks, mode)
+        drawn = places.selectExpr("cell_id AS place", f"explode(sequence(0, {math.ceil(42 * b / tau)})) AS t").selectExpr("place", "t", "xxhash64(place, t) AS cell_id")
+        sized = drawn.selectExpr("place", "t", "cell_id", f"-{b!r}D * (ln({u('one')}) + ln({u('two')})) AS x").where(f"{u('take')} * x < {float(tau)!r}D")
+        first = sized.groupBy("place").agg(F.min(F.struct("t", "x")).alias("y")).selectExpr("place AS cell_id", "y.x AS x")
+        rows = own.unionByName(first.selectExpr("cell_id", f"CASE WHEN {u('sign')} < 0.5D THEN -x ELSE x END AS value"))
+    return rows.selectExpr("cell_id", "value", f"signum(value) * greatest(abs(value), {float(tau)!r}D) AS weight")
+
+
 def raise_cut(summary: DataFrame, target: int) -> tuple[DataFrame, int]:
     """A finished filter summary with the least higher cut that leaves at most `target` rows. Only published values are read."""
     counts = sorted(((r["x"], r["count"]) for r in summary.groupBy(F.abs("value").alias("x")).count().collect()), reverse=True)

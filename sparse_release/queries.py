@@ -217,6 +217,8 @@ def uniform_strawman_v2(spark, sf):
 
 query("uniform_direct_v2")(lambda spark, sf: S.uniform_sample(_v2(spark, sf), _plan(M2), 0.05))
 query("laplace_filter_v5b")(lambda spark, sf: S.laplace_filter(V.v5b(spark, sf)[0], 13_750, EPS, 6.0))
+query("laplace_threshold_v5b")(lambda spark, sf: S.laplace_sample(V.v5b(spark, sf)[0], 13_750, EPS, 9.0))
+query("laplace_filter_threshold_v5b")(lambda spark, sf: S.laplace_sample(V.v5b(spark, sf)[0], 13_750, EPS, 9.0, 4.0))
 query("ensure_size_v2")(lambda spark, sf: S.ensure_size(_v2(spark, sf), _plan(M2), 12, 20_000)[0].select("cell_id", "value"))
 query("block_sampler_v4")(lambda spark, sf: zero_cells(V.v4(spark, sf)[0], V.v4(spark, sf)[1].size, 0.01, KEY, "block"))
 query("reject_sampler_v4")(lambda spark, sf: zero_cells(V.v4(spark, sf)[0], V.v4(spark, sf)[1].size, 0.01, KEY, "reject"))
@@ -365,6 +367,12 @@ def range_queries_exact_v3(spark, sf):
     return E.exact_range(_v3(spark, sf), _ranges(spark))
 
 
+@query("dense_range_answers_v3", f"""WITH f AS (SELECT * FROM (WITH c AS ({O.cells('v3a')}) {O.everything(M3, ALPHA, KEY)})), q AS ({_RANGES})
+    SELECT qid, CAST(sum(greatest(value, 0)) AS DOUBLE) AS estimate FROM q LEFT JOIN f ON cell_id >= lo AND cell_id < hi GROUP BY 1""")
+def dense_range_answers_v3(spark, sf):
+    return E.est_dense(S.full_geometric(_v3(spark, sf), _plan(M3)), _ranges(spark), clamp=True)
+
+
 @query("prefix_sums_v3", f"SELECT cell_id, CAST(sum(v) OVER (ORDER BY cell_id) AS BIGINT) AS prefix FROM ({O.cells('v3a')})")
 def prefix_sums_v3(spark, sf):
     return E.prefix_sums(_v3(spark, sf)).selectExpr("cell_id", "CAST(prefix AS BIGINT) AS prefix")

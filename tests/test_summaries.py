@@ -200,3 +200,17 @@ def test_extended_candidates_have_the_law(spark):
     for k, slack in ((0, 4.0), (1, 0.3)):
         a, b = (mean_sd([x[k] for x in seen[t]])[0] for t in seen)
         assert abs(a - b) < slack
+
+
+@pytest.mark.parametrize("cut", [0.0, 4.0])
+def test_laplace_samples(spark, cut):
+    """Empty cells' numbers and magnitudes, against plain integrals."""
+    from sparse_release.functions.laws import laplace_keep
+
+    none, m, b, tau = spark.createDataFrame([], "cell_id long, v long"), 60_000, 1 / 0.3, 8.0
+    got = S.laplace_sample(none, m, 0.3, tau, cut, mode="xxhash64", way="block").agg(F.count("*"), F.avg(F.abs("value")), F.avg(F.signum("value")), F.min(F.abs("weight"))).first()
+    xs = [cut + (k + 0.5) * 0.001 for k in range(100_000)]
+    w = [min(x / tau, 1) * math.exp(-x / b) / b for x in xs]
+    p = sum(w) * 0.001
+    assert p == pytest.approx(laplace_keep(b, cut, tau), rel=1e-4)
+    assert abs(got[0] - m * p) < 5 * math.sqrt(m * p) and abs(got[1] - sum(x * y for x, y in zip(xs, w, strict=True)) / sum(w)) < 0.15 and abs(got[2]) < 0.04 and got[3] >= tau
