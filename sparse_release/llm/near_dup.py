@@ -8,6 +8,8 @@ pair that meets there has its shared bytes tallied as before. Equal fingerprints
 A posting list of over BLOCK fingerprints is dealt out in pairs of blocks. Only edges that join something new leave a batch, and components come from alternating
 large-star and small-star rounds, all in tables. No cap anywhere.
 
+With a bound on similarity given, links are instead those of shingle_join: sets of `width`-word shingles whose Jaccard similarity reaches the bound, compared whole.
+
 Null or empty text: fingerprint 0, linked like any other. Rows with a null id get a component but never name one (null, if all of its rows have null ids). Repeated
 rows are rows of the same group. An empty table gives an empty result. Other columns do not matter.
 """
@@ -23,6 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import shingle_join
 from .common import durable, fresh, partitions
 
 SHINGLE, SEED = 4, 42
@@ -59,13 +62,13 @@ def simhash(text: str | None, width: int = SHINGLE, seed: int = SEED) -> int:
     return int.from_bytes(np.packbits(2 * set_ > n).tobytes(), "big")
 
 
-def fingerprints(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+def fingerprints(docs: DataFrame, id_col: str, text_col: str, width: int = SHINGLE) -> DataFrame:
     """id, th (a hash of the text) and fp (the fingerprint's bits as a signed long) of each row."""
     rows = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"), F.xxhash64(F.col(f"`{text_col}`")).alias("th"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = np.fromiter((simhash(t.as_py()) for t in b.column(1)), np.uint64, b.num_rows)
+            fp = np.fromiter((simhash(t.as_py(), width) for t in b.column(1)), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(fp.view(np.int64))], ["id", "th", "fp"])
 
     return rows.mapInArrow(run, f"id {dict(rows.dtypes)['id']}, th long, fp long")
@@ -161,12 +164,13 @@ def components(edges: DataFrame) -> DataFrame:
     return e.selectExpr("a AS node", "b AS root")
 
 
-def grouped(docs: DataFrame, id_col: str, text_col: str, block: int) -> tuple[DataFrame, DataFrame]:
+def grouped(docs: DataFrame, id_col: str, text_col: str, block: int, width: int = SHINGLE, similarity: float | None = None) -> tuple[DataFrame, DataFrame]:
     """Rows (id, th, fp), and for each fp its component: root, and the component's first row, by id (null last) and th."""
-    rows = durable(fingerprints(docs, id_col, text_col))
+    texts = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"), F.xxhash64(F.col(f"`{text_col}`")).alias("th"))
+    rows = durable(fingerprints(docs, id_col, text_col, width) if similarity is None else shingle_join.names(texts, width))
     first = F.min(F.struct(F.col("id").isNull().alias("nameless"), "id", "th")).alias("first")
     fps = durable(rows.groupBy("fp").agg(first))
-    roots = components(candidate_edges(fps.select("fp"), block))
+    roots = components(candidate_edges(fps.select("fp"), block) if similarity is None else shingle_join.similar_edges(texts.select("text", "th"), rows, width, similarity))
     rooted = durable(fps.join(roots, F.col("fp") == F.col("node"), "left").selectExpr("fp", "first", "coalesce(root, fp) AS root"))
     firsts = rooted.groupBy("root").agg(F.min("first").alias("first")).withColumnRenamed("root", "r")
     return rows, rooted.drop("first").join(firsts, F.col("root") == F.col("r")).selectExpr("fp AS f", "root", "first")
@@ -178,9 +182,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return rows.join(named, F.col("fp") == F.col("f")).select(F.col("id").alias(id_col), "fp", F.col("first.id").alias("component_id"))
 
 
-def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK) -> DataFrame:
-    """One row of docs for each component, the first by id (null last), then by the text's hash; with the columns of docs."""
-    rows, named = grouped(docs, id_col, text_col, block)
+def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK, width: int = SHINGLE, similarity: float | None = None) -> DataFrame:
+    """One row of docs for each component, the first by id (null last), then by the text's hash; with the columns of docs. similarity: least Jaccard similarity of a link (else: bits)."""
+    rows, named = grouped(docs, id_col, text_col, block, width, similarity)
     winners = durable(named.select("root", "first.id", "first.th").distinct())
     repeated = rows.groupBy("id", "th").count().where("count > 1").select(F.col("id").alias("i"), F.col("th").alias("t"))
     again = durable(winners.join(repeated, F.col("id").eqNullSafe(F.col("i")) & (F.col("th") == F.col("t")), "left_semi"))
