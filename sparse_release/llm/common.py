@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
+from collections.abc import Iterable
+from functools import reduce
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import xxhash
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Words are maximal runs of characters other than the six ASCII blanks (Java regex).
@@ -19,10 +23,13 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (tests)."""
+    """The folder that driver and executors share; a temporary one only where the session names none and runs in one process (tests)."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="ckpt-"))
     return sc.getCheckpointDir()
 
 
@@ -55,7 +62,40 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def n_words(text) -> F.Column:
+#: A key counts as hot if it has over 1 / HOT_KEYS of a table's rows, and HOT_LEAST at least; so there are never more than HOT_KEYS of them.
+HOT_KEYS, HOT_LEAST = 10_000, 256
+
+
+def hot_keys(rows: DataFrame, keys: list[str], least: int = HOT_LEAST) -> DataFrame | None:
+    """The hot values of these columns, HOT_KEYS at most; None if there are none."""
+    counts = rows.groupBy(*keys).count()
+    n = rows.count()
+    if n <= least:
+        return None
+    found = counts.where(F.col("count") > max(least, -(-n // HOT_KEYS))).drop("count")
+    hot = found.collect()
+    return rows.sparkSession.createDataFrame(hot, found.schema) if hot else None
+
+
+def join_unique(large: DataFrame, small: DataFrame, on: dict[str, str], how: str = "inner", least: int = HOT_LEAST) -> DataFrame:
+    """large joined (inner or left) with small, which has one row for each key at most; nulls equal nulls. on: columns of large to columns of small, no name in both.
+    The rows that small has for hot keys of large, HOT_KEYS at most, are broadcast, so no task gets all of a hot key's rows."""
+    alike = lambda names: _all(F.col(a).eqNullSafe(F.col(b)) for a, b in names.items())
+    hot = hot_keys(large, [*on], least)
+    if hot is None:
+        return large.join(small, alike(on), how)
+    names = {k: f"hot_{j}" for j, k in enumerate(on)}
+    hot = F.broadcast(hot.toDF(*names.values()))
+    few = small.join(hot, _all(F.col(b).eqNullSafe(F.col(names[a])) for a, b in on.items()), "left_semi")
+    top = large.join(hot, alike(names), "left_semi").join(F.broadcast(few), alike(on), how)
+    return large.join(hot, alike(names), "left_anti").join(small, alike(on), how).unionByName(top)
+
+
+def _all(conditions: Iterable[Column]) -> Column:
+    return reduce(lambda a, b: a & b, conditions)
+
+
+def n_words(text) -> Column:
     """Count of words of a text column; 0 for null."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD_RE)), F.lit(0)).cast("long")
 
@@ -94,30 +134,45 @@ def word_spans(buf: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndar
     return starts, ends, np.searchsorted(starts, bounds)
 
 
-def _powers(base: int, n: int) -> np.ndarray:
-    out = np.full(n, np.uint64(base), np.uint64)
-    if n:
-        out[0] = 1
-    return np.multiply.accumulate(out)
+#: Words of up to so many bytes are hashed and compared in vectorised steps of eight bytes, longer ones each by itself.
+SHORT_WORD = 64
+_FIRST_BYTES = np.array([(1 << (8 * k)) - 1 for k in range(9)], np.uint64)
+
+
+def _eights(buf: np.ndarray) -> np.ndarray:
+    """The eight bytes from each place of buf on (zeros beyond its end), as little-endian numbers."""
+    padded = np.concatenate((buf, np.zeros(8, np.uint8)))
+    return np.ndarray(len(buf) + 1, "<u8", buffer=padded.tobytes(), strides=(1,))
 
 
 def word_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int) -> np.ndarray:
-    """A 64-bit hash of each word's bytes, computed for all words at once from running sums of byte codes times powers of an odd base."""
-    code = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed))
-    out, base = np.empty(len(starts), np.uint64), (0x9E3779B97F4A7C15 + 2 * seed) | 1
-    base &= 0xFFFFFFFFFFFFFFFF
-    back = pow(base, -1, 1 << 64)
-    step = 1 << 22  # bytes of one go, so that the running sums stay small
-    at = 0
-    while at < len(starts):
-        upto = int(np.searchsorted(starts, starts[at] + step))
-        lo, hi = int(starts[at]), int(ends[upto - 1])
-        sums = np.zeros(hi - lo + 1, np.uint64)
-        np.cumsum(code[buf[lo:hi]] * _powers(base, hi - lo), out=sums[1:])
-        s, e = starts[at:upto] - lo, ends[at:upto] - lo
-        out[at:upto] = (sums[e] - sums[s]) * _powers(back, hi - lo + 1)[s]
-        at = upto
-    return mix64(out + (ends - starts).astype(np.uint64))
+    """A 64-bit hash of each word: eight bytes at a time are mixed into a state that starts from length and seed. Words of up to eight bytes and equal length never share one."""
+    n, eights = ends - starts, _eights(buf)
+    out = mix64(n.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed))
+    live, at = np.flatnonzero(n <= SHORT_WORD), 0
+    while len(live):
+        left = n[live] - at
+        out[live] = mix64(out[live] ^ (eights[starts[live] + at] & _FIRST_BYTES[np.minimum(left, 8)]))
+        live, at = live[left > 8], at + 8
+    for k in np.flatnonzero(n > SHORT_WORD).tolist():
+        out[k] = xxhash.xxh64_intdigest(buf[starts[k] : ends[k]].tobytes(), seed)
+    return out
+
+
+def spelled_alike(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, other: np.ndarray) -> np.ndarray:
+    """Whether each word has the very bytes of word other[k]."""
+    n, eights = ends - starts, _eights(buf)
+    same = n == n[other]
+    live, at = np.flatnonzero(same & (n <= SHORT_WORD)), 0
+    while len(live):
+        left = n[live] - at
+        differ = (eights[starts[live] + at] ^ eights[starts[other[live]] + at]) & _FIRST_BYTES[np.minimum(left, 8)]
+        same[live[differ != 0]] = False
+        live, at = live[(left > 8) & (differ == 0)], at + 8
+    for k in np.flatnonzero(same & (n > SHORT_WORD)).tolist():
+        j = other[k]
+        same[k] = k == j or buf[starts[k] : ends[k]].tobytes() == buf[starts[j] : ends[j]].tobytes()
+    return same
 
 
 def window_hashes(words: np.ndarray, firsts: np.ndarray, width: int, seed: int) -> tuple[np.ndarray, np.ndarray]:

@@ -5,8 +5,11 @@ verified bit by bit. Postings of a single byte would hold one in 256 fingerprint
 over chosen triples of positions instead, TRIPLES, so chosen that any 4 shared places hold one of them whole: no pair with enough shared bytes is missed, and each
 pair that meets there has its shared bytes tallied as before. Equal fingerprints are drawn together first, so copies cost nothing.
 
-A posting list of over BLOCK fingerprints is dealt out in pairs of blocks. Only edges that join something new leave a batch, and components come from alternating
-large-star and small-star rounds, all in tables. No cap anywhere.
+A posting list of over BLOCK fingerprints is dealt out again by the fourth byte that a pair in it must share; what is still as long, in pairs of blocks. A list of over
+WIDE is left to its fingerprints' variants, all values within 2 bits of one: two fingerprints are within 4 bits of each other just if they have a variant in common, and
+a variant has 2,081 owners at most, so the work grows with the list and not with its square. Only edges that join something new leave a batch, and components come from
+alternating large-star and small-star rounds, all in tables; keys with many rows (roots, hubs, fingerprints of many copies) are joined by broadcasting the one row that
+the other side has for each. No cap anywhere.
 
 With a bound on similarity given, links are instead those of shingle_join: sets of `width`-word shingles whose Jaccard similarity reaches the bound, compared whole.
 
@@ -26,15 +29,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import shingle_join
-from .common import durable, fresh, partitions
+from .common import HOT_KEYS, HOT_LEAST, durable, fresh, join_unique, partitions
 
 SHINGLE, SEED = 4, 42
 #: Shingles whose bits are counted at once.
 COUNTED = 1 << 16
 
 MAX_BITS, LEAST_BYTES = 4, 4
-#: Fingerprints of one posting list that one task compares with each other.
-BLOCK = 1024
+#: Fingerprints of one posting list that one task compares with each other; length from which a list's fingerprints meet in their variants.
+BLOCK, WIDE = 1024, 262_144
 
 
 def triples() -> list[tuple[int, ...]]:
@@ -125,22 +128,67 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield edges(*rest)
 
 
-def candidate_edges(fps: DataFrame, block: int = BLOCK) -> DataFrame:
+def _byte(k: int) -> str:
+    return f"(shiftrightunsigned(fp, {8 * k}) & 255)"
+
+
+def _long_lists(postings: DataFrame, block: int) -> DataFrame | None:
+    """k, n: lists (column key) of over block rows; None if there are none."""
+    found = durable(postings.groupBy("key").count().where(f"count > {block}").selectExpr("key AS k", "count AS n"))
+    return None if found.isEmpty() else found
+
+
+def candidate_edges(fps: DataFrame, block: int = BLOCK, wide: int = WIDE) -> DataFrame:
     """Edges (a, b) that connect what links of at most MAX_BITS differing bits connect. fps: distinct fp (long)."""
     n = partitions(fps.sparkSession)
-    byte = lambda k: f"(shiftrightunsigned(fp, {8 * k}) & 255)"
-    keys = ", ".join(f"{t}L * 16777216L + {byte(p)} * 65536L + {byte(q)} * 256L + {byte(r)}" for t, (p, q, r) in enumerate(TRIPLES))
+    keys = ", ".join(f"{t}L * 16777216L + {_byte(p)} * 65536L + {_byte(q)} * 256L + {_byte(r)}" for t, (p, q, r) in enumerate(TRIPLES))
     postings = fps.selectExpr("fp", f"explode(array({keys})) AS key")
-    large = durable(postings.groupBy("key").count().where(f"count > {block}").selectExpr("key AS k", f"CAST(ceil(count / {block}) AS INT) AS blocks"))
-    n_large = large.count()
-    if n_large:
-        # few rows: at most 20 / block of the fingerprints' number; broadcast only if that is small
-        sized = postings.join(F.broadcast(large) if n_large <= 10_000 else large, F.col("key") == F.col("k"), "left").selectExpr("fp", "key", "coalesce(blocks, 1) AS blocks")
-        dealt = sized.selectExpr("fp", "key", "blocks", "CAST(pmod(xxhash64(fp), blocks) AS INT) AS i").selectExpr("fp", "key", "blocks", "i", "explode(sequence(0, blocks - 1)) AS j")
-        rows = dealt.selectExpr("CASE WHEN blocks = 1 THEN key ELSE xxhash64(key, least(i, j), greatest(i, j)) END AS grp", "CASE WHEN i = j THEN 0 WHEN i < j THEN 1 ELSE 2 END AS side", "fp")
-    else:
-        rows = postings.selectExpr("key AS grp", "0 AS side", "fp")
-    return rows.repartition(n, "grp").sortWithinPartitions("grp").mapInArrow(_compare, "a long, b long")
+    rows, edges = postings.selectExpr("key AS grp", "0 AS side", "fp"), None
+    if (large := _long_lists(postings, block)) is not None:
+        on = F.col("key") == F.col("k")
+        rest = [[k for k in range(8) if k not in t] for t in TRIPLES]
+        fourth = " ".join(f"WHEN {t} THEN array({', '.join(f'xxhash64(key, {k}, {_byte(k)})' for k in ks)})" for t, ks in enumerate(rest))
+        finer = durable(postings.join(large, on, "left_semi").selectExpr("fp", f"explode(CASE key div 16777216L {fourth} END) AS key"))
+        rows = rows.join(large, F.col("grp") == F.col("k"), "left_anti")
+        if (still := _long_lists(finer, block)) is None:
+            rows = rows.unionByName(finer.selectExpr("key AS grp", "0 AS side", "fp"))
+        else:
+            rows = rows.unionByName(finer.join(still, on, "left_anti").selectExpr("key AS grp", "0 AS side", "fp"))
+            sized = join_unique(finer.join(still.where(f"n <= {wide}"), on, "left_semi"), still, {"key": "k"}).selectExpr("fp", "key", f"CAST(ceil(n / {block}) AS INT) AS blocks")
+            dealt = sized.selectExpr("fp", "key", "blocks", "CAST(pmod(xxhash64(fp), blocks) AS INT) AS i").selectExpr("fp", "key", "i", "explode(sequence(0, blocks - 1)) AS j")
+            rows = rows.unionByName(dealt.selectExpr("xxhash64(key, least(i, j), greatest(i, j)) AS grp", "CASE WHEN i = j THEN 0 WHEN i < j THEN 1 ELSE 2 END AS side", "fp"))
+            edges = by_variants(finer.join(still.where(f"n > {wide}"), on, "left_semi").select("fp").distinct(), n)
+    met = rows.repartition(n, "grp").sortWithinPartitions("grp").mapInArrow(_compare, "a long, b long")
+    return met if edges is None else met.unionByName(edges)
+
+
+def by_variants(fps: DataFrame, n: int) -> DataFrame:
+    """Edges among distinct fps that have a variant within MAX_BITS / 2 bits in common, a star for each variant."""
+    one = np.uint64(1) << np.arange(64, dtype=np.uint64)
+    flips = np.array([0] + [int(np.bitwise_or.reduce(one[list(c)])) for k in range(1, MAX_BITS // 2 + 1) for c in combinations(range(64), k)], np.uint64)
+
+    def spell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            fp = b.column(0).to_numpy().view(np.uint64)
+            for at in range(0, len(fp), 64):
+                some = fp[at : at + 64]
+                yield pa.RecordBatch.from_arrays([pa.array((some[:, None] ^ flips).ravel().view(np.int64)), pa.array(np.repeat(some, len(flips)).view(np.int64))], ["variant", "fp"])
+
+    def stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        variant = hub = None  # a variant's rows may go on in the next batch
+        for b in batches:
+            v, fp = b.column(0).to_numpy(), b.column(1).to_numpy()
+            if not len(v):
+                continue
+            heads = np.flatnonzero(np.concatenate(([True], v[1:] != v[:-1])))
+            first = fp[heads]
+            if variant == v[0]:
+                first[0] = hub
+            own = np.repeat(first, np.diff(np.append(heads, len(v))))
+            variant, hub = v[-1], first[-1]
+            yield pa.RecordBatch.from_arrays([pa.array(fp[fp != own]), pa.array(own[fp != own])], ["a", "b"])
+
+    return fps.mapInArrow(spell, "variant long, fp long").repartition(n, "variant").sortWithinPartitions("variant").mapInArrow(stars, "a long, b long").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -150,13 +198,16 @@ def components(edges: DataFrame) -> DataFrame:
         e = durable(e.where("a != b").selectExpr("greatest(a, b) AS a", "least(a, b) AS b").distinct())
         return e, tuple(e.selectExpr("count(*)", "sum(CAST(xxhash64(a, b) AS DECIMAL(38)))").first())
 
+    def met(e: DataFrame, least: DataFrame) -> DataFrame:
+        return join_unique(e, least, {"a": "u"})
+
     e, mark = cut(edges)
     while mark[0]:
         both = e.unionByName(e.selectExpr("b AS a", "a AS b"))
         least = both.groupBy("a").agg(F.min("b").alias("m")).selectExpr("a AS u", "least(a, m) AS m")
-        large = both.join(least, F.col("a") == F.col("u")).where("b > a").selectExpr("b AS a", "m AS b").where("a != b").distinct()
+        large = durable(met(both, least).where("b > a").selectExpr("b AS a", "m AS b").where("a != b").distinct())
         least = large.groupBy("a").agg(F.min("b").alias("m")).withColumnRenamed("a", "u")
-        small = large.join(least, F.col("a") == F.col("u")).selectExpr("explode(array(struct(a AS a, m AS b), struct(b AS a, m AS b))) AS e").selectExpr("e.a", "e.b")
+        small = met(large, least).selectExpr("explode(array(struct(a AS a, m AS b), struct(b AS a, m AS b))) AS e").selectExpr("e.a", "e.b")
         e, new = cut(small)
         if new == mark:
             break
@@ -173,28 +224,33 @@ def grouped(docs: DataFrame, id_col: str, text_col: str, block: int, width: int
     roots = components(candidate_edges(fps.select("fp"), block) if similarity is None else shingle_join.similar_edges(texts.select("text", "th"), rows, width, similarity))
     rooted = durable(fps.join(roots, F.col("fp") == F.col("node"), "left").selectExpr("fp", "first", "coalesce(root, fp) AS root"))
     firsts = rooted.groupBy("root").agg(F.min("first").alias("first")).withColumnRenamed("root", "r")
-    return rows, rooted.drop("first").join(firsts, F.col("root") == F.col("r")).selectExpr("fp AS f", "root", "first")
+    return rows, durable(join_unique(rooted.drop("first"), firsts, {"root": "r"}).selectExpr("fp AS f", "root", "first"))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK) -> DataFrame:
     """For each row: id, fp (fingerprint, as a signed long), component_id (smallest id that links reach, its own included)."""
     rows, named = grouped(docs, id_col, text_col, block)
-    return rows.join(named, F.col("fp") == F.col("f")).select(F.col("id").alias(id_col), "fp", F.col("first.id").alias("component_id"))
+    return join_unique(rows, named, {"fp": "f"}).select(F.col("id").alias(id_col), "fp", F.col("first.id").alias("component_id"))
 
 
 def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK, width: int = SHINGLE, similarity: float | None = None) -> DataFrame:
     """One row of docs for each component, the first by id (null last), then by the text's hash; with the columns of docs. similarity: least Jaccard similarity of a link (else: bits)."""
     rows, named = grouped(docs, id_col, text_col, block, width, similarity)
-    winners = durable(named.select("root", "first.id", "first.th").distinct())
-    repeated = rows.groupBy("id", "th").count().where("count > 1").select(F.col("id").alias("i"), F.col("th").alias("t"))
-    again = durable(winners.join(repeated, F.col("id").eqNullSafe(F.col("i")) & (F.col("th") == F.col("t")), "left_semi"))
-    k, h, = fresh(docs, "nd_id", "nd_th")
+    winners = named.select("root", "first.id", "first.th").distinct().selectExpr("id AS nd_win_id", "th AS nd_win_th")
+    k, h, n = fresh(docs, "nd_id", "nd_th", "nd_n")
+    # ids and hashes are of rows; so few repeat whole that a row of each with its number is joined, and hot ones are drawn together before they move
+    again = durable(rows.groupBy("id", "th").count().where("count > 1").select(F.col("id").alias("nd_again_id"), F.col("th").alias("nd_again_th"), F.col("count").alias(n)))
+    winners = durable(winners)
     keyed = docs.select(*[F.col(f"`{c}`") for c in docs.columns], F.col(f"`{id_col}`").alias(k), F.xxhash64(F.col(f"`{text_col}`")).alias(h))
-    own = F.col(k).eqNullSafe(F.col("w.nd_win_id")) & (F.col(h) == F.col("w.nd_win_th"))
-    at = lambda w: w.select(F.col("id").alias("nd_win_id"), F.col("th").alias("nd_win_th")).alias("w")
-    kept = keyed.join(at(winners), own, "left_semi")
-    if not again.isEmpty():  # rows that are repeated whole: one of each stays
-        kept = kept.join(at(again), own, "left_anti").unionByName(keyed.join(at(again), own, "left_semi").dropDuplicates([k, h]))
+    won = F.col(k).eqNullSafe(F.col("nd_win_id")) & (F.col(h) == F.col("nd_win_th"))
+    if again.isEmpty():
+        kept = keyed.join(winners, won, "left_semi")
+    else:
+        same = F.col(k).eqNullSafe(F.col("nd_again_id")) & (F.col(h) == F.col("nd_again_th"))
+        rare, hot = (again.where(c).drop(n) for c in (f"`{n}` <= {HOT_LEAST}", f"`{n}` > {HOT_LEAST}"))
+        several = keyed.join(rare, same, "left_semi").unionByName(keyed.join(F.broadcast(hot) if hot.count() <= HOT_KEYS else hot, same, "left_semi")).dropDuplicates([k, h])
+        lone = keyed.join(again.drop(n), same, "left_anti") if hot.isEmpty() else keyed.join(F.broadcast(hot) if hot.count() <= HOT_KEYS else hot, same, "left_anti").join(rare, same, "left_anti")
+        kept = lone.unionByName(several).join(winners, won, "left_semi")
     return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .license_scan import COPYRIGHT_LINE, NOT_WORD, NOTICES, SPELLINGS
+from .license_scan import COPYRIGHT_LINE, LINE_ENDS, NOT_WORD, SPELLINGS, catalogue
 from .quality_rules import POLICIES, RULES
 
 WORD = r"[^\x20\x09-\x0D]+"
@@ -69,10 +69,11 @@ def _squeezed(x: str) -> str:
 
 
 def license_scan() -> str:
-    whole = _squeezed(_respelled("replace(l, chr(10), ' ')"))
-    listed = ", ".join(f"({_quoted(a)}, {_quoted(b)})" for a, b in NOTICES)
-    return f"""WITH d AS (SELECT doc_id, {_lined('text')} AS l FROM documents), n(license, notice) AS (VALUES {listed}), k AS (SELECT license, {_lined('notice')} AS l FROM n),
-        known AS (SELECT {whole} AS c, min(license) AS license FROM k GROUP BY 1), w AS (SELECT doc_id, l, {whole} AS c FROM d),
-        lines AS (SELECT doc_id, {_squeezed('line')} AS c FROM (SELECT doc_id, unnest(string_split(l, chr(10))) AS line FROM d)),
-        found AS (SELECT doc_id, string_agg(DISTINCT license, ',' ORDER BY license) AS notices FROM lines JOIN known USING (c) GROUP BY 1)
+    whole = _squeezed(_respelled(f"regexp_replace(l, {_quoted(LINE_ENDS)}, '  ', 'g')"))
+    listed = ", ".join(f"({_quoted(a)}, {_quoted(b)}, {part})" for a, b, part in catalogue())
+    return f"""WITH d AS (SELECT doc_id, {_lined('text')} AS l FROM documents), n(license, notice, part) AS (VALUES {listed}), k AS (SELECT license, part, {_lined('notice')} AS l FROM n),
+        known AS (SELECT {whole} AS c, min(license) AS license, bool_or(part) AS part FROM k GROUP BY 1), w AS (SELECT doc_id, l, {whole} AS c FROM d),
+        parts AS (SELECT doc_id, {_squeezed('line')} AS c FROM (SELECT doc_id, unnest(string_split(l, chr(10))) AS line FROM d)
+            UNION SELECT doc_id, {whole} AS c FROM (SELECT doc_id, unnest(string_split_regex(l, '\n[ \n]*\n')) AS l FROM d) WHERE length(l) < 10000),
+        found AS (SELECT doc_id, string_agg(DISTINCT license, ',' ORDER BY license) AS notices FROM parts JOIN known USING (c) WHERE part GROUP BY 1)
         SELECT w.doc_id, sha256(w.c) AS digest, known.license, coalesce(notices, '') AS notices FROM w LEFT JOIN known USING (c) LEFT JOIN found ON w.doc_id = found.doc_id"""

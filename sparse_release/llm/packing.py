@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import word_hashes, word_spans
+from .common import SHORT_WORD, spelled_alike, word_hashes, word_spans
 
 SEQ_LEN, SHORTEST_TIER = 4096, 512
 #: Tokens packed together, tokens of a step group, words remembered by one worker.
@@ -61,8 +61,12 @@ class Encoder:
         buf = np.frombuffer(raw, np.uint8)
         starts, ends = _parted(buf, *word_spans(buf, bounds)[:2])
         firsts = np.searchsorted(starts, bounds)
-        distinct, at, which = np.unique(word_hashes(buf, starts, ends, 5), return_index=True, return_inverse=True)
-        ids = self._ids(raw, distinct.tolist(), starts[at], ends[at])
+        _, at, which = np.unique(word_hashes(buf, starts, ends, 5), return_index=True, return_inverse=True)
+        if not spelled_alike(buf, starts, ends, at[which]).all():  # two words have one hash: told apart by their bytes
+            number = {}
+            which = np.array([number.setdefault(raw[a:b], len(number)) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)])
+            at = np.unique(which, return_index=True)[1]
+        ids = self._ids([raw[a:b] for a, b in zip(starts[at].tolist(), ends[at].tolist(), strict=True)])
         flat, n = np.frombuffer(b"".join(ids), "<u4"), np.fromiter(map(len, ids), np.int64, len(ids)) // 4
         count, place = n[which], (np.cumsum(n) - n)[which]
         upto = np.concatenate(([0], np.cumsum(count)))
@@ -70,18 +74,19 @@ class Encoder:
         cuts = upto[firsts]
         return [out[a:b].tobytes() + self.end for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
 
-    def _ids(self, raw: bytes, words: list[int], starts: np.ndarray, ends: np.ndarray) -> list[bytes]:
-        """Ids of distinct words, given their hashes and one place of each."""
+    def _ids(self, words: list[bytes]) -> list[bytes]:
+        """Ids of distinct words. Long words are not remembered."""
         if len(self.known) > REMEMBERED:
             self.known.clear()
         out = list(map(self.known.get, words))
         new = [k for k, v in enumerate(out) if v is None]
-        spelled = [raw[a:b].decode() for a, b in zip(starts[new].tolist(), ends[new].tolist(), strict=True)]
-        ids = [e.ids for e in self.tokenizer.encode_batch_fast(spelled, add_special_tokens=False)]
+        ids = [e.ids for e in self.tokenizer.encode_batch_fast([words[k].decode() for k in new], add_special_tokens=False)]
         blob, at = np.fromiter(chain.from_iterable(ids), "<u4").tobytes(), 0
         for k, n in zip(new, map(len, ids), strict=True):
-            out[k] = self.known[words[k]] = blob[at : at + 4 * n]
+            out[k] = blob[at : at + 4 * n]
             at += 4 * n
+            if len(words[k]) <= SHORT_WORD:
+                self.known[words[k]] = out[k]
         return out
 
 

@@ -79,8 +79,8 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mix = source_mixing.mix_sources(documents(spark, sf_dir))
-    each = mix.withColumn("one", F.explode(F.sequence(F.lit(1), F.col("repeats").cast("int"))))
-    return each.select(F.col("id").alias("doc_id"), "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
+    each = mix.withColumn("one", F.explode(F.sequence(F.lit(1).cast("long"), F.col("repeats"))))
+    return each.select(F.col("id").alias("doc_id"), "size", "source_size", "target", ((F.col("base") + (F.col("one") <= F.col("extra")).cast("long")) * F.col("size")).alias("taken"))
 
 
 QUERIES: dict[str, Query] = {

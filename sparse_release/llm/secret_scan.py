@@ -2,7 +2,8 @@
 
 Strong spans are found by pattern alone. Weak candidates (an account name, a random-looking token, an endpoint) mean nothing by themselves; they are
 reported only when the complementary parts of a credential stand within one scope: identifier and secret for both of these, and both for an endpoint.
-The interval join of parts runs over each text's parts in order of their place, once forwards and once backwards, inside the row: no shuffle, no Python.
+The interval join of parts is a matter of running maxima and minima over each text's parts in order of their place, inside the row: no shuffle, no Python. Running
+values are taken by doubling steps, so a text with n spans costs n log n.
 
 Offsets are code points, ends exclusive. Null text: as empty, no spans. Rows are scanned each for itself, so repeated rows and ids give equal
 results; an empty table gives an empty one. Other columns pass through whatever their names.
@@ -29,12 +30,19 @@ N_BASE = 3
 #: Two parts are in one scope if they start at most so many code points apart.
 SCOPE = 400
 
-#: What takes the place of a secret.
-MASK = "[SECRET]"
+#: What takes the place of a secret; code points of the pieces that a text is cut into for that.
+MASK, PIECE = "[SECRET]", 4096
 
 _SPAN = "struct<s:bigint,k:int,e:bigint>"
 
 
+def _running(values: str, how: str) -> str:
+    """SQL: running sums (`add`), or running `greatest` or `least` that pass nulls over, of an array; each step reaches twice as far back as the one before."""
+    reach = "get(x, i - CAST(shiftleft(1, d) AS INT))"
+    both = f"v + coalesce({reach}, 0L)" if how == "add" else f"{how}(v, {reach})"
+    return f"aggregate(CASE WHEN size({values}) > 1 THEN sequence(0, CAST(ceil(log2(size({values}))) AS INT) - 1) ELSE array() END, {values}, (x, d) -> transform(x, (v, i) -> {both}))"
+
+
 def _quoted(pattern: str) -> str:
     return "'" + pattern.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
@@ -52,31 +60,31 @@ def secret_spans(docs: DataFrame, text_col: str = "text", scope: int = SCOPE, na
     def located(rank: int) -> str:
         kind, pattern, least = KINDS[rank]
         m, p = f"`{raw}`.{kind}.m", f"`{raw}`.{kind}.p"
-        value = f"regexp_extract({m}[i], {_quoted(pattern)}, 2)" if kind in ("assign", "part_id") else f"{m}[i]"
-        fits = f"length({value}) >= {least}" + (f" AND {m}[i] RLIKE '[0-9]' AND {m}[i] RLIKE '[A-Za-z]'" if kind == "part_secret" else "")
-        return f"""CASE WHEN `{raw}`.{kind} IS NULL THEN CAST(array() AS array<{_SPAN}>) ELSE aggregate(
-            sequence(0, size({m}) - 1), struct(0L AS at, CAST(array() AS array<{_SPAN}>) AS got),
-            (a, i) -> struct(a.at + length({p}[i]) + length({m}[i]) AS at,
-                CASE WHEN {fits} THEN concat(a.got, array(struct(a.at + length({p}[i]) AS s, {rank} AS k, a.at + length({p}[i]) + length({m}[i]) AS e))) ELSE a.got END AS got),
-            a -> a.got) END"""
+        value = "regexp_extract(v.m, {}, 2)".format(_quoted(pattern)) if kind in ("assign", "part_id") else "v.m"
+        fits = f"length({value}) >= {least}" + (" AND v.m RLIKE '[0-9]' AND v.m RLIKE '[A-Za-z]'" if kind == "part_secret" else "")
+        ends = _running(f"transform({m}, (x, i) -> CAST(length(x) + length({p}[i]) AS BIGINT))", "add")
+        return f"""CASE WHEN `{raw}`.{kind} IS NULL THEN CAST(array() AS array<{_SPAN}>) ELSE transform(
+            filter(zip_with({m}, {ends}, (m, e) -> struct(m, e)), v -> {fits}), v -> struct(v.e - length(v.m) AS s, {rank} AS k, v.e AS e)) END"""
 
     placed = found.selectExpr(*keep, f"array_sort(concat({', '.join(located(k) for k in range(len(KINDS)))})) AS `{parts}`")
-    # identifiers: access, part_id; secrets: assign, hex, part_secret. Walking on, each part learns the nearest of either before it.
-    far = "CAST(-1000000000000 AS BIGINT)"
-
-    def walk(rows: str, sign: str) -> str:
-        return f"""aggregate({rows}, struct({far} AS i, {far} AS x, CAST(array() AS array<struct<i:bigint,x:bigint>>) AS got),
-            (a, v) -> struct(CASE WHEN v.k IN (1, 4) THEN {sign}v.s ELSE a.i END AS i, CASE WHEN v.k IN (0, 2, 3) THEN {sign}v.s ELSE a.x END AS x,
-                concat(a.got, array(struct(CASE WHEN v.k IN (1, 4) THEN {sign}v.s ELSE a.i END AS i, CASE WHEN v.k IN (0, 2, 3) THEN {sign}v.s ELSE a.x END AS x))) AS got),
-            a -> a.got)"""
-
-    weak = f"exists(`{parts}`, v -> v.k >= {N_BASE})"
-    linked = placed.selectExpr(*keep, f"`{parts}`", f"CASE WHEN {weak} THEN struct({walk(f'`{parts}`', '')} AS f, reverse({walk(f'reverse(`{parts}`)', '-')}) AS b) END AS `{walked}`")
-    near_id = f"(v.s - `{walked}`.f[j].i <= {scope} OR -`{walked}`.b[j].i - v.s <= {scope})"
-    near_secret = f"(v.s - `{walked}`.f[j].x <= {scope} OR -`{walked}`.b[j].x - v.s <= {scope})"
-    base = f"filter(`{parts}`, v -> v.k < {N_BASE})"
-    clear = f"NOT exists({base}, o -> o.s < v.e AND v.s < o.e)"
-    added = f"filter(`{parts}`, (v, j) -> (v.k = 3 AND {near_id} AND {clear}) OR (v.k = 4 AND {near_secret}) OR (v.k = 5 AND {near_id} AND {near_secret}))"
+    # Identifiers: access, part_id; secrets: assign, hex, part_secret. For each part, the last start of either up to it and the next one from it on; the furthest
+    # end of a base span up to it, and the start of the next.
+    at = f"`{parts}`"
+
+    def before(kinds: str, value: str = "s") -> str:
+        return _running(f"transform({at}, v -> CASE WHEN v.k IN ({kinds}) THEN v.{value} END)", "greatest")
+
+    def after(kinds: str) -> str:
+        return f"reverse({_running(f'transform(reverse({at}), v -> CASE WHEN v.k IN ({kinds}) THEN v.s END)', 'least')})"
+
+    ids, keys, base_kinds = "1, 4", "0, 2, 3", ", ".join(map(str, range(N_BASE)))
+    weak = f"exists({at}, v -> v.k >= {N_BASE})"
+    running = f"{before(ids)} AS i, {after(ids)} AS i2, {before(keys)} AS x, {after(keys)} AS x2, {before(base_kinds, 'e')} AS b, {after(base_kinds)} AS b2"
+    linked = placed.selectExpr(*keep, at, f"CASE WHEN {weak} THEN struct({running}) END AS `{walked}`")
+    near = lambda c: f"(coalesce(v.s - `{walked}`.{c}[j] <= {scope}, FALSE) OR coalesce(`{walked}`.{c}2[j] - v.s <= {scope}, FALSE))"
+    base = f"filter({at}, v -> v.k < {N_BASE})"
+    clear = f"(coalesce(`{walked}`.b[j] <= v.s, TRUE) AND coalesce(`{walked}`.b2[j] >= v.e, TRUE))"
+    added = f"filter({at}, (v, j) -> (v.k = 3 AND {near('i')} AND {clear}) OR (v.k = 4 AND {near('x')}) OR (v.k = 5 AND {near('i')} AND {near('x')}))"
     done = linked.selectExpr(*keep, f"struct({base} AS base, CASE WHEN `{walked}` IS NULL THEN {base} ELSE array_sort(concat({base}, {added})) END AS spans) AS `{out}`")
     return done, out
 
@@ -90,12 +98,24 @@ def spelled(spans: str) -> str:
 def masked(docs: DataFrame, text_col: str = "text", scope: int = SCOPE) -> DataFrame:
     """docs with every span of every secret replaced by MASK; spans that meet are replaced together. Columns as before."""
     rows, col = secret_spans(docs, text_col, scope)
-    merged = f"""aggregate(`{col}`.spans, CAST(array() AS array<struct<s:bigint,e:bigint>>), (a, v) -> CASE
-        WHEN size(a) > 0 AND v.s <= a[size(a) - 1].e THEN concat(slice(a, 1, size(a) - 1), array(struct(a[size(a) - 1].s AS s, greatest(a[size(a) - 1].e, v.e) AS e)))
-        ELSE concat(a, array(struct(v.s AS s, v.e AS e))) END)"""
-    cuts, = fresh(rows, "ss_cuts")
-    rows = rows.withColumn(cuts, F.expr(f"CASE WHEN size(`{col}`.spans) > 0 THEN {merged} END"))
-    pieces = f"""concat(transform(`{cuts}`, (v, i) -> concat(substring(`{text_col}`, CAST(CASE WHEN i = 0 THEN 1 ELSE `{cuts}`[greatest(i - 1, 0)].e + 1 END AS INT),
-        CAST(v.s - CASE WHEN i = 0 THEN 0 ELSE `{cuts}`[greatest(i - 1, 0)].e END AS INT)), '{MASK}')), array(substring(`{text_col}`, CAST(`{cuts}`[size(`{cuts}`) - 1].e + 1 AS INT))))"""
-    text = F.expr(f"CASE WHEN `{cuts}` IS NULL THEN `{text_col}` ELSE array_join({pieces}, '') END")
-    return rows.select(*[text.alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
+    reach, cuts, parts = fresh(rows, "ss_reach", "ss_cuts", "ss_parts")
+    spans, keep = f"`{col}`.spans", [f"`{c}`" for c in rows.columns]
+    found = rows.selectExpr(*keep, f"CASE WHEN size({spans}) > 0 THEN {_running(f'transform({spans}, v -> v.e)', 'greatest')} END AS `{reach}`")
+    # a cut starts where no span before reaches, and ends where the next does not start within reach
+    heads = f"filter({spans}, (v, j) -> coalesce(v.s > get(`{reach}`, j - 1), TRUE))"
+    tails = f"filter(`{reach}`, (e, j) -> coalesce(get({spans}, j + 1).s > e, TRUE))"
+    found = found.selectExpr(*keep, f"CASE WHEN `{reach}` IS NOT NULL THEN zip_with({heads}, {tails}, (v, e) -> struct(v.s AS s, e AS e)) END AS `{cuts}`")
+    # the text in pieces of bounded length, so that a place in it is found without reading all before it
+    text = f"`{text_col}`"
+    found = found.selectExpr(*keep, f"`{cuts}`", f"CASE WHEN `{cuts}` IS NOT NULL THEN regexp_extract_all({text}, '(?s).{{1,{PIECE}}}', 0) END AS `{parts}`")
+
+    def between(a: str, b: str) -> str:
+        first, last = f"CAST({a} div {PIECE} AS INT)", f"CAST({b} div {PIECE} AS INT)"
+        head = f"CAST({a} % {PIECE} + 1 AS INT)"
+        return f"""CASE WHEN {a} >= {b} THEN '' WHEN {first} = {last} THEN substring(`{parts}`[{first}], {head}, CAST({b} - {a} AS INT))
+            ELSE concat(substring(`{parts}`[{first}], {head}), array_join(slice(`{parts}`, {first} + 2, {last} - {first} - 1), ''), coalesce(substring(get(`{parts}`, {last}), 1, CAST({b} % {PIECE} AS INT)), '')) END"""
+
+    kept = f"transform(`{cuts}`, (v, i) -> concat({between(f'coalesce(get(`{cuts}`, i - 1).e, 0L)', 'v.s')}, '{MASK}'))"
+    rest = between(f"element_at(`{cuts}`, -1).e", f"CAST(length({text}) AS BIGINT)")
+    masked_text = F.expr(f"CASE WHEN `{cuts}` IS NULL THEN {text} ELSE concat(array_join({kept}, ''), {rest}) END")
+    return found.select(*[masked_text.alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])

@@ -4,9 +4,11 @@ A repeat of `window` words holds, wherever it lies, one whole block of `block` w
 text's grid are indexed, every rolling window of `block` words probes the index, and hits are widened to the `window`-word runs that hold them; runs that also
 begin in a text of smaller id are removed, and neighbouring ones join to maximal repeats.
 
-How it is dealt out: texts lie in chunks of some hundred neighbours by id. A chunk sends each index bucket one row of packed hashes (each hash once for a chunk,
-so groups of copies are drawn together before anything moves) and gets one row of bits back; texts themselves move once. The first exchange uses short hashes,
-which let through a few runs too many; the second decides on 96 bits of the whole runs.
+How it is dealt out: texts lie in chunks of some hundred, by a hash of id and text. A chunk sends each index bucket one row of packed hashes (each hash once for a
+chunk, so groups of copies are drawn together before anything moves) and gets one row of bits back; texts themselves move once. The first exchange uses short hashes,
+which let through a few runs too many. The second decides: a run is 96 bits, 64 and 32 of two hashes that share neither word hashes nor factors, with the smallest
+id of the chunk that holds it. Widening a hit against each text that holds its block would take as many comparisons as a group of copies has pairs, since which text
+of the group goes on for a whole window is not known before; the index of runs answers for all of them at once.
 
 Null text: no words. Null id: the row is kept whole and makes no other smaller. Rows with equal ids do not count as smaller than each other. Texts shorter than a
 window are kept; texts of any length are treated whole. An empty table gives an empty result. Other columns do not matter.
@@ -23,27 +25,20 @@ from pyspark.sql import functions as F
 
 from .common import BLANK_RE, n_words, partitions, window_hashes, word_hashes, word_spans
 
-#: Rows of a chunk, and cells by which ids are counted to cut chunks of that many.
-CHUNK_ROWS, CELLS = 256, 4096
+#: Rows of a chunk.
+CHUNK_ROWS = 256
 #: Index buckets for each shuffle partition; a task holds one at a time.
 BUCKETS = 2
 
-_RESULT = "id long, n_words long, removed array<struct<start:long,end:long>>, kept_text string"
+_RESULT = "id long, n_words long, removed array<struct<start:long,end:long>>, kept_text string, copies long"
 
 
-def id_chunks(docs: DataFrame, id_col: str, rows: int = CHUNK_ROWS) -> DataFrame:
-    """docs (with an id that is not null) and a chunk number that rises with the id; a chunk has about so many rows, also where ids crowd."""
-    lo, hi, n = docs.agg(F.min(id_col), F.max(id_col), F.count(id_col)).first()
-    # chunks do not reach over cells, so a cell holds several
-    lo, width = (0, 1) if lo is None else (lo, (hi - lo) // max(1, min(CELLS, n // (16 * rows))) + 1)
-    # in decimals, since ids may lie further apart than a long reaches
-    offset = f"(CAST(`{id_col}` AS DECIMAL(20, 0)) - CAST({lo} AS DECIMAL(20, 0)))"
-    cell = F.expr(f"CAST({offset} div CAST({width} AS DECIMAL(20, 0)) AS BIGINT)")
-    counts = docs.groupBy(cell.alias("cell")).count().collect()  # CELLS rows at most
-    table = docs.sparkSession.createDataFrame([(int(r["cell"]), min(-(-width * rows // r["count"]), 1 << 62)) for r in counts], "cell long, step long")
-    # ids are integers, so a step of less than 1 changes nothing
-    chunk = F.expr(f"cell * 4294967296L + CAST(({offset} % CAST({width} AS DECIMAL(20, 0))) div CAST(greatest(step, 1L) AS DECIMAL(20, 0)) AS BIGINT)")
-    return docs.withColumn("cell", cell).join(F.broadcast(table), "cell").withColumn("chunk", chunk).drop("cell", "step")
+def in_chunks(rows: DataFrame, chunk_rows: int) -> DataFrame:
+    """rows (id, text) dealt into chunks of about so many by hashes of both, with `copies`. Where an id has more rows than a chunk, rows that are equal become one, with their number."""
+    crowded = not rows.groupBy("id").count().where(F.col("count") > chunk_rows).isEmpty()
+    rows = rows.groupBy("id", "text").agg(F.count(F.lit(1)).alias("copies")) if crowded else rows.withColumn("copies", F.lit(1).cast("long"))
+    chunks = max(1, -(-rows.count() // chunk_rows))
+    return rows.withColumn("chunk", F.pmod(F.xxhash64("id", "text"), F.lit(chunks)).cast("long"))
 
 
 class Chunk:
@@ -57,6 +52,7 @@ class Chunk:
         self.buf = np.frombuffer(text.buffers()[2] or b"", np.uint8)[off[0] : off[-1]]
         self.bounds = off - off[0]
         starts, ends, self.firsts = word_spans(self.buf, self.bounds)
+        self.spans = starts, ends
         self.words = word_hashes(self.buf, starts, ends, 1)
 
     def doc_of(self, at: np.ndarray) -> np.ndarray:
@@ -87,7 +83,7 @@ class Chunk:
         low, at = window_hashes(self.words, self.firsts, self.window, 11)
         span = self.window - self.block + 1
         some = hit[at + span] > hit[at]
-        high, _ = window_hashes(self.words, self.firsts, self.window, 12)
+        high, _ = window_hashes(word_hashes(self.buf, *self.spans, 2), self.firsts, self.window, 12)
         self.run_at, self.run_h, self.run_x = at[some], low[some], (high[some] >> np.uint64(32)).astype(np.uint32)
 
     def runs(self, buckets: int) -> None:
@@ -101,6 +97,11 @@ class Chunk:
         self.run_bucket = bucket[self.run_heads]
 
 
+def _owners(ids: bytes, which: bytes, n: int) -> np.ndarray:
+    """Ids of n runs from a table of ids and places in it."""
+    return np.frombuffer(ids, np.int64)[np.frombuffer(which, f"u{len(which) // n}")]
+
+
 def _bits(x: np.ndarray) -> bytes:
     return np.packbits(x).tobytes()
 
@@ -124,7 +125,7 @@ def dedup_substrings(docs: DataFrame, window: int = 13, block: int = 7, id_col:
     n_parts = partitions(docs.sparkSession)
     buckets = BUCKETS * n_parts
     rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text_col}`").alias("text"))
-    placed = id_chunks(rows.where("id IS NOT NULL"), "id", chunk_rows)
+    placed = in_chunks(rows.where("id IS NOT NULL"), chunk_rows)
     texts = placed.repartition(n_parts, "chunk")  # one exchange, reused by the three passes below
 
     def ask(key: tuple, rows: pa.Table) -> pa.Table:
@@ -165,8 +166,9 @@ def dedup_substrings(docs: DataFrame, window: int = 13, block: int = 7, id_col:
             c.runs(buckets)
             h, x = c.run_h[c.run_heads], c.run_x[c.run_heads]
             for bucket, s in c.split(c.run_bucket):
-                out.append((bucket, s.start, h[s].tobytes(), x[s].tobytes()))
-        return _table(key[0].as_py(), out, ("bucket", "place", "hashes", "more"), (pa.int32(), pa.int64(), pa.binary(), pa.binary()))
+                ids, which = np.unique(c.owner[c.run_heads[s]], return_inverse=True)
+                out.append((bucket, s.start, h[s].tobytes(), x[s].tobytes(), ids.tobytes(), which.astype(np.min_scalar_type(len(ids))).tobytes()))
+        return _table(key[0].as_py(), out, ("bucket", "place", "hashes", "more", "ids", "which"), (pa.int32(), pa.int64(), *[pa.binary()] * 4))
 
     def _with_candidates(left: pa.Table, right: pa.Table) -> Chunk:
         c = Chunk(left, window, block)
@@ -174,16 +176,18 @@ def dedup_substrings(docs: DataFrame, window: int = 13, block: int = 7, id_col:
         c.candidates(_replies(right.filter(pa.compute.equal(right.column("step"), 0)), len(c.h)))
         return c
 
-    asked_runs = texts.groupBy("chunk").cogroup(live.groupBy("chunk")).applyInArrow(ask_runs, "chunk long, bucket int, place long, hashes binary, more binary")
+    asked_runs = texts.groupBy("chunk").cogroup(live.groupBy("chunk")).applyInArrow(ask_runs, "chunk long, bucket int, place long, hashes binary, more binary, ids binary, which binary")
 
     def first_seen(rows: pa.Table) -> pa.Table:
         hs = [np.frombuffer(x.as_py(), np.uint64) for x in rows.column("hashes")]
         n = [len(x) for x in hs]
         h, x = np.concatenate(hs), np.concatenate([np.frombuffer(x.as_py(), np.uint32) for x in rows.column("more")])
-        chunk = np.repeat(rows.column("chunk").to_numpy(), n)
-        order = np.lexsort((chunk, x, h))
-        later = np.zeros(len(h), bool)
-        later[order[1:]] = (h[order[1:]] == h[order[:-1]]) & (x[order[1:]] == x[order[:-1]])
+        own = np.concatenate([_owners(*c, k) for *c, k in zip(rows.column("ids").to_pylist(), rows.column("which").to_pylist(), n, strict=True)])
+        order = np.lexsort((own, x, h))
+        h, x, own = h[order], x[order], own[order]
+        heads = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (x[1:] != x[:-1]))))
+        later = np.empty(len(h), bool)
+        later[order] = own > np.repeat(own[heads], np.diff(np.append(heads, len(h))))
         return _reply(rows, n, later, 1)
 
     earlier = asked_runs.groupBy("bucket").applyInArrow(first_seen, "chunk long, step int, place long, n long, bits binary")
@@ -215,9 +219,10 @@ def dedup_substrings(docs: DataFrame, window: int = 13, block: int = 7, id_col:
             removed.append(spans)
             kept.append(b" ".join(words).decode())
         kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-        return pa.table([left.column("id").combine_chunks(), pa.array(n, pa.int64()), pa.array(removed, kind), pa.array(kept, pa.string())], names=["id", "n_words", "removed", "kept_text"])
+        return pa.table([left.column("id").combine_chunks(), pa.array(n, pa.int64()), pa.array(removed, kind), pa.array(kept, pa.string()), left.column("copies").combine_chunks()], names=["id", "n_words", "removed", "kept_text", "copies"])
 
     done = texts.groupBy("chunk").cogroup(live.unionByName(earlier).groupBy("chunk")).applyInArrow(cut, _RESULT)
+    done = done.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).drop("copies", "copy")
     nameless = rows.where("id IS NULL").select(
         "id", n_words(F.col("text")).alias("n_words"), F.array().cast("array<struct<start:long,end:long>>").alias("removed"),
         F.array_join(F.filter(F.split(F.coalesce("text", F.lit("")), BLANK_RE), lambda w: w != ""), " ").alias("kept_text"),

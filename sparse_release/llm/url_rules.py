@@ -21,8 +21,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 LOCAL_RULES = 100_000
-#: Rows of urls of one range, when rules are dealt out.
-RANGE_ROWS = 200_000
+#: Rows of urls of one part, when rules are dealt out; most ranges of keys (a range has several parts where there are more rows than that).
+RANGE_ROWS, MAX_RANGES = 200_000, 4096
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _AFTER = chr(0x10FFFF)
@@ -97,8 +97,10 @@ def match_rules(urls: DataFrame, rules: DataFrame, id_col: str = "page_id", url_
 
 
 def _by_range(rows: DataFrame, rules: DataFrame, schema: str, range_rows: int) -> DataFrame:
-    n = max(1, -(-rows.count() // range_rows))
-    # Bounds only spread the load; a sample of some twenty keys for each range is enough, whatever it holds.
+    wanted = max(1, -(-rows.count() // range_rows))
+    n = min(wanted, MAX_RANGES)
+    parts = -(-wanted // n)
+    # Bounds only spread the load; a sample of some twenty keys for each range is enough, whatever it holds. It is bounded, as the ranges are.
     drawn = rows.select("key", F.xxhash64("key", "path", "id").alias("h")).orderBy("h").limit(20 * n).select("key").collect()
     keys = sorted(r.key for r in drawn)
     bounds = [keys[len(keys) * k // n] for k in range(1, n)] if keys else []
@@ -107,11 +109,12 @@ def _by_range(rows: DataFrame, rules: DataFrame, schema: str, range_rows: int) -
     def of_url(key: pd.Series, h: pd.Series) -> pd.Series:
         lo = [bisect.bisect_left(bounds, k) for k in key]
         hi = [bisect.bisect_right(bounds, k) for k in key]
-        return pd.Series([a + int(x) % (b - a + 1) for a, b, x in zip(lo, hi, h, strict=True)], dtype="int32")
+        some = [int(x) % ((b - a + 1) * parts) for a, b, x in zip(lo, hi, h, strict=True)]
+        return pd.Series([(a + x // parts) * parts + x % parts for a, x in zip(lo, some, strict=True)], dtype="int32")
 
     @F.pandas_udf("array<int>")
     def of_rule(key: pd.Series) -> pd.Series:
-        return pd.Series([list(range(bisect.bisect_left(bounds, k), bisect.bisect_right(bounds, k + _AFTER) + 1)) for k in key])
+        return pd.Series([list(range(bisect.bisect_left(bounds, k) * parts, (bisect.bisect_right(bounds, k + _AFTER) + 1) * parts)) for k in key])
 
     dealt_urls = rows.withColumn("part", of_url("key", F.xxhash64("path", "id")))
     dealt_rules = rules.withColumn("part", F.explode(of_rule("key")))
