@@ -6,7 +6,7 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 
-_ROW = "release string, eps double, delta double, part string, note string"
+_ROW = "release string, eps double, delta double, part string, note string, digest string"
 
 
 @dataclass
@@ -15,15 +15,19 @@ class Accountant:
 
     budget: float
     delta_budget: float = 0.0
-    entries: list[tuple[str, float, float, str | None, str]] = field(default_factory=list)
+    entries: list[tuple[str, float, float, str | None, str, str]] = field(default_factory=list)
 
-    def spend(self, release: str, eps: float, delta: float = 0.0, part: str | None = None, note: str = "") -> float:
-        """Enters a release; fails if it would overdraw. part: "group/part" for one of disjoint parts. A release that is entered already costs nothing more: it is the same numbers."""
+    def spend(self, release: str, eps: float, delta: float = 0.0, part: str | None = None, note: str = "", digest: str = "") -> float:
+        """Enters a release; fails if it would overdraw. part: "group/part" for one of disjoint parts. digest: of whatever makes the release what it is (data, domain, method).
+        A release that is entered already costs nothing more if all of this is the same, for then its numbers are; a name that is used again for anything else fails."""
         if eps < 0 or delta < 0:
             raise ValueError("costs are not negative")
-        if any(e[0] == release for e in self.entries):
-            return self.left()
-        entry = (release, float(eps), float(delta), part, note)
+        entry = (release, float(eps), float(delta), part, note, digest)
+        for e in self.entries:
+            if e[0] == release:
+                if (e[1], e[2], e[3], e[5]) != (entry[1], entry[2], part, digest):
+                    raise ValueError(f"{release} is the name of another release: its draws must not be used again")
+                return self.left()
         if self._total([*self.entries, entry], 1) > self.budget + 1e-12 or self._total([*self.entries, entry], 2) > self.delta_budget + 1e-15:
             raise ValueError(f"{release} would overdraw the budget: {self.left()} is left")
         self.entries.append(entry)

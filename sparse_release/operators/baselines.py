@@ -25,7 +25,8 @@ def full_haar(cells: DataFrame, h: int, plan: Plan) -> DataFrame:
 
 
 def haar_weighted(cells: DataFrame, h: int, eps: float, seed: str | int = 1, mode: str = "md5") -> DataFrame:
-    """Haar means with Laplace noise by level: a coefficient's noise shrinks with its support, so that each level costs the same share of the budget."""
+    """Haar means with Laplace noise by level: a coefficient's noise shrinks with its support, so that each level costs the same share of the budget. Told in sums, as the
+    other hierarchies are, every level has noise of one scale (levels over budget): a mean's scale times its support is the same for all."""
     from .hierarchy import haar
 
     grid = cells.sparkSession.range(1 << h).selectExpr("id AS cell_id")
@@ -47,7 +48,8 @@ def pseudo_count(n_out: int, eps: float) -> float:
 def dirichlet_synthetic(cells: DataFrame, group_radix: int, other_radix: int, eps: float, delta: float, per_group: int, seed: str | int = 1, mode: str = "md5", by_last: bool = True) -> DataFrame:
     """Synthetic rows for each group (the last dimension if by_last): posterior weights from counts and a common prior, a multinomial draw of as many rows as asked.
 
-    The guarantee holds but for a chance delta; the prior is lowered by what such a chance lets through, and never below 1 / other_radix."""
+    Illustrative: pseudo_count is what a pure guarantee asks for; that a prior lowered by delta's fourth root keeps one but for a chance delta is not proved here. A group's
+    weights lie in one task, so the other dimension must fit in memory."""
     spark = cells.sparkSession
     prior = max(1.0 / other_radix, pseudo_count(per_group, eps) * delta ** (1 / 4))
     group, other = (f"cell_id % {group_radix}", f"cell_id div {group_radix}") if by_last else (f"cell_id div {other_radix}", f"cell_id % {other_radix}")

@@ -9,6 +9,8 @@ from .domain import Domain
 
 #: Cells of a block for prefix sums and range joins.
 BLOCK = 1 << 12
+#: Height of the hierarchy over groups of blocks: 2^(12 + 12 + TOP) cells.
+TOP = 39
 
 
 def est_point(summary: DataFrame, cells: DataFrame, absent: float = 0.0) -> DataFrame:
@@ -29,7 +31,12 @@ def est_range(summary: DataFrame, queries: DataFrame, weight: str = "weight", ab
     heads = two.groupBy("g").agg(F.sum("w").alias("w"), F.sum("n").alias("n"))
     inner = q.selectExpr("qid", f"lo div {block} + 1 AS b0", f"(hi - 1) div {block} AS b1").where("b0 < b1")
     fine = inner.selectExpr("qid", "b0", "b1", f"explode(array_distinct(array(b0 div {block}, (b1 - 1) div {block}))) AS g").join(two, "g").where("b >= b0 AND b < b1").groupBy("qid").agg(F.sum("w").alias("w"), F.sum("n").alias("n"))
-    coarse = inner.selectExpr("qid", f"b0 div {block} + 1 AS g0", f"(b1 - 1) div {block} AS g1").where("g0 < g1").selectExpr("qid", "explode(sequence(g0, g1 - 1)) AS g").join(heads, "g").groupBy("qid").agg(F.sum("w").alias("w"), F.sum("n").alias("n"))
+    # whole groups of blocks by their dyadic sums: a few rows for a query, however long it is
+    from .hierarchy import dyadic_cover
+
+    tree = heads.selectExpr(f"explode(sequence(0, {TOP})) AS level", "g", "w", "n").selectExpr("level", "shiftright(g, level) AS pos", "w", "n").groupBy("level", "pos").agg(F.sum("w").alias("w"), F.sum("n").alias("n"))
+    wide = inner.selectExpr("qid", f"b0 div {block} + 1 AS lo", f"(b1 - 1) div {block} AS hi").where("lo < hi")
+    coarse = dyadic_cover(wide, TOP).join(tree, ["level", "pos"]).groupBy("qid").agg(F.sum("w").alias("w"), F.sum("n").alias("n"))
     total = at_ends.unionByName(fine).unionByName(coarse).groupBy("qid").agg(F.sum("w").alias("w"), F.sum("n").alias("n"))
     return q.join(total, "qid", "left").selectExpr("qid", f"coalesce(w, 0D) + {float(absent)!r}D * (hi - lo - coalesce(n, 0D)) AS estimate")
 

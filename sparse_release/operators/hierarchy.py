@@ -8,6 +8,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import replace
 from functools import reduce
+from math import prod
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -62,10 +63,10 @@ def dyadic_at_once(cells: DataFrame, h: int) -> DataFrame:
 
 def haar(cells: DataFrame, h: int) -> DataFrame:
     """Whole-number Haar coefficients (level 1 to h: left half less right half; level h + 1: the total), zeros left out. A person moves one on each level by 1."""
-    up = cells.selectExpr(f"explode(sequence(1, {h + 1})) AS level", "cell_id", "v").selectExpr(
-        "level", f"CASE WHEN level = {h + 1} THEN 0 ELSE shiftright(cell_id, level) END AS pos", f"CASE WHEN level <= {h} AND shiftright(cell_id, level - 1) % 2 = 1 THEN -v ELSE v END AS v"
-    )
-    return up.groupBy("level", "pos").agg(F.sum("v").cast("long").alias("v")).where("v != 0")
+    nodes = durable(dyadic(cells, h))  # added up in steps, so a coefficient takes its two halves only
+    halves = nodes.where(f"level < {h}").selectExpr("CAST(level + 1 AS INT) AS level", "shiftright(pos, 1) AS pos", "CASE WHEN pos % 2 = 1 THEN -v ELSE v END AS v")
+    total = nodes.where(f"level = {h}").selectExpr(f"{h + 1} AS level", "0L AS pos", "v")
+    return halves.groupBy("level", "pos").agg(F.sum("v").cast("long").alias("v")).unionByName(total).where("v != 0")
 
 
 def haar_id(h: int) -> str:
@@ -123,12 +124,18 @@ def answer_haar(coefficients: DataFrame, queries: DataFrame, h: int, value: str
     return queries.select("qid").join(found, "qid", "left").selectExpr("qid", "coalesce(w, 0D) AS estimate")
 
 
-def prune(nodes: DataFrame, h: int) -> DataFrame:
-    """Nodes all of whose ancestors are in the summary too. Each node asks for its ancestors and counts the answers; nodes are read four times, so they are kept."""
-    nodes = durable(nodes)
-    asked = nodes.where(f"level < {h}").selectExpr("level AS l", "pos AS p", f"explode(transform(sequence(level + 1, {h}), a -> struct(a AS level, shiftright(pos, a - level) AS pos))) AS a").selectExpr("l", "p", "a.level AS level", "a.pos AS pos")
-    whole = asked.join(nodes.select("level", "pos"), ["level", "pos"], "left_semi").groupBy("l", "p").agg(F.count(F.lit(1)).alias("n")).where(f"n = {h} - l").selectExpr("l AS level", "p AS pos")
-    return nodes.join(whole.unionByName(nodes.where(f"level = {h}").select("level", "pos")), ["level", "pos"], "left_semi")
+def prune(nodes: DataFrame, h: int, every: int = 4) -> DataFrame:
+    """Nodes all of whose ancestors are in the summary too, from the root down: a node stays if its parent stays. A parent is asked for by two nodes at most, so no key is hot."""
+    nodes, out, front = durable(nodes), [], None
+    for level in range(h, -1, -1):
+        here = nodes.where(f"level = {level}")
+        if front is not None:
+            here = here.join(front, F.shiftright("pos", 1) == F.col("up"), "left_semi")
+        if (h - level) % every == every - 1:
+            here = durable(here)
+        out.append(here)
+        front = here.selectExpr("pos AS up")
+    return reduce(DataFrame.unionByName, out)
 
 
 def consistent_filter(cells: DataFrame, h: int, plan: Plan, cut: int, every: int = 4) -> DataFrame:
@@ -152,7 +159,7 @@ def filter_prune_priority(cells: DataFrame, h: int, plan: Plan, cut: int, s: int
     pruned = prune(hier_release(cells, h, plan, lambda c, p: high_pass(c, p, cut)), h)
     full = replace(plan, m=(1 << (h + 1)) - 1)
     ranked = pruned.selectExpr("level", "pos", "value", f"{node_id(h)} AS cell_id").selectExpr("*", f"abs(value) / {full.u('keep')} AS priority")
-    kept, tau = top_priorities(ranked, s)
+    kept, tau = top_priorities(durable(ranked), s)  # read several times
     return kept.selectExpr("level", "pos", "value", f"signum(value) * greatest(CAST(abs(value) AS DOUBLE), {tau!r}D) AS weight"), tau
 
 
@@ -170,6 +177,31 @@ def dyadic_nd(rows: DataFrame, heights: dict[str, int], v: str = "v") -> DataFra
     return up.groupBy(*by).agg(F.sum(v).cast("long").alias("v"))
 
 
+def nd_ids(heights: dict[str, int]) -> tuple[str, int, list[str]]:
+    """Grid nodes numbered by mixed radix over each dimension's own node numbers: SQL of the number, how many there are, and SQL that gives levels and positions back."""
+    number, back, radix = "0L", [], 1
+    for name, h in heights.items():
+        number = f"({number} * {(1 << (h + 1)) - 1} + {node_id(h, f'{name}_level', f'{name}_pos')})"
+    for name, h in reversed(heights.items()):
+        own = (1 << (h + 1)) - 1
+        level, pos = node_of(h, f"((cell_id div {radix}) % {own})")
+        back = [f"CAST({level} AS INT) AS {name}_level", f"CAST({pos} AS BIGINT) AS {name}_pos", *back]
+        radix *= own
+    return number, radix, back
+
+
+def release_nd(rows: DataFrame, heights: dict[str, int], plan: Plan, release: Release, v: str = "v") -> DataFrame:
+    """Grid nodes of several dimensions (<name>_level, <name>_pos, value, weight) under any release of cells: an individual is in one node of every combination of levels,
+    so noise is for the product of the dimensions' levels. rows: a column for each dimension, and counts."""
+    number, m, back = nd_ids(heights)
+    if m >= 1 << 63:
+        raise ValueError("more grid nodes than a long can number")
+    levels = prod(h + 1 for h in heights.values())
+    cells = durable(dyadic_nd(rows, heights, v).selectExpr(f"{number} AS cell_id", "v"))
+    out = release(cells, replace(plan, m=m, sensitivity=plan.sensitivity * levels))
+    return out.selectExpr(*back, "value", "weight")
+
+
 def answer_nd(nodes: DataFrame, boxes: DataFrame, heights: dict[str, int], value: str = "v") -> DataFrame:
     """(qid, estimate) for boxes (qid, and <name>_lo, <name>_hi for each dimension): the product of the dimensions' covers."""
     cover = boxes.select("qid")

@@ -19,6 +19,8 @@ from .zero_cells import zero_cells
 
 #: Beyond so many cells the materialised route asks for an explicit word.
 MATERIALISED_CELLS = 1 << 31
+#: Points of a law that are listed in a plan at most.
+LISTED_CUTS = 4096
 
 
 @dataclass(frozen=True)
@@ -32,7 +34,7 @@ class Plan:
     release: str = "r"
     route: str = "direct"
     way: str = "skip"
-    blocks: int = 64
+    blocks: int | None = None
     mode: str = "md5"
     allow_large: bool = False
 
@@ -88,7 +90,10 @@ def _kept(noisy: DataFrame, law: KeepLaw, plan: Plan) -> DataFrame:
 
 def magnitude(law: KeepLaw, plan: Plan) -> str:
     """SQL for a kept empty cell's magnitude: how many cut points lie above a draw, and a plain tail beyond the last."""
-    cuts, far = law.cuts(), tail(law.alpha, plan.u("tail"))
+    far = tail(law.alpha, plan.u("tail"))
+    if law.top - law.lo >= LISTED_CUTS:
+        return _bisected(law, plan, far)
+    cuts = law.cuts()
     if not cuts:
         return f"{law.lo} + {far}"
     h = draw(plan.key, "size", "cell_id", mode=plan.mode)
@@ -103,6 +108,18 @@ def magnitude(law: KeepLaw, plan: Plan) -> str:
     return f"CASE WHEN {h} < {cuts[-1]}L THEN {whole} + {far} ELSE {law.lo} + {found} END"
 
 
+def _bisected(law: KeepLaw, plan: Plan, far: str) -> str:
+    """As magnitude, by halving between the cut and the threshold with the law itself, where a list of its points would make the plan too long."""
+    a, t, u = law.alpha, law.top, plan.u("size")
+    moment = f"(pow({a!r}D, x.c) * (x.c * {1 - a!r}D + {a!r}D) / {(1 - a) ** 2!r}D)"
+    reach = f"(({moment} - {law._moment(t + 1)!r}D) / {float(law.tau)!r}D + {law._mass(t + 1)!r}D)"
+    steps = math.ceil(math.log2(t + 1 - law.lo)) + 1
+    middle = "(s.a + s.b) div 2L"
+    found = f"""aggregate(sequence(1, {steps}), struct({law.lo}L AS a, {t + 1}L AS b), (s, i) -> CASE WHEN s.b - s.a <= 1 THEN s
+        WHEN transform(array(struct({middle} AS c)), x -> {reach} > {law.reach(law.lo)!r}D * {u})[0] THEN struct({middle} AS a, s.b AS b) ELSE struct(s.a AS a, {middle} AS b) END).a"""
+    return f"CASE WHEN {u} < {law.at_least(t + 1)!r}D THEN {t + 1} + {far} ELSE {found} END"
+
+
 def empty_part(cells: DataFrame, law: KeepLaw, plan: Plan) -> DataFrame:
     """Empty cells that are kept, with values of the right law."""
     places = zero_cells(cells, plan.m, law.keep(), plan.key, plan.way, plan.blocks, plan.mode)
@@ -175,12 +192,10 @@ def top_priorities(rows: DataFrame, s: int, direct_limit: int = 100_000) -> tupl
 
 def guess_tau(cells: DataFrame, plan: Plan, s: int, cut: int = 0, slack: float = 1.2) -> float:
     """A first threshold that should leave slack * s candidates; it shapes the cost only, not the sample's law."""
-    sizes = noisy_occupied(cells, plan).groupBy(F.abs("value").alias("x")).count().collect()  # a row for each distinct magnitude
-    big = 1 << 16
-    sizes = [(r["x"], r["count"]) for r in sizes] if len(sizes) <= big else [(1, 0)]
-    if sizes == [(1, 0)]:
-        total = cells.agg(F.sum(F.abs("v"))).first()[0] or 0
-        return pick_tau(float(total), plan.m, plan.alpha, slack * s)
+    # magnitudes by their first 12 bits: some 100,000 rows at most, whatever the values
+    x = F.abs("value")
+    step = F.pow(F.lit(2.0), F.greatest(F.lit(0), F.floor(F.log2(F.greatest(x, F.lit(1)))) - 11)).cast("long")
+    sizes = [(r["x"], r["count"]) for r in noisy_occupied(cells, plan).groupBy((x - x % step).alias("x")).count().collect()]
     return solve_tau(sizes, plan.m, sum(c for _, c in sizes), plan.alpha, slack * s + 3 * math.sqrt(s) + 5, cut)
 
 
@@ -255,7 +270,7 @@ def uniform_sample(cells: DataFrame, plan: Plan, fraction: float) -> DataFrame:
     return rows.selectExpr("cell_id", "value", f"value / {fraction!r}D AS weight")
 
 
-def laplace_filter(cells: DataFrame, m: int, eps: float, cut: float, seed: str | int = 1, sensitivity: float = 1.0, way: str = "skip", blocks: int = 64, mode: str = "md5") -> DataFrame:
+def laplace_filter(cells: DataFrame, m: int, eps: float, cut: float, seed: str | int = 1, sensitivity: float = 1.0, way: str = "skip", blocks: int | None = None, mode: str = "md5") -> DataFrame:
     """High-pass filter for real values with Laplace noise, direct."""
     b = sensitivity / eps
     kept = cells.selectExpr("cell_id", f"CAST(v AS DOUBLE) + {laplace(b, seed, 'cell_id', mode=mode)} AS value").where(f"abs(value) >= {float(cut)!r}D")
@@ -265,7 +280,7 @@ def laplace_filter(cells: DataFrame, m: int, eps: float, cut: float, seed: str |
     return kept.unionByName(empty)
 
 
-def laplace_sample(cells: DataFrame, m: int, eps: float, tau: float, cut: float = 0.0, seed: str | int = 1, sensitivity: float = 1.0, way: str = "skip", blocks: int = 64, mode: str = "md5") -> DataFrame:
+def laplace_sample(cells: DataFrame, m: int, eps: float, tau: float, cut: float = 0.0, seed: str | int = 1, sensitivity: float = 1.0, way: str = "skip", blocks: int | None = None, mode: str = "md5") -> DataFrame:
     """Threshold sample of real values with Laplace noise, after a cut if one is given: cell_id, value, weight. With tau up to the cut, the filter alone.
 
     Behind a cut, empty cells that pass it are thinned. Without one, a kept magnitude has density min(x, tau) exp(-x / scale): the sum of two exponential draws, taken
@@ -279,7 +294,7 @@ def laplace_sample(cells: DataFrame, m: int, eps: float, tau: float, cut: float
     else:
         own = cells.selectExpr("cell_id", f"CAST(v AS DOUBLE) + {laplace(b, seed, 'cell_id', mode=mode)} AS value").where(keep)
         places = zero_cells(cells, m, laplace_keep(b, 0.0, tau), seed, way, blocks, mode)
-        drawn = places.selectExpr("cell_id AS place", f"explode(sequence(0, {math.ceil(42 * b / tau)})) AS t").selectExpr("place", "t", "xxhash64(place, t) AS cell_id")
+        drawn = places.selectExpr("cell_id AS place", f"explode(sequence(0, {math.ceil(42 * b / tau)})) AS t").selectExpr("place", "t", "concat_ws('/', place, t) AS cell_id")
         sized = drawn.selectExpr("place", "t", "cell_id", f"-{b!r}D * (ln({u('one')}) + ln({u('two')})) AS x").where(f"{u('take')} * x < {float(tau)!r}D")
         first = sized.groupBy("place").agg(F.min(F.struct("t", "x")).alias("y")).selectExpr("place AS cell_id", "y.x AS x")
         rows = own.unionByName(first.selectExpr("cell_id", f"CASE WHEN {u('sign')} < 0.5D THEN -x ELSE x END AS value"))
@@ -288,22 +303,51 @@ def laplace_sample(cells: DataFrame, m: int, eps: float, tau: float, cut: float
 
 def raise_cut(summary: DataFrame, target: int) -> tuple[DataFrame, int]:
     """A finished filter summary with the least higher cut that leaves at most `target` rows. Only published values are read."""
-    counts = sorted(((r["x"], r["count"]) for r in summary.groupBy(F.abs("value").alias("x")).count().collect()), reverse=True)
-    have, cut = 0, (counts[0][0] + 1) if counts else 1
-    for x, c in counts:
-        if have + c > target:
+    have, lo, cut = 0, 1, int(summary.agg(F.max(F.abs("value"))).first()[0] or 0) + 1
+    while cut > lo:  # magnitudes from cut on are kept; the slice below that holds the last one is counted ever finer
+        step = -(-(cut - lo) // 4096)
+        x = F.abs("value")
+        counts = {r["k"]: r["count"] for r in summary.where((x >= lo) & (x < cut)).groupBy(((F.lit(cut - 1) - x) / step).cast("long").alias("k")).count().collect()}
+        k = 0
+        while k * step < cut - lo and have + counts.get(k, 0) <= target:
+            have, k = have + counts.get(k, 0), k + 1
+        top = cut - k * step
+        if step == 1 or top <= lo:
+            cut = max(top, lo)
             break
-        have, cut = have + c, x
-    return summary.where(f"abs(value) >= {int(cut)}"), int(cut)
+        lo, cut = max(lo, top - step), top
+    values = summary.where(f"abs(value) >= {int(cut)}")
+    return values, int(values.agg(F.min(F.abs("value"))).first()[0] or cut)
+
+
+def lower_cut(cells: DataFrame, summary: DataFrame, plan: Plan, cut: int, lower: int) -> DataFrame:
+    """A finished two-sided filter summary (cell_id, value) as the lower cut would have left the same outcome: occupied cells keep their noise, empty cells that passed stay,
+    and those that did not are drawn for the band between the cuts only."""
+    if not 1 <= lower < cut:
+        raise ValueError("the lower cut lies between 1 and the cut")
+    p0, p1 = KeepLaw(plan.alpha, cut).keep(), KeepLaw(plan.alpha, lower).keep()
+    own = replace(plan, release=f"{plan.release}/from-{cut}-to-{lower}")
+    occupied = noisy_occupied(cells, plan).where(f"abs(value) >= {lower}")
+    empty = summary.select("cell_id", "value").join(cells.select("cell_id"), "cell_id", "left_anti")
+    rest = cells.select("cell_id").unionByName(empty.select("cell_id"))
+    places = zero_cells(rest, plan.m, (p1 - p0) / (1 - p0), own.key, plan.way, plan.blocks, plan.mode)
+    # a magnitude of the band: a geometric tail from the lower cut on, given that it ends below the upper one
+    size = f"{lower} + CAST(floor(ln(1D - {own.u('size')} * {1 - plan.alpha ** (cut - lower)!r}D) / {math.log(plan.alpha)!r}D) AS BIGINT)"
+    sign = f"CASE WHEN {own.u('sign')} < 0.5D THEN -1 ELSE 1 END"
+    band = places.selectExpr("cell_id", f"CAST({sign} * least({size}, {cut - 1}) AS BIGINT) AS value")
+    return occupied.unionByName(empty).unionByName(band)
 
 
 def ensure_size(cells: DataFrame, plan: Plan, cut: int, least: int, again: bool = False, tries: int = 20) -> tuple[DataFrame, int]:
-    """A filter summary of at least `least` rows. By default the cut goes down over the same draws of noise for occupied cells; with `again`, the same cut is run anew
-    under other draws, which conditions the law on the outcome."""
-    for k in range(tries):
-        now = Plan(**{**plan.__dict__, "release": f"{plan.release}/{k}"}) if again and k else plan
-        out = high_pass(cells, now, cut)
+    """A filter summary of at least `least` rows. By default the cut goes down over the same outcome, band by band; with `again`, the same cut is run anew under other draws,
+    which conditions the law on the outcome."""
+    out = durable(high_pass(cells, plan, cut).select("cell_id", "value"))
+    for k in range(1, tries):
         if out.count() >= least or (cut == 1 and not again):
-            return out, cut
-        cut = cut if again else max(1, cut - max(1, cut // 4))
-    return out, cut
+            break
+        if again:
+            out = durable(high_pass(cells, replace(plan, release=f"{plan.release}/{k}"), cut).select("cell_id", "value"))
+        else:
+            lower = max(1, cut - max(1, cut // 4))
+            out, cut = durable(lower_cut(cells, out, plan, cut, lower)), lower
+    return out.selectExpr("cell_id", "value", "CAST(value AS DOUBLE) AS weight"), cut

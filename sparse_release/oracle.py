@@ -53,7 +53,7 @@ CELLS: dict[str, tuple[str, str, str]] = {
     "v3a": ("lineitem", "least(greatest(CAST(floor(l_extendedprice / 10) AS BIGINT), 0), 16383)", "16384"),
     "v3b": ("orders", "least(greatest(CAST(floor(o_totalprice) AS BIGINT), 0), 524287)", "524288"),
     "v3c": ("lineitem", "date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE))", "4096"),
-    "v4": ("events", "(user_id * 720 + CAST(floor((epoch(ts) - 1704067200) / 3600) AS BIGINT)) * 10 + least(greatest(CAST(floor(value / 10) AS BIGINT), 0), 9)", "(CASE (SELECT count(*) FROM events) WHEN 1000 THEN 15 WHEN 10000 THEN 150 ELSE 1500 END) * 7200"),
+    "v4": ("events", "(user_id * 720 + CAST(floor((epoch(ts) - 1704067200) / 3600) AS BIGINT)) * 10 + least(greatest(CAST(floor(value / 10) AS BIGINT), 0), 9)", f"{V.USERS * 7200}"),
     "v5": ("customer", f"(c_nationkey * 5 + {at(V.SEGMENTS, 'c_mktsegment')}) * 11 + least(greatest(CAST(floor((c_acctbal + 1000) / 1000) AS BIGINT), 0), 10)", "1375"),
     "v5b": ("customer", f"(c_nationkey * 5 + {at(V.SEGMENTS, 'c_mktsegment')}) * 110 + least(greatest(CAST(floor((c_acctbal + 1000) / 100) AS BIGINT), 0), 109)", "13750"),
     "v6": ("documents", f"({at(V.LANGS, 'lang')} * 20 + {_SRC}) * 100 + least(n_chars // 500, 99)", "8000"),
@@ -104,11 +104,15 @@ def walks(m: int, p: float, key: str, blocks: int, given: str = "c") -> str:
 
 
 def direct(view: str, m: int, law: KeepLaw, key: str, blocks: int) -> str:
-    """A query for (cell_id, value): the direct route with walks."""
+    return direct_of(cells(view), m, law, key, blocks)
+
+
+def direct_of(given: str, m: int, law: KeepLaw, key: str, blocks: int) -> str:
+    """A query for (cell_id, value): the direct route with walks, over any cells (cell_id, v)."""
     fits = f"value >= {law.lo}" if law.sides == 1 else f"abs(value) >= {law.lo}"
     keep = "" if law.tau <= 1 else f" AND {uniform(key, 'keep', 'cell_id')} < least(abs(value) / {d(law.tau)}, {d(1)})"
     sign = "1" if law.sides == 1 else f"CASE WHEN {uniform(key, 'sign', 'cell_id')} < {d(0.5)} THEN -1 ELSE 1 END"
-    return f"""WITH c AS ({cells(view)}), {walks(m, law.keep(), key, blocks)},
+    return f"""WITH c AS ({given}), {walks(m, law.keep(), key, blocks)},
         own AS (SELECT cell_id, value FROM (SELECT cell_id, v + {geometric(law.alpha, key, 'cell_id')} AS value FROM c) WHERE {fits}{keep})
         SELECT cell_id, CAST(value AS BIGINT) AS value FROM own UNION ALL SELECT cell_id, CAST({sign} * ({magnitude(law, key)}) AS BIGINT) AS value FROM places"""
 
@@ -132,6 +136,23 @@ def coefficients(view: str, h: int) -> str:
         CAST(sum(CASE WHEN l <= {h} AND (cell_id >> CAST(l - 1 AS INT)) % 2 = 1 THEN -v ELSE v END) AS BIGINT) AS v FROM ({cells(view)}), range(1, {h + 2}) r(l) GROUP BY 1, 2) WHERE v != 0"""
 
 
+def node_id(h: int, level: str, pos: str) -> str:
+    return f"({1 << (h + 1)} - (CAST(1 AS BIGINT) << CAST({h + 1} - {level} AS INT)) + {pos})"
+
+
+def node_of(h: int, name: str = "cell_id") -> tuple[str, str]:
+    """Level and position of a node's number, found among all levels."""
+    level = f"(SELECT max(l) FROM range({h + 1}) z(l) WHERE {1 << (h + 1)} - (CAST(1 AS BIGINT) << CAST({h + 1} - l AS INT)) <= {name})"
+    return f"CAST({level} AS INT)", f"CAST({name} - {1 << (h + 1)} + (CAST(1 AS BIGINT) << CAST({h + 1} - {level} AS INT)) AS BIGINT)"
+
+
+def subsets(m: int, sizes: list[int], per_size: int, seed: str = "1") -> str:
+    primes = [p for p in (1_000_003, 1_299_709, 7_368_787, 15_485_863, 32_452_843) if m % p]
+    step = f"[{', '.join(map(str, primes))}][CAST({draw(seed, 'step', 'size', 'id')} % {len(primes)} AS INT) + 1]"
+    return f"""SELECT size * 1000000 + id AS qid, size, ({draw(seed, 'subset', 'size', 'id')} % {m} + (k * {step}) % {m}) % {m} AS cell_id
+        FROM (SELECT i AS id, unnest([{', '.join(map(str, sizes))}])::BIGINT AS size FROM range({per_size}) r(i)), range({max(sizes)}) s(k) WHERE k < size"""
+
+
 def ranges(m: int, sizes: list[int], per_size: int, seed: str = "1") -> str:
     lo = f"CAST(floor({uniform(seed, 'range', 'size', 'id')} * CAST({m} - size + 1 AS DOUBLE)) AS BIGINT)"
     return f"SELECT size * 1000000 + id AS qid, size, {lo} AS lo, {lo} + size AS hi FROM (SELECT i AS id, unnest([{', '.join(map(str, sizes))}])::BIGINT AS size FROM range({per_size}) r(i))"

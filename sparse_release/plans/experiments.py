@@ -13,7 +13,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.laws import pick_tau
+from ..functions.laws import pick_cut, pick_tau, pick_tau_empty
 from ..operators import accuracy as A
 from ..operators import baselines as B
 from ..operators import hierarchy as H
@@ -32,13 +32,15 @@ def stack(parts: list[DataFrame]) -> DataFrame:
 
 def _scored(method: str, param: float, summary: DataFrame, cells: DataFrame, queries: DataFrame, ranges: bool = True, estimate: Estimate | None = None, rows: bool = True) -> DataFrame:
     """Errors by query size of one summary. Its rows are counted once; the summary is kept, since noise is dear to draw again."""
+    began = time.perf_counter()
     summary = summary.persist()
+    n = summary.count() if rows else 0
+    took = time.perf_counter() - began
     truth, answer = (exact_range, est_range) if ranges else (exact_subset, est_subset)
     out = A.by_size(A.errors(truth(cells, queries), (estimate or (lambda s: answer(s, queries)))(summary), queries))
-    n = summary.count() if rows else 0
-    got = out.select(F.lit(method).alias("method"), F.lit(float(param)).alias("param"), F.lit(n).cast("long").alias("rows"), "size", "n_queries", "abs_error", "median_rel_error", "bias").collect()  # a row for each size
+    got = out.select(F.lit(method).alias("method"), F.lit(float(param)).alias("param"), F.lit(n).cast("long").alias("rows"), "size", "n_queries", "abs_error", "median_rel_error", "bias", F.lit(took).alias("seconds")).collect()  # a row for each size
     summary.unpersist()
-    return cells.sparkSession.createDataFrame(got, "method string, param double, rows long, size long, n_queries long, abs_error double, median_rel_error double, bias double")
+    return cells.sparkSession.createDataFrame(got, "method string, param double, rows long, size long, n_queries long, abs_error double, median_rel_error double, bias double, seconds double")
 
 
 def _plan(m: int, seed: int = 1, **kw) -> S.Plan:
@@ -76,6 +78,7 @@ def methods_by_size(cells: DataFrame, m: int, n: int, total: float, s: int, size
         "geometric": (0, S.full_geometric(cells, plan).selectExpr("*", "CAST(value AS DOUBLE) AS weight")),
         "filter": (filter_cut, S.high_pass(cells, plan, filter_cut)),
         "threshold": (s, S.threshold_sample(cells, plan, pick_tau(total, m, plan.alpha, s))),
+        "filter_threshold": (combined_cut, S.filter_threshold(cells, plan, combined_cut, max(combined_cut + 1.0, total / s))),
         "priority": (s, S.priority_sample(cells, plan, s)[0]),
         "filter_priority": (combined_cut, S.filter_priority(cells, plan, combined_cut, s)[0]),
         "uniform": (s / m, S.uniform_sample(cells, plan, s / m)),
@@ -86,20 +89,24 @@ def methods_by_size(cells: DataFrame, m: int, n: int, total: float, s: int, size
 
 
 def throughput(spark: SparkSession, views: dict[str, tuple[DataFrame, int, int]], s_per_n: float = 1.0) -> DataFrame:
-    """Occupied cells per second of each method, hierarchies included, for views of several densities: name -> (cells, m, n)."""
+    """Occupied cells per second of each method, hierarchies and the full noisy tree included, for views of several densities: name -> (cells, m, n). Cuts and thresholds are
+    picked so that each summary has about s = s_per_n * n rows, or as many empty cells or nodes."""
     rows = []
     for name, (cells, m, n) in views.items():
         cells, plan, s = cells.persist(), _plan(m), max(1, round(s_per_n * n))
         cells.count()
         h = H.height(m)
+        cut, tau = (pick_cut(m, n, plan.alpha, s, 2), pick_tau_empty(m, n, plan.alpha, s)) if m > n else (40, 200.0)
+        node_cut = pick_cut(2 << h, min(n, m), S.alpha_of(EPS, h + 1), s, 2)
         made = {
-            "filter": lambda: S.high_pass(cells, plan, 40),
-            "threshold": lambda: S.threshold_sample(cells, plan, 200.0),
+            "filter": lambda: S.high_pass(cells, plan, cut),
+            "threshold": lambda: S.threshold_sample(cells, plan, tau),
             "priority": lambda: S.priority_sample(cells, plan, s)[0],
-            "filter_priority": lambda: S.filter_priority(cells, plan, 40, s)[0],
+            "filter_priority": lambda: S.filter_priority(cells, plan, cut, s)[0],
             "geometric": lambda: S.full_geometric(cells, plan),
-            "dyadic_filter": lambda: H.hier_release(cells, h, plan, lambda c, p: S.high_pass(c, p, 40 * (h + 1))),
-            "haar_filter": lambda: H.hier_release(cells, h, plan, lambda c, p: S.high_pass(c, p, 40 * (h + 1)), "haar"),
+            "dyadic_filter": lambda: H.hier_release(cells, h, plan, lambda c, p: S.high_pass(c, p, node_cut)),
+            "haar_filter": lambda: H.hier_release(cells, h, plan, lambda c, p: S.high_pass(c, p, node_cut), "haar"),
+            "dyadic_geometric": lambda: B.full_dyadic(cells, h, plan),
         }
         for method, f in made.items():
             began = time.perf_counter()
@@ -158,7 +165,42 @@ def synthetic_data_baseline(cells: DataFrame, group_radix: int, other_radix: int
     q = range_queries(cells.sparkSession, m, list(sizes), per_size).persist()
     rows = B.dirichlet_synthetic(cells, group_radix, other_radix, 1.0, 1e-4, max(1, total // group_radix))
     full = S.full_geometric(cells, _plan(m, eps=1.0)).selectExpr("*", "CAST(value AS DOUBLE) AS weight")
-    return stack([_scored("dirichlet", 1.0, rows, cells, q), _scored("geometric", 1.0, full, cells, q)])
+    out = stack([_scored("dirichlet", 1.0, rows, cells, q), _scored("geometric", 1.0, full, cells, q)])
+    plain = out.where("method = 'geometric'").select("size", F.col("abs_error").alias("e"))
+    return out.join(plain, "size").withColumn("per_geometric", F.col("abs_error") / F.col("e")).drop("e")
+
+
+def crossings(rows: DataFrame, flat: str = "flat_geometric") -> DataFrame:
+    """(method, size): the least range size at which each hierarchical method of dyadic_ranges is closer than the flat one (null: none)."""
+    base, names = rows.where(F.col("method") == flat), [r["method"] for r in rows.select("method").distinct().collect() if not r["method"].startswith("flat")]
+    return stack([A.crossing(base, rows.where(F.col("method") == name)).select(F.lit(name).alias("method"), "size") for name in sorted(names)])
+
+
+def gains(rows: DataFrame) -> DataFrame:
+    """(method, size, gain) of pruning, from the rows of consistency."""
+    pairs = {"filter": "filter_pruned", "filter_priority": "filter_pruned_priority"}
+    return stack([A.gain(rows.where(F.col("method") == a), rows.where(F.col("method") == b)).select(F.lit(a).alias("method"), "size", "gain") for a, b in pairs.items()])
+
+
+def over_seeds(cells: DataFrame, m: int, n: int, total: float, seeds=range(1, 9), size: int = 5000, per_size: int = 50, cut: int = 40) -> DataFrame:
+    """Bias and variance of each method's range answers by replication: for each query the mean gap and its variance over seeds, averaged over queries."""
+    q = range_queries(cells.sparkSession, m, [size], per_size).persist()
+    truth, parts = exact_range(cells, q), []
+    for seed in seeds:
+        plan = _plan(m, seed)
+        made = {
+            "geometric": S.full_geometric(cells, plan).selectExpr("*", "CAST(value AS DOUBLE) AS weight"), "filter_one_sided": S.high_pass(cells, plan, cut, 1), "filter": S.high_pass(cells, plan, cut),
+            "threshold": S.threshold_sample(cells, plan, pick_tau(total, m, plan.alpha, n)), "priority": S.priority_sample(cells, plan, n)[0], "filter_priority": S.filter_priority(cells, plan, cut, n)[0],
+        }
+        parts += [A.errors(truth, est_range(rows, q), q).select(F.lit(name).alias("method"), F.lit(seed).alias("seed"), "qid", (F.col("estimate") - F.col("truth")).alias("gap")) for name, rows in made.items()]
+    each = stack(parts).groupBy("method", "qid").agg(F.avg("gap").alias("bias"), F.var_samp("gap").alias("variance"), F.count(F.lit(1)).alias("seeds"))
+    return each.groupBy("method").agg(F.avg("bias").alias("bias"), F.avg("variance").alias("variance"), F.first("seeds").alias("seeds"))
+
+
+def leaderboard(cells: DataFrame, m: int, n: int, total: float, sizes, sketch_sizes=(100, 1000), **cuts) -> DataFrame:
+    """All methods flat and as hierarchies, and sketches, with errors, rows and seconds, the closest first."""
+    parts = [methods_by_size(cells, m, n, total, n, sizes, ranges=True, **cuts), dyadic_ranges(cells, m, n, sizes), sketches(cells, m, n, list(sketch_sizes), (1, 3))]
+    return stack(parts).orderBy("size", "abs_error")
 
 
 def gsyn(spark: SparkSession, m: int = 1_000_000, rho: float = 0.1, sd: float = 20, places: str = "uniform") -> tuple[DataFrame, int, int, float]:

@@ -1,7 +1,12 @@
-"""The user's way to a release: declare, choose a method, run, ask."""
+"""The user's way to a release: declare, choose a method, run, ask.
+
+Noise is a function of a secret seed and the release's name, so both must be given: who knows them can subtract the noise, and two tables released under one name have
+their difference published. Draws are by SHA-2; the other modes are for tests and must be asked for with testing=True.
+"""
 
 from __future__ import annotations
 
+import hashlib
 import json
 import math
 from dataclasses import dataclass, field
@@ -14,7 +19,7 @@ from ..functions.noise import alpha_of, moments
 from ..operators import estimators as E
 from ..operators import summaries as S
 from ..operators.accountant import Accountant
-from ..operators.contingency import contingency
+from ..operators.contingency import bound_contributions, contingency
 from ..operators.domain import Domain
 
 
@@ -72,6 +77,7 @@ class ReleasePlan:
     params: dict = field(default_factory=dict)
     measure: Column | None = None
     options: dict = field(default_factory=dict)
+    bound: tuple[str, int, str] | None = None
 
     def over(self, domain: Domain) -> ReleasePlan:
         return ReleasePlan(**{**self.__dict__, "domain": domain})
@@ -87,17 +93,34 @@ class ReleasePlan:
             raise ValueError(f"method must be one of {METHODS}")
         return ReleasePlan(**{**self.__dict__, "how": name, "params": params})
 
+    def each(self, person: str, rows: int, key: str) -> ReleasePlan:
+        """At most so many rows of each person (drawn by a hash of key) are counted, and noise is for that many. Without it, a row is an individual."""
+        return ReleasePlan(**{**self.__dict__, "bound": (person, rows, key)})
+
     def using(self, **options) -> ReleasePlan:
-        """seed, release, sensitivity, route, way, blocks, mode of the draws."""
+        """seed and release (a secret, and a name that no other data have had); sensitivity, route, way, blocks, mode of the draws, testing."""
         return ReleasePlan(**{**self.__dict__, "options": {**self.options, **options}})
 
     def run(self, ledger: Accountant | None = None) -> Released:
         if self.domain is None or self.eps <= 0:
             raise ValueError("a release needs a domain and a budget")
-        plan = S.Plan(m=self.domain.size, eps=self.eps, **self.options)
+        options = {"mode": "sha2", **self.options}
+        testing = options.pop("testing", False)
+        if not {"seed", "release"} <= options.keys():
+            raise ValueError("a release needs a secret seed and a name of its own")
+        if options["mode"] != "sha2" and not testing:
+            raise ValueError("draws that can be guessed are for tests only")
+        rows = self.rows
+        if self.bound is not None:
+            person, most, key = self.bound
+            rows = bound_contributions(rows, person, most, key, options["seed"], options["mode"])
+            options["sensitivity"] = options.get("sensitivity", 1.0) * most
+        plan = S.Plan(m=self.domain.size, eps=self.eps, **options)
+        cells = durable(contingency(rows, self.domain, self.measure))  # read for the occupied part and for the empty one
         if ledger is not None:
-            ledger.spend(plan.release, self.eps)
-        cells = durable(contingency(self.rows, self.domain, self.measure))  # read for the occupied part and for the empty one
+            data = cells.selectExpr("count(*)", "sum(CAST(xxhash64(cell_id, v) AS DECIMAL(38, 0)))").first()
+            told = repr((tuple(data), self.domain, self.how, sorted(self.params.items()), plan))
+            ledger.spend(plan.release, self.eps, digest=hashlib.sha256(told.encode()).hexdigest())
         meta = {"eps": self.eps, "sensitivity": plan.sensitivity, "alpha": plan.alpha, "m": plan.m, "method": self.how, "release": plan.release, "route": plan.route, "way": plan.way, **self.params}
         p = self.params
         match self.how:
@@ -112,7 +135,7 @@ class ReleasePlan:
             case "full":
                 out = S.full_geometric(cells, plan).selectExpr("*", "CAST(value AS DOUBLE) AS weight")
             case _:
-                out, meta["tau"] = S.priority_sample(cells, plan, p["s"], p.get("cut", 0) if self.how == "filter_priority" else 0)
+                out, meta["tau"] = S.priority_sample(cells, plan, p["s"], p.get("cut", 0) if self.how == "filter_priority" else 0, p.get("tau0"))
         return Released(out.select("cell_id", "value", "weight"), self.domain, meta)
 
 

@@ -24,7 +24,7 @@ from .plans import experiments as X
 from .plans.release import release
 from .sources import views as V
 from .sources.synthetic import range_queries, subset_queries, synthetic
-from .streaming.windows import release_window, window_counts
+from .streaming.windows import release_windows, window_counts
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -183,15 +183,15 @@ def filter_priority_materialised_v2(spark, sf):
     return S.filter_priority(_v2(spark, sf), _plan(M2, route="materialised"), 2, SAMPLE)[0].select("cell_id", "value", "weight")
 
 
-def _direct_top(cut: int, tau: float) -> str:
+def _direct_top(cut: int, tau: float, view: str = "v2", m: int = M2, s: int = SAMPLE) -> str:
     law = L.KeepLaw(ALPHA, cut, tau)
     key = KEY
     own = f"SELECT cell_id, value, {O.uniform(key, 'keep', 'cell_id')} AS r FROM (SELECT cell_id, v + {O.geometric(ALPHA, key, 'cell_id')} AS value FROM c) WHERE abs(value) >= {law.lo} AND {O.uniform(key, 'keep', 'cell_id')} < least(abs(value) / {O.d(tau)}, {O.d(1)})"
     sign = f"CASE WHEN {O.uniform(key, 'sign', 'cell_id')} < {O.d(0.5)} THEN -1 ELSE 1 END"
     empty = f"SELECT cell_id, value, {O.uniform(key, 'rank', 'cell_id')} * least(abs(value) / {O.d(tau)}, {O.d(1)}) AS r FROM (SELECT cell_id, CAST({sign} * ({O.magnitude(law, key)}) AS BIGINT) AS value FROM places)"
-    return f"""WITH c AS ({O.cells('v2')}), {O.walks(M2, law.keep(), key, BLOCKS)}, a AS ({own} UNION ALL {empty}),
+    return f"""WITH c AS ({O.cells(view)}), {O.walks(m, law.keep(), key, BLOCKS)}, a AS ({own} UNION ALL {empty}),
         t AS (SELECT *, abs(value) / r AS priority, row_number() OVER (ORDER BY abs(value) / r DESC, cell_id) AS k FROM a)
-        SELECT cell_id, CAST(value AS BIGINT) AS value, sign(value) * greatest(CAST(abs(value) AS DOUBLE), (SELECT priority FROM t WHERE k = {SAMPLE + 1})) AS weight FROM t WHERE k <= {SAMPLE}"""
+        SELECT cell_id, CAST(value AS BIGINT) AS value, sign(value) * greatest(CAST(abs(value) AS DOUBLE), coalesce((SELECT priority FROM t WHERE k = {s + 1}), 0)) AS weight FROM t WHERE k <= {s}"""
 
 
 @query("priority_direct_v2", _direct_top(0, 20.0))
@@ -215,10 +215,82 @@ def uniform_strawman_v2(spark, sf):
     return S.uniform_sample(_v2(spark, sf), _plan(M2, route="materialised"), 0.05)
 
 
-query("uniform_direct_v2")(lambda spark, sf: S.uniform_sample(_v2(spark, sf), _plan(M2), 0.05))
-query("laplace_filter_v5b")(lambda spark, sf: S.laplace_filter(V.v5b(spark, sf)[0], 13_750, EPS, 6.0))
-query("laplace_threshold_v5b")(lambda spark, sf: S.laplace_sample(V.v5b(spark, sf)[0], 13_750, EPS, 9.0))
-query("laplace_filter_threshold_v5b")(lambda spark, sf: S.laplace_sample(V.v5b(spark, sf)[0], 13_750, EPS, 9.0, 4.0))
+query("uniform_direct_v2", f"""WITH c AS ({O.cells('v2')}), {O.walks(M2, 0.05, KEY, BLOCKS)}, a AS (SELECT cell_id, v FROM c WHERE {O.uniform(KEY, 'uniform', 'cell_id')} < {O.d(0.05)} UNION ALL SELECT cell_id, 0 FROM places)
+    SELECT cell_id, CAST(v + {O.geometric(ALPHA, KEY, 'cell_id')} AS BIGINT) AS value, CAST(v + {O.geometric(ALPHA, KEY, 'cell_id')} AS BIGINT) / {O.d(0.05)} AS weight FROM a""")(lambda spark, sf: S.uniform_sample(_v2(spark, sf), _plan(M2), 0.05))
+
+_M5B, _B = 13_750, 1 / EPS
+
+
+def _laplace_filter(cut: float) -> str:
+    """Rows (cell_id, value) with the CTEs before them."""
+    sign = f"CASE WHEN {O.uniform('1', 'sign', 'cell_id')} < {O.d(0.5)} THEN -1 ELSE 1 END"
+    return f"""WITH c AS ({O.cells('v5b')}), {O.walks(_M5B, math.exp(-cut / _B), '1', BLOCKS)}, kept AS (SELECT cell_id, value FROM (SELECT cell_id, v + {O.laplace(_B, '1', 'cell_id')} AS value FROM c) WHERE abs(value) >= {O.d(cut)}
+        UNION ALL SELECT cell_id, {sign} * ({O.d(cut)} - {O.d(_B)} * ln({O.uniform('1', 'tail', 'cell_id')})) AS value FROM places)"""
+
+
+def _laplace_rounded(rows: DataFrame) -> DataFrame:
+    return rows.select("cell_id", *[F.round(c, 6).alias(c) for c in ("value", "weight") if c in rows.columns])
+
+
+def _laplace_weight(tau: float) -> str:
+    return f"round(value, 6) AS value, round(sign(value) * greatest(abs(value), {O.d(tau)}), 6) AS weight"
+
+
+query("laplace_filter_v5b", f"{_laplace_filter(6.0)} SELECT cell_id, round(value, 6) AS value FROM kept")(lambda spark, sf: _laplace_rounded(S.laplace_filter(V.v5b(spark, sf)[0], _M5B, EPS, 6.0, blocks=BLOCKS)))
+query("laplace_filter_threshold_v5b", f"{_laplace_filter(4.0)} SELECT cell_id, {_laplace_weight(9.0)} FROM kept WHERE {O.uniform('1', 'keep', 'cell_id')} < least(abs(value) / {O.d(9.0)}, {O.d(1)})")(
+    lambda spark, sf: _laplace_rounded(S.laplace_sample(V.v5b(spark, sf)[0], _M5B, EPS, 9.0, 4.0, blocks=BLOCKS)))
+_TRY = "concat_ws('/', CAST(place AS VARCHAR), CAST(t AS VARCHAR))"
+query("laplace_threshold_v5b", f"""WITH c AS ({O.cells('v5b')}), {O.walks(_M5B, L.laplace_keep(_B, 0.0, 9.0), '1', BLOCKS)},
+    own AS (SELECT cell_id, value FROM (SELECT cell_id, v + {O.laplace(_B, '1', 'cell_id')} AS value FROM c) WHERE {O.uniform('1', 'keep', 'cell_id')} < least(abs(value) / {O.d(9.0)}, {O.d(1)})),
+    tries AS (SELECT cell_id AS place, t, -{O.d(_B)} * (ln({O.uniform('1', 'one', _TRY)}) + ln({O.uniform('1', 'two', _TRY)})) AS x FROM (SELECT cell_id, cell_id AS place FROM places), range({math.ceil(42 * _B / 9.0)}) r(t)),
+    first AS (SELECT place AS cell_id, arg_min(x, t) AS x FROM tries WHERE {O.uniform('1', 'take', _TRY)} * x < {O.d(9.0)} GROUP BY 1)
+    SELECT cell_id, {_laplace_weight(9.0)} FROM (SELECT * FROM own UNION ALL SELECT cell_id, CASE WHEN {O.uniform('1', 'sign', 'cell_id')} < {O.d(0.5)} THEN -x ELSE x END FROM first)""")(
+    lambda spark, sf: _laplace_rounded(S.laplace_sample(V.v5b(spark, sf)[0], _M5B, EPS, 9.0, blocks=BLOCKS)))
+
+
+def _lowered(cut: int, lower: int) -> str:
+    high, own = L.KeepLaw(ALPHA, cut), f"{KEY}/from-{cut}-to-{lower}"
+    p0, p1 = high.keep(), L.KeepLaw(ALPHA, lower).keep()
+    size = f"{lower} + CAST(floor(ln({O.d(1)} - {O.uniform(own, 'size', 'cell_id')} * {O.d(1 - ALPHA ** (cut - lower))}) / {O.d(math.log(ALPHA))}) AS BIGINT)"
+    sign = f"CASE WHEN {O.uniform(own, 'sign', 'cell_id')} < {O.d(0.5)} THEN -1 ELSE 1 END"
+    return f"""WITH v AS ({O.cells('v2')}), s AS ({O.direct('v2', M2, high, KEY, BLOCKS)}), e AS (SELECT s.* FROM s ANTI JOIN v USING (cell_id)), c AS (SELECT cell_id FROM v UNION ALL SELECT cell_id FROM e), {O.walks(M2, (p1 - p0) / (1 - p0), own, BLOCKS)}
+        SELECT cell_id, CAST(value AS BIGINT) AS value FROM (SELECT cell_id, v + {O.geometric(ALPHA, KEY, 'cell_id')} AS value FROM v) WHERE abs(value) >= {lower}
+        UNION ALL SELECT cell_id, value FROM e UNION ALL SELECT cell_id, CAST({sign} * least({size}, {cut - 1}) AS BIGINT) FROM places"""
+
+
+@query("lowered_cut_v2", _lowered(9, 6))
+def lowered_cut_v2(spark, sf):
+    cells = _v2(spark, sf)
+    return S.lower_cut(cells, S.high_pass(cells, _plan(M2), 9), _plan(M2), 9, 6)
+
+
+@query("threshold_positive_v2", O.weighted(O.direct("v2", M2, L.KeepLaw(ALPHA, 0, TAU, 1), KEY, BLOCKS), TAU))
+def threshold_positive_v2(spark, sf):
+    return S.threshold_sample(_v2(spark, sf), _plan(M2), TAU, sides=1)
+
+
+@query("threshold_weights_v2", f"SELECT cell_id, value, CAST(value AS DOUBLE) AS raw, sign(value) * greatest(CAST(abs(value) AS DOUBLE), {O.d(TAU)}) AS unbiased FROM ({O.direct('v2', M2, L.KeepLaw(ALPHA, 0, TAU), KEY, BLOCKS)})")
+def threshold_weights_v2(spark, sf):
+    rows = durable(S.reduced(_v2(spark, sf), L.KeepLaw(ALPHA, 0, TAU), _plan(M2)))
+    return S.adjusted(rows, TAU, raw=True).withColumnRenamed("weight", "raw").join(S.adjusted(rows, TAU).selectExpr("cell_id", "weight AS unbiased"), "cell_id")
+
+
+@query("large_sample_v2", ORACLE_SQL["priority_materialised_v2"])
+def large_sample_v2(spark, sf):
+    """The way of large samples: the place of the last row is narrowed down by counts."""
+    rows = S.all_noisy(_v2(spark, sf), _plan(M2)).where("abs(value) >= 1").selectExpr("cell_id", "value", f"abs(value) / {_plan(M2).u('keep')} AS priority")
+    kept, tau = S.top_priorities(durable(rows), SAMPLE, direct_limit=1000)
+    return kept.selectExpr("cell_id", "value", f"signum(value) * greatest(CAST(abs(value) AS DOUBLE), {tau!r}D) AS weight")
+
+
+@query("expected_sizes", " UNION ALL ".join(f"SELECT {t} AS target, {c} AS cut, {O.d(t)} AS expected" for t in (500, 5000, 20_000) for c in (0, 3)))
+def expected_sizes(spark, sf):
+    """Thresholds picked for a number of empty cells do keep as many, by the law."""
+    m, n = 100_000, 10_000
+    rows = [(t, c, round((m - n) * L.KeepLaw(ALPHA, c, L.pick_tau_empty(m, n, ALPHA, t, c)).keep(), 6)) for t in (500, 5000, 20_000) for c in (0, 3)]
+    return spark.createDataFrame(rows, "target int, cut int, expected double")
+
+
 query("ensure_size_v2")(lambda spark, sf: S.ensure_size(_v2(spark, sf), _plan(M2), 12, 20_000)[0].select("cell_id", "value"))
 query("block_sampler_v4")(lambda spark, sf: zero_cells(V.v4(spark, sf)[0], V.v4(spark, sf)[1].size, 0.01, KEY, "block"))
 query("reject_sampler_v4")(lambda spark, sf: zero_cells(V.v4(spark, sf)[0], V.v4(spark, sf)[1].size, 0.01, KEY, "reject"))
@@ -272,7 +344,10 @@ def dyadic_release_materialised_v3(spark, sf):
     return H.hier_release(_v3(spark, sf), H3, _plan(M3, route="materialised"), lambda c, p: S.high_pass(c, p, 60)).select("level", "pos", "value")
 
 
-query("dyadic_release_v3")(lambda spark, sf: H.hier_release(_v3(spark, sf), H3, _plan(M3), lambda c, p: S.high_pass(c, p, 60)).select("level", "pos", "value"))
+_NODE_CELLS = f"SELECT {_NODE} AS cell_id, v FROM ({O.node_counts('v3a', H3)})"
+_NODE_LEVEL, _NODE_POS = O.node_of(H3)
+_DIRECT_NODES = f"SELECT {_NODE_LEVEL} AS level, {_NODE_POS} AS pos, value FROM ({O.direct_of(_NODE_CELLS, _N_M, L.KeepLaw(_N_ALPHA, 60), KEY, BLOCKS)})"
+query("dyadic_release_v3", _DIRECT_NODES)(lambda spark, sf: H.hier_release(_v3(spark, sf), H3, _plan(M3), lambda c, p: S.high_pass(c, p, 60)).select("level", "pos", "value"))
 
 
 @query("consistency_v3", f"WITH {_PRUNED} SELECT level, CAST(pos AS BIGINT) AS pos, CAST(value AS BIGINT) AS value FROM p{H3}")
@@ -285,11 +360,57 @@ def consistent_filter_v3(spark, sf):
     return H.consistent_filter(_v3(spark, sf), H3, _plan(M3), 60).select("level", "pos", "value")
 
 
-query("filter_prune_priority_v3")(lambda spark, sf: H.filter_prune_priority(_v3(spark, sf), H3, _plan(M3), 60, 2000)[0])
-query("filter_threshold_nodes_v3")(lambda spark, sf: H.filter_threshold_nodes(_v3(spark, sf), H3, _plan(M3), 60, 150.0))
-query("full_dyadic_v3")(lambda spark, sf: B.full_dyadic(_v3(spark, sf), H3, _plan(M3)))
-query("full_haar_v3")(lambda spark, sf: B.full_haar(_v3(spark, sf), H3, _plan(M3)))
-query("haar_weighted_v3")(lambda spark, sf: B.haar_weighted(_v3(spark, sf), H3, EPS))
+_PRUNED_DIRECT = f"kept AS MATERIALIZED ({_DIRECT_NODES}), p0 AS (SELECT * FROM kept WHERE level = {H3}), " + ", ".join(
+    f"p{k} AS (SELECT x.* FROM kept x JOIN p{k - 1} y ON x.level = {H3 - k} AND y.pos = x.pos >> 1)" for k in range(1, H3 + 1)
+)
+_ALL_PRUNED = " UNION ALL ".join(f"SELECT * FROM p{k}" for k in range(H3 + 1))
+query("filter_prune_priority_v3", f"""WITH {_PRUNED_DIRECT}, a AS ({_ALL_PRUNED}), t AS (SELECT *, abs(value) / {O.uniform(KEY, 'keep', _NODE)} AS priority, row_number() OVER (ORDER BY abs(value) / {O.uniform(KEY, 'keep', _NODE)} DESC, {_NODE}) AS k FROM a)
+    SELECT level, pos, value, sign(value) * greatest(CAST(abs(value) AS DOUBLE), coalesce((SELECT priority FROM t WHERE k = 201), 0)) AS weight FROM t WHERE k <= 200""")(lambda spark, sf: H.filter_prune_priority(_v3(spark, sf), H3, _plan(M3), 60, 200)[0])
+query("filter_threshold_nodes_v3", f"""SELECT {_NODE_LEVEL} AS level, {_NODE_POS} AS pos, value, sign(value) * greatest(CAST(abs(value) AS DOUBLE), {O.d(150)}) AS weight
+    FROM ({O.direct_of(_NODE_CELLS, _N_M, L.KeepLaw(_N_ALPHA, 60, 150.0), KEY, BLOCKS)})""")(lambda spark, sf: H.filter_threshold_nodes(_v3(spark, sf), H3, _plan(M3), 60, 150.0))
+query("full_dyadic_v3", f"SELECT {_NODE_LEVEL} AS level, {_NODE_POS} AS pos, CAST(value AS BIGINT) AS value, CAST(value AS DOUBLE) AS weight FROM (WITH c AS ({_NODE_CELLS}) {O.everything(_N_M, _N_ALPHA, KEY)})")(lambda spark, sf: B.full_dyadic(_v3(spark, sf), H3, _plan(M3)))
+_COEFFICIENTS = f"""SELECT CAST(l AS INT) AS level, CAST(p AS BIGINT) AS pos, coalesce(v, 0) AS v, CASE WHEN l = {H3 + 1} THEN {(1 << H3) - 1} ELSE {1 << H3} - (CAST(1 AS BIGINT) << CAST({H3 + 1} - l AS INT)) + p END AS cell_id
+    FROM (SELECT l, unnest(range(CASE WHEN l > {H3} THEN 1 ELSE CAST(1 AS BIGINT) << CAST({H3} - l AS INT) END)) AS p FROM range(1, {H3 + 2}) r(l)) LEFT JOIN ({O.coefficients('v3a', H3)}) ON level = l AND pos = p"""
+query("full_haar_v3", f"SELECT level, pos, CAST(v + {O.geometric(_N_ALPHA, KEY, 'cell_id')} AS BIGINT) AS value, CAST(v + {O.geometric(_N_ALPHA, KEY, 'cell_id')} AS DOUBLE) AS weight FROM ({_COEFFICIENTS})")(lambda spark, sf: B.full_haar(_v3(spark, sf), H3, _plan(M3)))
+query("haar_weighted_v3", f"SELECT level, pos, round(v + {O.laplace((H3 + 1) / EPS, '1', 'level', 'pos', tag='haar')}, 6) AS weight FROM ({_COEFFICIENTS})")(
+    lambda spark, sf: B.haar_weighted(_v3(spark, sf), H3, EPS).select("level", "pos", F.round("weight", 6).alias("weight")))
+
+
+def _tree_errors(nodes: str, sizes: list[int]) -> str:
+    """Mean absolute error by size of range answers from nodes (level, pos, value), as CTEs that end in `e` (size, abs_error)."""
+    q = O.ranges(M3, sizes, 40)
+    return f"""q AS ({q}), cov AS ({O.cover(q, H3)}), t AS (SELECT qid, sum(coalesce(v, 0)) AS truth FROM q LEFT JOIN ({O.cells('v3a')}) c ON cell_id >= lo AND cell_id < hi GROUP BY 1),
+        a AS (SELECT qid, sum(CAST(value AS DOUBLE)) AS estimate FROM cov JOIN ({nodes}) n USING (level, pos) GROUP BY 1), e AS (SELECT size, avg(abs(coalesce(estimate, 0) - truth)) AS abs_error FROM q JOIN t USING (qid) LEFT JOIN a USING (qid) GROUP BY 1)"""
+
+
+def _tree_measured(cells: DataFrame, nodes: DataFrame, q: DataFrame) -> DataFrame:
+    return A.by_size(A.errors(E.exact_range(cells, q), H.answer_dyadic(nodes, q, H3), q))
+
+
+_GAIN_SIZES = [100, 1000, 5000]
+
+
+@query("consistency_gain_v3", f"""WITH x AS (WITH {_KEPT_NODES}, {_tree_errors('SELECT level, pos, value FROM kept', _GAIN_SIZES)} SELECT * FROM e), y AS (WITH {_PRUNED}, {_tree_errors(f'SELECT level, pos, value FROM p{H3}', _GAIN_SIZES)} SELECT * FROM e)
+    SELECT CAST(size AS BIGINT) AS size, round(1 - y.abs_error / x.abs_error, 4) AS gain FROM x JOIN y USING (size)""")
+def consistency_gain_v3(spark, sf):
+    """The share of the error that pruning takes away."""
+    cells, q = _v3(spark, sf), range_queries(spark, M3, _GAIN_SIZES, 40)
+    kept = durable(H.hier_release(cells, H3, _plan(M3, route="materialised"), lambda c, p: S.high_pass(c, p, 60)))
+    return A.gain(_tree_measured(cells, kept, q), _tree_measured(cells, H.prune(kept, H3), q)).select("size", F.round("gain", 4).alias("gain"))
+
+
+_CROSS_SIZES = [10, 50, 100, 500, 1000, 2000, 5000, 10_000]
+
+
+@query("crossing_point_v3", f"""WITH y AS (WITH {_KEPT_NODES}, {_tree_errors('SELECT level, pos, value FROM f', _CROSS_SIZES)} SELECT * FROM e),
+    x AS (WITH c AS ({O.cells('v3a')}), f AS (SELECT i AS cell_id, coalesce(v, 0) AS v, coalesce(v, 0) + {O.geometric(ALPHA, KEY, 'i')} AS value FROM range({M3}) r(i) LEFT JOIN c ON cell_id = i), q AS ({O.ranges(M3, _CROSS_SIZES, 40)})
+        SELECT size, avg(gap) AS abs_error FROM (SELECT qid, any_value(size) AS size, abs(sum(value - v)) AS gap FROM q JOIN f ON cell_id >= lo AND cell_id < hi GROUP BY 1) GROUP BY 1)
+    SELECT min(CASE WHEN y.abs_error < x.abs_error THEN CAST(x.size AS BIGINT) END) AS size FROM x JOIN y USING (size)""")
+def crossing_point_v3(spark, sf):
+    """The least range size at which the full noisy hierarchy is closer than the flat plain mechanism."""
+    cells, q = _v3(spark, sf), range_queries(spark, M3, _CROSS_SIZES, 40)
+    flat = S.full_geometric(cells, _plan(M3)).selectExpr("cell_id", "value", "CAST(value AS DOUBLE) AS weight")
+    return A.crossing(A.by_size(A.errors(E.exact_range(cells, q), E.est_range(flat, q), q)), _tree_measured(cells, B.full_dyadic(cells, H3, _plan(M3)), q))
 
 
 @query("haar_coeffs_v3", O.coefficients("v3a", H3))
@@ -317,6 +438,24 @@ def dyadic_2d(spark, sf):
     return H.dyadic_nd(rows, {"x": 7, "y": 5})
 
 
+_ND = {"x": 7, "y": 5}
+_ND_M = ((1 << 8) - 1) * ((1 << 6) - 1)
+_ND_CELLS = f"SELECT {O.node_id(7, 'x_level', 'x_pos')} * {(1 << 6) - 1} + {O.node_id(5, 'y_level', 'y_pos')} AS cell_id, v FROM ({ORACLE_SQL['dyadic_2d']})"
+_ND_LAW = L.KeepLaw(alpha_of(EPS, 8 * 6), 300)
+(_X_LEVEL, _X_POS), (_Y_LEVEL, _Y_POS) = O.node_of(7, f"(cell_id // {(1 << 6) - 1})"), O.node_of(5, f"(cell_id % {(1 << 6) - 1})")
+_ND_RELEASE = f"SELECT {_X_LEVEL} AS x_level, {_X_POS} AS x_pos, {_Y_LEVEL} AS y_level, {_Y_POS} AS y_pos, value FROM ({O.direct_of(_ND_CELLS, _ND_M, _ND_LAW, KEY, BLOCKS)})"
+
+
+def _released_2d(spark, sf) -> DataFrame:
+    rows = V.table(spark, sf, "customer").selectExpr("least(greatest(CAST(floor((c_acctbal + 1000) / 100) AS BIGINT), 0), 127) AS x", "CAST(c_nationkey AS BIGINT) AS y", "1 AS v")
+    return H.release_nd(rows, _ND, _plan(0), lambda c, p: S.high_pass(c, p, 300))
+
+
+@query("dyadic_2d_release", _ND_RELEASE)
+def dyadic_2d_release(spark, sf):
+    return _released_2d(spark, sf).drop("weight")
+
+
 _BOX = "SELECT i AS qid, (i * 7) % 60 AS x_lo, (i * 7) % 60 + 40 AS x_hi, i % 9 AS y_lo, i % 9 + 11 AS y_hi FROM range(50) r(i)"
 
 
@@ -327,6 +466,13 @@ def dyadic_2d_answers(spark, sf):
     return H.answer_nd(dyadic_2d(spark, sf), boxes, {"x": 7, "y": 5})
 
 
+@query("dyadic_2d_private_answers", f"""WITH n AS MATERIALIZED ({_ND_RELEASE}), q AS ({_BOX}), cx AS (SELECT qid, level AS x_level, pos AS x_pos FROM ({O.cover('SELECT qid, x_lo AS lo, x_hi AS hi FROM (' + _BOX + ')', 7)})), cy AS (SELECT qid, level AS y_level, pos AS y_pos FROM ({O.cover('SELECT qid, y_lo AS lo, y_hi AS hi FROM (' + _BOX + ')', 5)}))
+    SELECT q.qid, coalesce(sum(CAST(value AS DOUBLE)), 0) AS estimate FROM q JOIN cx USING (qid) JOIN cy USING (qid) LEFT JOIN n USING (x_level, x_pos, y_level, y_pos) GROUP BY 1""")
+def dyadic_2d_private_answers(spark, sf):
+    boxes = spark.range(50).selectExpr("id AS qid", "(id * 7) % 60 AS x_lo", "(id * 7) % 60 + 40 AS x_hi", "id % 9 AS y_lo", "id % 9 + 11 AS y_hi")
+    return H.answer_nd(_released_2d(spark, sf), boxes, _ND, "weight")
+
+
 # ---- sketches ---------------------------------------------------------------------------------------------------------------------------------------
 
 _W, _D = 512, 3
@@ -350,13 +496,14 @@ def private_sketch_v5b(spark, sf):
 
 for _how, _f in {"mean": "avg", "median": "median"}.items():
 
-    @query(f"sketch_points_{_how}_v5b", f"SELECT cell_id, round({_f}(CAST(sign * coalesce(v, 0) AS DOUBLE)), 6) AS estimate FROM (SELECT cell_id, row, CAST(({_H} >> 1) % {_W} AS INT) AS bucket, CASE WHEN {_H} % 2 = 0 THEN 1 ELSE -1 END AS sign FROM range(0, 13750, 11) c(cell_id), range({_D}) r(row)) LEFT JOIN ({_PRIVATE}) USING (row, bucket) GROUP BY 1")
+    @query(f"sketch_points_{_how}_v5b", f"SELECT cell_id, round({_f}(CAST(sign * coalesce(v, 0) AS DOUBLE)), 6) AS estimate FROM (SELECT cell_id, row, CAST(({_H} >> 1) % {_W} AS INT) AS bucket, CASE WHEN {_H} % 2 = 0 THEN 1 ELSE -1 END AS sign FROM range(13750) c(cell_id), range({_D}) r(row)) LEFT JOIN ({_PRIVATE}) USING (row, bucket) GROUP BY 1")
     def _points(spark, sf, how=_how):
         sk = K.private_sketch(V.v5b(spark, sf)[0], _W, _D, EPS)
-        return K.sketch_point(sk, spark.range(0, 13_750, 11).withColumnRenamed("id", "cell_id"), _W, _D, how=how).select("cell_id", F.round("estimate", 6).alias("estimate"))
+        return K.sketch_point(sk, spark.range(13_750).withColumnRenamed("id", "cell_id"), _W, _D, how=how).select("cell_id", F.round("estimate", 6).alias("estimate"))
 
 
-query("sketch_of_noisy_v5b")(lambda spark, sf: K.sketch_of_noisy(V.v5b(spark, sf)[0], _plan(13_750), _W, _D))
+query("sketch_of_noisy_v5b", f"""WITH c AS ({O.cells('v5b')}), f AS ({O.everything(13_750, ALPHA, KEY)})
+    SELECT CAST(row AS INT) AS row, CAST(({_H} >> 1) % {_W} AS INT) AS bucket, CAST(sum(CASE WHEN {_H} % 2 = 0 THEN value ELSE -value END) AS BIGINT) AS v FROM f, range({_D}) r(row) GROUP BY 1, 2""")(lambda spark, sf: K.sketch_of_noisy(V.v5b(spark, sf)[0], _plan(13_750), _W, _D))
 
 
 # ---- estimators and measures ------------------------------------------------------------------------------------------------------------------------
@@ -398,7 +545,10 @@ def median_rel_error(spark, sf):
     return A.by_size(_filter_errors(spark, sf)).select("size", "n_zero_truth", F.round("median_rel_error", 6).alias("median_rel_error"))
 
 
-@query("subset_queries_exact_v3", None)
+_SUBSETS = O.subsets(M3, [100, 1000], 20)
+
+
+@query("subset_queries_exact_v3", f"SELECT qid, CAST(sum(coalesce(v, 0)) AS DOUBLE) AS truth FROM ({_SUBSETS}) q LEFT JOIN ({O.cells('v3a')}) c USING (cell_id) GROUP BY 1")
 def subset_queries_exact_v3(spark, sf):
     return E.exact_subset(_v3(spark, sf), subset_queries(spark, M3, [100, 1000]))
 
@@ -418,7 +568,33 @@ def heavy_cells_v2(spark, sf):
     return E.est_top(S.high_pass(_v2(spark, sf), _plan(M2), CUT), 25)
 
 
-query("subset_variance_v2")(lambda spark, sf: E.est_variance(S.threshold_sample(_v2(spark, sf), _plan(M2), TAU), subset_queries(spark, M2, [100, 1000]), TAU, moments(ALPHA)["variance"]))
+query("subset_variance_v2", f"""SELECT qid, round(sum(CASE WHEN value IS NULL THEN 0 ELSE {O.d(TAU)} * greatest(0, {O.d(TAU)} - abs(value)) END) + {O.d(moments(ALPHA)['variance'])} * count(*), 4) AS variance
+    FROM ({O.subsets(M2, [100, 1000], 20)}) q LEFT JOIN ({O.direct('v2', M2, L.KeepLaw(ALPHA, 0, TAU), KEY, BLOCKS)}) s USING (cell_id) GROUP BY 1""")(
+    lambda spark, sf: E.est_variance(S.threshold_sample(_v2(spark, sf), _plan(M2), TAU), subset_queries(spark, M2, [100, 1000]), TAU, moments(ALPHA)["variance"]).select("qid", F.round("variance", 4).alias("variance")))
+
+
+@query("point_estimates_v2", f"SELECT i AS cell_id, CAST(coalesce(value, 2) AS DOUBLE) AS estimate FROM range({M2}) r(i) LEFT JOIN ({O.direct('v2', M2, L.KeepLaw(ALPHA, CUT), KEY, BLOCKS)}) s ON cell_id = i")
+def point_estimates_v2(spark, sf):
+    """Every cell of the domain, absent ones filled with half the cut."""
+    return E.est_point(S.high_pass(_v2(spark, sf), _plan(M2), CUT), spark.range(M2).withColumnRenamed("id", "cell_id"), absent=CUT / 2)
+
+
+@query("absent_fill_v3", f"""SELECT q.qid, CAST(coalesce(sum(value), 0) + 0.5 * (max(hi - lo) - count(value)) AS DOUBLE) AS estimate FROM ({_RANGES}) q LEFT JOIN ({O.materialised('v3a', M3, L.KeepLaw(ALPHA, CUT), KEY)}) s ON cell_id >= lo AND cell_id < hi GROUP BY 1""")
+def absent_fill_v3(spark, sf):
+    return E.est_range(S.high_pass(_v3(spark, sf), _plan(M3, route="materialised"), CUT), _ranges(spark), absent=0.5)
+
+
+@query("ledger_report", "SELECT * FROM (VALUES ('a', CAST(0.5 AS DOUBLE)), ('day-1', CAST(0.2 AS DOUBLE)), ('day-2', CAST(0.4 AS DOUBLE))) t(release, eps) CROSS JOIN (SELECT CAST(0.9 AS DOUBLE) AS spent, CAST(0.1 AS DOUBLE) AS remaining) u")
+def ledger_report(spark, sf):
+    """What each release cost, and what they cost together: two of disjoint days as much as the dearer one."""
+    from .operators.accountant import Accountant
+
+    ledger = Accountant(1.0)
+    ledger.spend("a", 0.5, digest="x")
+    ledger.spend("day-1", 0.2, part="day/1")
+    ledger.spend("day-2", 0.4, part="day/2")
+    ledger.spend("a", 0.5, digest="x")  # the same release again costs nothing
+    return ledger.table(spark).select("release", "eps", F.lit(round(ledger.spent(), 9)).alias("spent"), F.lit(round(ledger.left(), 9)).alias("remaining"))
 
 
 @query("summary_composition_v2", f"SELECT CAST(sum(CAST(v IS NOT NULL AS INT)) AS BIGINT) AS occupied, CAST(sum(CAST(v IS NULL AS INT)) AS BIGINT) AS empty FROM ({O.direct('v2', M2, L.KeepLaw(ALPHA, CUT), KEY, BLOCKS)}) s LEFT JOIN ({O.cells('v2')}) c USING (cell_id)")
@@ -428,8 +604,12 @@ def summary_composition_v2(spark, sf):
 
 # ---- synthetic inputs, baselines, streams -----------------------------------------------------------------------------------------------------------
 
-query("synthetic_workload")(lambda spark, sf: synthetic(spark, 100_000))
-query("synthetic_clustered")(lambda spark, sf: synthetic(spark, 100_000, 0.05, places="clustered"))
+_NORMAL = lambda tag, key: f"sqrt({O.d(-2)} * ln({O.uniform('1', tag + 'a', key)})) * cos({O.d(2 * math.pi)} * {O.uniform('1', tag + 'b', key)})"
+_COUNT = f"CAST(greatest(1, round({O.d(100)} + {O.d(20)} * {_NORMAL('size', 'cell_id')})) AS BIGINT) AS v"
+query("synthetic_workload", f"SELECT cell_id, {_COUNT} FROM (SELECT i AS cell_id FROM range(100000) r(i) ORDER BY {O.draw('1', 'place', 'i')} DESC, i LIMIT 10000)")(lambda spark, sf: synthetic(spark, 100_000, mode="md5"))
+query("synthetic_clustered", f"""WITH k AS (SELECT i AS id, {O.draw('1', 'which', 'i')} % 20 AS k FROM range({math.ceil(5000 * 1.6) + 64}) r(i)),
+    a AS (SELECT id, ((CAST(floor({O.uniform('1', 'center', 'k')} * {O.d(100_000)}) AS BIGINT) + CAST(round({O.d(600)} * {_NORMAL('spread', 'id')}) AS BIGINT)) % 100000 + 100000) % 100000 AS cell_id FROM k),
+    f AS (SELECT cell_id, min(id) AS id FROM a GROUP BY 1 ORDER BY 2 LIMIT 5000) SELECT cell_id, {_COUNT} FROM f""")(lambda spark, sf: synthetic(spark, 100_000, 0.05, places="clustered", mode="md5"))
 query("dirichlet_synthetic_v1")(lambda spark, sf: B.dirichlet_synthetic(V.v1(spark, sf)[0], V.v1(spark, sf)[1].dims[1].radix, V.v1(spark, sf)[1].dims[0].radix, 1.0, 1e-4, 600))
 
 
@@ -454,14 +634,23 @@ def event_windows(spark, sf):
     return window_counts(events, dom).selectExpr("CAST(date_diff(CAST(window_start AS DATE), DATE'1970-01-01') AS BIGINT) * 86400 AS day", "cell_id", "v")
 
 
-@query("event_windows_release", None)
+_FIRST_DAY, _DAYS = 1704067200, 30
+_WINDOW_CELLS = f"SELECT (day - {_FIRST_DAY}) // 86400 * 500 + cell_id AS cell_id, v FROM ({ORACLE_SQL['event_windows']}) WHERE day >= {_FIRST_DAY} AND day < {_FIRST_DAY + _DAYS * 86400}"
+
+
+@query("event_windows_release", f"SELECT CAST({_FIRST_DAY} + cell_id // 500 * 86400 AS BIGINT) AS window, CAST(cell_id % 500 AS BIGINT) AS cell_id, value, weight FROM ({O.weighted(O.direct_of(_WINDOW_CELLS, 500 * _DAYS, _DAY, KEY, BLOCKS), TAU)})")
 def event_windows_release(spark, sf):
-    events, dom = _events(spark, sf)
-    first = window_counts(events, dom).where("CAST(window_start AS DATE) = DATE'2024-01-02'").select("cell_id", "v")
-    return release_window(first, _plan(dom.size), "2024-01-02", CUT, TAU)
+    """Every day of the declared month, each with draws of its own."""
+    dom = _events(spark, sf)[1]
+    return release_windows(event_windows(spark, sf).withColumnRenamed("day", "window"), _plan(dom.size), _FIRST_DAY, _DAYS, 86_400, CUT, TAU)
+
+
+@query("document_facets_release", _direct_top(CUT, 12.0, "v6", 8000, 500))
+def document_facets_release(spark, sf):
+    made = release(V.table(spark, sf, "documents")).over(V.v6(spark, sf)[1]).epsilon(EPS).method("filter_priority", cut=CUT, s=500, tau0=12.0)
+    return made.using(seed=1, release="r", mode="md5", way="skip", blocks=BLOCKS, testing=True).run().summary
 
 
-query("document_facets_release")(lambda spark, sf: release(V.table(spark, sf, "documents")).over(V.v6(spark, sf)[1]).epsilon(EPS).method("filter_priority", cut=CUT, s=500).run().summary)
 query("embedding_sign_cells", O.cells("v7c"))(lambda spark, sf: V.v7c(spark, sf)[0])
 query("host_facets", O.cells("v7d"))(lambda spark, sf: V.v7d(spark, sf)[0])
 
@@ -469,80 +658,104 @@ query("host_facets", O.cells("v7d"))(lambda spark, sf: V.v7d(spark, sf)[0])
 # ---- experiments ------------------------------------------------------------------------------------------------------------------------------------
 
 
-def _gsyn(spark, **kw):
-    return X.gsyn(spark, 100_000, **kw)
-
-
-@query("w1_filter_sizes")
-def w1(spark, sf):
-    cells, m, _, _ = _gsyn(spark)
-    return X.filter_sizes(cells, m, (10, 20, 40, 60, 120))
+M_SYN = 1_000_000
 
 
-@query("w2_sample_sizes")
-def w2(spark, sf):
-    return X.sample_sizes(*_gsyn(spark), shares=(0.5, 1.0, 2.0))
+def _gsyn(spark, **kw):
+    return X.gsyn(spark, M_SYN, **kw)
 
 
-@query("w3_combined_cuts")
-def w3(spark, sf):
-    cells, m, n, _ = _gsyn(spark)
-    return X.combined_cuts(cells, m, n, (5, 20, 40, 70))
+def _view(spark, sf, view: str, measure: str | None = None, **kw) -> tuple[DataFrame, int, int, float]:
+    """A view's cells (kept), its size, and its totals."""
+    cells, dom = V.VIEWS[view](spark, sf, measure, **kw) if measure else V.VIEWS[view](spark, sf, **kw)
+    cells = durable(cells)
+    n, total = cells.agg(F.count(F.lit(1)), F.sum("v")).first()
+    return cells, dom.size, n, float(total)
 
 
-@query("w4_small_subsets")
-def w4(spark, sf):
-    cells, m, n, total = _gsyn(spark)
-    return X.methods_by_size(cells, m, n, total, n, [100, 1000, 5000])
+def _experiment(name: str, f: Callable[..., DataFrame], *tables: tuple[str, dict]) -> None:
+    """Registers f(cells, m, n, total) on the synthetic counts, and on views of the tables as <name>_<view>."""
+    query(name)(lambda spark, sf: f(*_gsyn(spark)))
+    for view, kw in tables:
+        own = f"{name}_{view}" + (f"_{kw['bits']}" if "bits" in kw else "")
+        query(own)(lambda spark, sf, view=view, kw=kw: f(*_view(spark, sf, view, **kw)))
 
 
-@query("w5_large_subsets")
-def w5(spark, sf):
-    cells, m, n, total = _gsyn(spark)
-    return X.methods_by_size(cells, m, n, total, n, [5000, 20_000, 50_000], ranges=True)
+_experiment("w1_filter_sizes", lambda c, m, n, t: X.filter_sizes(c, m), ("v3e", {"bits": 17}), ("v2", {}))
+_experiment("w2_sample_sizes", lambda c, m, n, t: X.sample_sizes(c, m, n, t), ("v3e", {"bits": 17}), ("v2", {}))
+_experiment("w3_combined_cuts", lambda c, m, n, t: X.combined_cuts(c, m, n), ("v3e", {"bits": 17}))
+_experiment("w4_small_subsets", lambda c, m, n, t: X.methods_by_size(c, m, n, t, n, [100, 1000, 10_000]), ("v3e", {"bits": 17}), ("v2", {}))
+_experiment("w5_large_subsets", lambda c, m, n, t: X.methods_by_size(c, m, n, t, n, [10_000, 50_000, 200_000], ranges=True), ("v2", {}))
 
 
 @query("w6_spread_counts")
 def w6(spark, sf):
     cells, m, n, total = _gsyn(spark, sd=40)
-    return X.stack([X.methods_by_size(cells, m, n, total, k * n, [1000, 10_000], combined_cut=20, ranges=True) for k in (1, 2)])
+    return X.stack([X.methods_by_size(cells, m, n, total, k * n, [1000, 5000, 100_000], combined_cut=20, ranges=True) for k in (1, 2)])
+
+
+@query("w6_spread_counts_v1")
+def w6_v1(spark, sf):
+    cells, m, n, total = _view(spark, sf, "v1", "l_quantity")
+    return X.methods_by_size(cells, m, n, total, n, [m // 100, m // 20], filter_cut=13, combined_cut=6, ranges=True)
 
 
 @query("w7_sparse")
 def w7(spark, sf):
     cells, m, n, total = _gsyn(spark, rho=0.01)
-    return X.methods_by_size(cells, m, n, total, n, [1000, 10_000], combined_cut=50, ranges=True)
+    return X.methods_by_size(cells, m, n, total, n, [100, 1000, 5000, 100_000], combined_cut=50, ranges=True)
+
+
+for _view_name, _kw in (("v3e", {"bits": 20}), ("v4", {})):
+
+    def _w7(spark, sf, view=_view_name, kw=_kw):
+        cells, m, n, total = _view(spark, sf, view, **kw)
+        return X.methods_by_size(cells, m, n, total, n, [1000, 100_000], combined_cut=29, ranges=True)
+
+    query(f"w7_sparse_{_view_name}")(_w7)
 
 
 @query("w8_throughput")
 def w8(spark, sf):
-    made = {f"rho_{rho}": _gsyn(spark, rho=rho)[:3] for rho in (0.1, 0.01)}
-    return X.throughput(spark, made)
+    return X.throughput(spark, {f"rho_{rho}": _gsyn(spark, rho=rho)[:3] for rho in (0.1, 0.01, 0.001)})
 
 
-@query("w9_dyadic_uniform")
-def w9(spark, sf):
-    cells, m, n, _ = _gsyn(spark)
-    return X.dyadic_ranges(cells, m, n, [100, 1000, 10_000, 50_000])
+@query("w8_throughput_views")
+def w8_views(spark, sf):
+    dial = {f"v3e_{bits}": _view(spark, sf, "v3e", bits=bits)[:3] for bits in (17, 20, 23)}
+    return X.throughput(spark, dial | {v: _view(spark, sf, v)[:3] for v in ("v1", "v2", "v3b", "v4", "v5b")})
+
+
+_RANGE_SIZES = [100, 1000, 10_000, 100_000]
+_experiment("w9_dyadic_uniform", lambda c, m, n, t: X.dyadic_ranges(c, m, n, _RANGE_SIZES), ("v3e", {"bits": 17}), ("v3b", {}))
+_experiment("w9_crossings", lambda c, m, n, t: X.crossings(durable(X.dyadic_ranges(c, m, n, [100, 1000, 5000, 10_000, 20_000, 100_000]))))
 
 
 @query("w10_dyadic_clustered")
 def w10(spark, sf):
-    cells, dom = V.v3d(spark, sf)
-    return X.dyadic_ranges(cells, dom.size, cells.count(), [100, 1000, 10_000, 50_000])
+    cells, m, n, _ = _gsyn(spark, rho=0.05, places="clustered")
+    return X.dyadic_ranges(cells, m, n, _RANGE_SIZES)
+
+
+@query("w10_dyadic_clustered_v3d")
+def w10_v3d(spark, sf):
+    cells, m, n, _ = _view(spark, sf, "v3d")
+    return X.dyadic_ranges(cells, m, n, _RANGE_SIZES)
 
 
-@query("w11_consistency")
-def w11(spark, sf):
+def _clustered_consistency(spark) -> DataFrame:
     cells, m, n, _ = _gsyn(spark, rho=0.05, places="clustered")
-    return X.consistency(cells, m, n, [1000, 10_000], 400)
+    return X.consistency(cells, m, n, [1000, 10_000, 100_000], 400)
+
+
+query("w11_consistency")(lambda spark, sf: _clustered_consistency(spark))
+query("w11_gains")(lambda spark, sf: X.gains(durable(_clustered_consistency(spark))))
 
 
 @query("w12_flows")
 def w12(spark, sf):
-    cells, dom = V.v1(spark, sf, "l_quantity")
-    n, total = cells.agg(F.count(F.lit(1)), F.sum("v")).first()
-    return X.methods_by_size(cells, dom.size, n, float(total), max(1, min(round(3.66 * n), dom.size // 2)), [dom.size // 100, dom.size // 20, dom.size // 5], filter_cut=13, combined_cut=6, ranges=True)
+    cells, m, n, total = _view(spark, sf, "v1", "l_quantity")
+    return X.methods_by_size(cells, m, n, total, max(1, min(round(3.66 * n), m // 2)), [m // 100, m // 20, m // 5], filter_cut=13, combined_cut=6, ranges=True)
 
 
 @query("w13_flows_dyadic")
@@ -551,31 +764,31 @@ def w13(spark, sf):
 
     cells, dom = V.v1(spark, sf, "l_quantity")
     by_supplier = Domain(dom.dims, order=(dom.dims[1].name, dom.dims[0].name))
-    lined = by_supplier.encode(dom.decode(cells, labels=False).select("v", *[d.name for d in dom.dims])).select("cell_id", "v")
+    lined = durable(by_supplier.encode(dom.decode(cells, labels=False).select("v", *[d.name for d in dom.dims])).select("cell_id", "v"))
     n = lined.count()
-    return X.dyadic_ranges(lined, dom.size, n, [dom.size // 100, dom.size // 10], s=max(1, round(0.61 * n)))
+    return X.dyadic_ranges(lined, dom.size, n, [dom.size // 1000, dom.size // 100, dom.size // 10], s=max(1, round(0.61 * n)))
 
 
 @query("w14_flows_consistency")
 def w14(spark, sf):
-    cells, dom = V.v1(spark, sf, "l_quantity")
-    return X.consistency(cells, dom.size, 20_000, [dom.size // 100, dom.size // 10], 600)
+    cells, m, _, _ = _view(spark, sf, "v1", "l_quantity")
+    return X.consistency(cells, m, 20_000, [m // 100, m // 10], 600)
 
 
 @query("w15_synthetic_data")
 def w15(spark, sf):
     cells, dom = V.v1(spark, sf)
+    cells = durable(cells)
     total = cells.agg(F.sum("v")).first()[0]
     return X.synthetic_data_baseline(cells, dom.dims[1].radix, dom.dims[0].radix, int(total), [dom.size // 100, dom.size // 10])
 
 
-@query("w16_sketches")
-def w16(spark, sf):
-    cells, m, n, _ = _gsyn(spark)
-    return X.sketches(cells, m, n, [100, 1000])
+_experiment("w16_sketches", lambda c, m, n, t: X.sketches(c, m, n, [100, 1000]), ("v2", {}))
+_experiment("over_seeds", lambda c, m, n, t: X.over_seeds(c, m, n, t))
+_experiment("leaderboard", lambda c, m, n, t: X.leaderboard(c, m, n, t, [100, 1000, 5000, 100_000]))
 
 
-@query("leaderboard")
-def leaderboard(spark, sf):
-    cells, m, n, total = _gsyn(spark)
-    return X.stack([X.methods_by_size(cells, m, n, total, n, [100, 1000, 5000], ranges=True), X.dyadic_ranges(cells, m, n, [100, 1000, 5000]), X.sketches(cells, m, n, [100, 1000], (1,))]).orderBy("size", "abs_error")
+@query("leaderboard_v1")
+def leaderboard_v1(spark, sf):
+    cells, m, n, total = _view(spark, sf, "v1", "l_quantity")
+    return X.leaderboard(cells, m, n, total, [m // 1000, m // 100, m // 20], filter_cut=13, combined_cut=6)

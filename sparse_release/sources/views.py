@@ -32,9 +32,9 @@ def _join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
 
 
-def v1(spark: SparkSession, sf_dir: str, measure: str | None = None) -> Cells:
-    """Flows from customers to suppliers."""
-    dom = Domain((int_range("o_custkey", 0, _rows(spark, sf_dir, "customer")), int_range("l_suppkey", 0, _rows(spark, sf_dir, "supplier"))))
+def v1(spark: SparkSession, sf_dir: str, measure: str | None = None, customers: int | None = None, suppliers: int | None = None) -> Cells:
+    """Flows from customers to suppliers. How many keys of either were given out is stated by the owner; if it is not, the (public) tables of accounts are as long."""
+    dom = Domain((int_range("o_custkey", 0, customers or _rows(spark, sf_dir, "customer")), int_range("l_suppkey", 0, suppliers or _rows(spark, sf_dir, "supplier"))))
     return contingency(_join(spark, sf_dir), dom, F.expr(measure).cast("long") if measure else None), dom
 
 
@@ -97,9 +97,12 @@ def v3e(spark: SparkSession, sf_dir: str, bits: int = 17) -> Cells:
     return scattered(cells, bits), line(1 << bits)
 
 
-def v4(spark: SparkSession, sf_dir: str) -> Cells:
-    """Users by hour by value; the users' domain is stated by the largest key that accounts are given."""
-    users = {"sf0.001": 15, "sf0.01": 150, "sf0.1": 1500}.get(sf_dir.rstrip("/").rpartition("/")[2]) or int(table(spark, sf_dir, "events").agg(F.max("user_id")).first()[0] or 0) + 1
+#: Keys that accounts of the event stream are given; larger tables state more.
+USERS = 1500
+
+
+def v4(spark: SparkSession, sf_dir: str, users: int = USERS) -> Cells:
+    """Users by hour by value; rows of users beyond the stated domain have no cell."""
     hours = Dimension("hour", 720, "timestampdiff(HOUR, TIMESTAMP_NTZ'2024-01-01 00:00:00', CAST(ts AS TIMESTAMP_NTZ))", "{c}")
     dom = Domain((int_range("user_id", 0, users), hours, Dimension("value", 10, "least(greatest(CAST(floor(value / 10) AS BIGINT), 0), 9)")))
     return contingency(table(spark, sf_dir, "events"), dom), dom

@@ -38,6 +38,15 @@ def release_window(cells: DataFrame, plan: Plan, window: str, cut: int, tau: flo
     return filter_threshold(cells, own, cut, tau).selectExpr(f"'{window}' AS window_start", "cell_id", "value", "weight")
 
 
+def release_windows(counts: DataFrame, plan: Plan, first: int, windows: int, length_s: int, cut: int, tau: float) -> DataFrame:
+    """All closed tumbling windows of a batch in one plan: (window, cell_id, value, weight). A window and a cell are one cell of a larger domain, stated by the first window's
+    start (seconds since 1970), how many there are and their length; so empty windows are released as well, and a window's draws are its own. counts: window (seconds),
+    cell_id and v, each pair once."""
+    inside = counts.where(f"window >= {first} AND window < {first + windows * length_s}").selectExpr(f"(window - {first}) div {length_s} * {plan.m} + cell_id AS cell_id", "v")
+    out = filter_threshold(inside, Plan(**{**plan.__dict__, "m": plan.m * windows}), cut, tau)
+    return out.selectExpr(f"{first} + cell_id div {plan.m} * {length_s} AS window", f"cell_id % {plan.m} AS cell_id", "value", "weight")
+
+
 def publish_windows(counts: DataFrame, plan: Plan, cut: int, tau: float, path: str, checkpoint: str, spend: Callable[[str], None] | None = None, once: bool = True) -> StreamingQuery:
     """Writes each closed window's release to path/window_start=...; a batch that is retried writes the same rows over. counts: a streaming frame from window_counts."""
 
@@ -48,8 +57,9 @@ def publish_windows(counts: DataFrame, plan: Plan, cut: int, tau: float, path: s
             for row in batch.select(F.date_format("window_start", "yyyy-MM-dd'T'HH-mm-ss").alias("w")).distinct().collect():
                 if spend is not None:
                     spend(f"{plan.release}/{row.w}")
-                cells = batch.where(F.date_format("window_start", "yyyy-MM-dd'T'HH-mm-ss") == row.w).select("cell_id", "v")
-                release_window(cells, plan, row.w, cut, tau).drop("window_start").repartitionByRange(1, "cell_id").sortWithinPartitions("cell_id").write.mode("overwrite").parquet(f"{path}/window_start={row.w}")
+                # session windows of several keys may begin together; a release has each cell once
+                cells = batch.where(F.date_format("window_start", "yyyy-MM-dd'T'HH-mm-ss") == row.w).groupBy("cell_id").agg(F.sum("v").alias("v"))
+                release_window(cells, plan, row.w, cut, tau).drop("window_start").repartitionByRange("cell_id").sortWithinPartitions("cell_id").write.mode("overwrite").parquet(f"{path}/window_start={row.w}")
         finally:
             batch.unpersist()
 

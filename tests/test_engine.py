@@ -41,7 +41,7 @@ def test_release_and_ledger(spark, sf, tmp_path):
     rows = core.V.table(spark, sf, "customer")
     dom = core.V.v5(spark, sf)[1]
     ledger = Accountant(1.0)
-    made = release(rows).over(dom).epsilon(0.5).method("filter_priority", cut=3, s=60).using(release="a").run(ledger)
+    made = release(rows).over(dom).epsilon(0.5).method("filter_priority", cut=3, s=60).using(seed="s", release="a").run(ledger)
     assert made.summary.columns == ["cell_id", "value", "weight"] and made.summary.count() <= 60 and ledger.left() == pytest.approx(0.5)
     made.create_view("customers")
     total = spark.sql("SELECT SUM(weight) FROM released_customers").first()[0]
@@ -51,9 +51,21 @@ def test_release_and_ledger(spark, sf, tmp_path):
     back = spark.read.parquet(str(tmp_path / "r" / "summary"))
     assert set(back.columns) == {"cell_id", "value", "weight", "c_nationkey", "c_mktsegment", "c_acctbal"} and "priority" not in spark.read.text(str(tmp_path / "r" / "meta")).first()[0].replace("filter_priority", "")
     for method, p in {"high_pass": {"cut": 5}, "threshold": {"tau": 9.0}, "filter_threshold": {"cut": 2, "tau": 9.0}, "priority": {"s": 50}, "uniform": {"fraction": 0.1}, "full": {}}.items():
-        assert release(rows).over(dom).epsilon(0.5).method(method, **p).run().summary.count() > 0
+        assert release(rows).over(dom).epsilon(0.5).method(method, **p).using(seed="s", release=method).run().summary.count() > 0
     with pytest.raises(ValueError):
-        release(rows).over(dom).epsilon(0.9).method("full").using(release="b").run(ledger)
+        release(rows).over(dom).epsilon(0.9).method("full").using(seed="s", release="b").run(ledger)
+    again = release(rows).over(dom).epsilon(0.5).method("filter_priority", cut=3, s=60).using(seed="s", release="a")
+    assert again.run(ledger).summary.exceptAll(made.summary).count() == 0 and ledger.left() == pytest.approx(0.5)
+    other = [again.epsilon(0.1), again.method("priority", s=60), again.over(core.V.v5b(spark, sf)[1]), release(rows.limit(100)).over(dom).epsilon(0.5).method("filter_priority", cut=3, s=60).using(seed="s", release="a")]
+    for plan in other:
+        with pytest.raises(ValueError, match="another release"):
+            plan.run(ledger)
+    plain = release(rows).over(dom).epsilon(0.5).method("full")
+    for bad in (plain, plain.using(seed="s"), plain.using(release="x"), plain.using(seed="s", release="x", mode="md5"), plain.using(seed="s", release="x", mode="xxhash64")):
+        with pytest.raises(ValueError):
+            bad.run()
+    bounded = release(core.V.table(spark, sf, "orders")).over(Domain((categorical("o_orderstatus", ["F", "O", "P"]),))).epsilon(0.5).method("full").each("o_custkey", 3, "o_orderkey").using(seed="s", release="y").run()
+    assert bounded.meta["sensitivity"] == 3 and 0 < sum(r.value for r in bounded.summary.collect()) < 3 * 150 + 200
     assert suggest(10**6, 10**5, 10**7, 0.1, 10**5)["cut"] == 23
     ledger.spend("p1", 0.2, part="day/1")
     ledger.spend("p2", 0.4, part="day/2")
@@ -62,6 +74,15 @@ def test_release_and_ledger(spark, sf, tmp_path):
     assert Accountant.read(spark, str(tmp_path / "l"), 1.0).spent() == pytest.approx(0.9)
 
 
+def test_a_name_is_not_used_twice():
+    ledger = Accountant(1.0)
+    assert ledger.spend("r", 0.1) == pytest.approx(0.9) == ledger.spend("r", 0.1)
+    for change in ({"eps": 50.0}, {"eps": 0.2}, {"eps": 0.1, "part": "day/1"}, {"eps": 0.1, "digest": "other"}, {"eps": 0.1, "delta": 1e-9}):
+        with pytest.raises(ValueError):
+            ledger.spend("r", **change)
+    assert ledger.left() == pytest.approx(0.9)
+
+
 def test_stream(spark, sf, tmp_path):
     events = core.V.table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     events.repartition(1).sortWithinPartitions("ts").write.parquet(str(tmp_path / "in"))

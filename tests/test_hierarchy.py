@@ -98,3 +98,23 @@ def test_boxes(spark):
     boxes = spark.createDataFrame([(1, 2, 9, 1, 7), (2, 0, 16, 0, 8)], "qid long, a_lo long, a_hi long, b_lo long, b_hi long")
     got = {r.qid: r.estimate for r in H.answer_nd(H.dyadic_nd(rows, {"a": 4, "b": 3}), boxes, {"a": 4, "b": 3}).collect()}
     assert got == {1: sum(2 <= r.a < 9 and 1 <= r.b < 7 for r in rows.collect()), 2: 300}
+
+
+def test_private_grid_hierarchy(spark):
+    heights = {"x": 4, "y": 3}
+    rows = spark.range(300).selectExpr("id % 16 AS x", "(id * 7) % 8 AS y", "1L AS v")
+    plan = S.Plan(m=0, eps=5000.0, mode="xxhash64")
+    seen = []
+
+    def keep(c, p):
+        seen.append(p)
+        return S.high_pass(c, p, 1)
+
+    got = H.release_nd(rows, heights, plan, keep)
+    assert seen[0].sensitivity == 5 * 4 and seen[0].m == 31 * 15
+    want = {(r.x_level, r.x_pos, r.y_level, r.y_pos): r.v for r in H.dyadic_nd(rows, heights).collect()}
+    assert {(r.x_level, r.x_pos, r.y_level, r.y_pos): r.value for r in got.collect()} == want
+    boxes = spark.createDataFrame([(1, 3, 11, 0, 5), (2, 0, 16, 0, 8), (3, 7, 8, 2, 3)], "qid long, x_lo long, x_hi long, y_lo long, y_hi long")
+    answers = {r.qid: r.estimate for r in H.answer_nd(got, boxes, heights, "weight").collect()}
+    points = [(k % 16, (k * 7) % 8) for k in range(300)]
+    assert answers == {q: float(sum(a <= x < b and c <= y < d for x, y in points)) for q, a, b, c, d in [(1, 3, 11, 0, 5), (2, 0, 16, 0, 8), (3, 7, 8, 2, 3)]}

@@ -214,3 +214,61 @@ def test_laplace_samples(spark, cut):
     p = sum(w) * 0.001
     assert p == pytest.approx(laplace_keep(b, cut, tau), rel=1e-4)
     assert abs(got[0] - m * p) < 5 * math.sqrt(m * p) and abs(got[1] - sum(x * y for x, y in zip(xs, w, strict=True)) / sum(w)) < 0.15 and abs(got[2]) < 0.04 and got[3] >= tau
+
+
+@pytest.mark.parametrize("way", ["skip", "block"])
+def test_crowded_blocks_are_cut(spark, way, monkeypatch):
+    from sparse_release.operators import zero_cells as Z
+
+    monkeypatch.setattr(Z, "ROWS", 20)
+    m, at = 1 << 20, 400_000
+    crowd = spark.range(1000).selectExpr(f"{at} + id * 2 AS cell_id", "5L AS v")
+    leaves, occupied = Z.cut_blocks(crowd, m, 64)
+    sizes = {r.lo: r["count"] for r in occupied.groupBy("lo").count().collect()}
+    rows = sorted((r.lo, r["size"], r.block) for r in leaves.collect())
+    assert max(sizes.values()) <= Z.CROWD * 20 and sum(sizes.values()) == 1000 and set(sizes) <= {lo for lo, _, _ in rows}
+    assert rows[0][0] == 0 and all(a[0] + a[1] == b[0] for a, b in zip(rows, rows[1:])) and sum(rows[-1][:2]) == m and len({b for _, _, b in rows}) == len(rows)
+    kept = [r.cell_id for r in Z.zero_cells(crowd, m, 0.01, 3, way, 64, "xxhash64").collect()]
+    taken = set(range(at, at + 2000, 2))
+    assert len(kept) == len(set(kept)) and not taken & set(kept) and min(kept) >= 0 and max(kept) < m
+    assert abs(len(kept) - (m - 1000) * 0.01) < 6 * ((m - 1000) * 0.01) ** 0.5
+    inside = [k for k in kept if at <= k < at + 2000]
+    assert abs(len(inside) - 10) < 20
+
+
+def test_long_laws_are_bisected(spark, monkeypatch):
+    law, plan = KeepLaw(S.alpha_of(0.05), 3, 90.0), S.Plan(m=1 << 20, eps=0.05, mode="xxhash64")
+    places = spark.range(60_000).selectExpr("id AS cell_id")
+
+    def shares():
+        return {r.x: r["count"] / 60_000 for r in places.selectExpr(f"{S.magnitude(law, plan)} AS x").groupBy("x").count().collect()}
+
+    listed = shares()
+    monkeypatch.setattr(S, "LISTED_CUTS", 10)
+    halved = shares()
+    for x in (3, 4, 10, 30, 89, 90, 91, 120):
+        want = law.at_least(x) - law.at_least(x + 1)
+        assert abs(halved.get(x, 0) - want) < 6 * (want / 60_000) ** 0.5 and abs(listed.get(x, 0) - want) < 6 * (want / 60_000) ** 0.5
+    assert min(halved) == 3
+
+
+def test_lowered_cut_has_the_lower_cuts_law(spark, cells):
+    sizes, bands = [], []
+    for seed in range(12):
+        plan = replace(PLAN, seed=seed)
+        high = S.high_pass(cells, plan, 20).select("cell_id", "value").persist()
+        low = S.lower_cut(cells, high, plan, 20, 12).persist()
+        rows = low.collect()
+        assert len({r.cell_id for r in rows}) == len(rows) and min(abs(r.value) for r in rows) >= 12 and high.exceptAll(low).count() == 0
+        direct = S.high_pass(cells, replace(plan, release="other"), 12).collect()
+        sizes.append(len(rows) - len(direct))
+        bands.append(sum(12 <= abs(r.value) < 16 for r in rows) - sum(12 <= abs(r.value) < 16 for r in direct))
+    n = len(rows)
+    assert abs(sum(sizes)) < 6 * (2 * 12 * n) ** 0.5 and abs(sum(bands)) < 6 * (2 * 12 * n) ** 0.5
+
+
+def test_wide_domains_are_drawn_whole(spark):
+    few = spark.createDataFrame([(5, 1)], "cell_id long, v long")
+    m = (1 << 62) + 12_345
+    z = [r.cell_id for r in zero_cells(few, m, 2000 / m, 1, "reject", mode="xxhash64").collect()]
+    assert 1700 < len(z) < 2300 and len({x % 1024 for x in z}) > 800 and max(z) < m and sum(x > m // 2 for x in z) > 800
