@@ -88,7 +88,7 @@ def methods_by_size(cells: DataFrame, m: int, n: int, total: float, s: int, size
     return out
 
 
-def throughput(spark: SparkSession, views: dict[str, tuple[DataFrame, int, int]], s_per_n: float = 1.0) -> DataFrame:
+def throughput(spark: SparkSession, views: dict[str, tuple[DataFrame, int, int]], s_per_n: float = 1.0, only: tuple[str, ...] | None = None) -> DataFrame:
     """Occupied cells per second of each method, hierarchies and the full noisy tree included, for views of several densities: name -> (cells, m, n). Cuts and thresholds are
     picked so that each summary has about s = s_per_n * n rows, or as many empty cells or nodes."""
     rows = []
@@ -108,7 +108,7 @@ def throughput(spark: SparkSession, views: dict[str, tuple[DataFrame, int, int]]
             "haar_filter": lambda: H.hier_release(cells, h, plan, lambda c, p: S.high_pass(c, p, node_cut), "haar"),
             "dyadic_geometric": lambda: B.full_dyadic(cells, h, plan),
         }
-        for method, f in made.items():
+        for method, f in ((k, f) for k, f in made.items() if only is None or k in only):
             began = time.perf_counter()
             f().write.format("noop").mode("overwrite").save()
             took = time.perf_counter() - began
