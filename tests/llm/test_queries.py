@@ -1,6 +1,7 @@
 """The thin queries on the smallest tables: columns, types, digests; and the pipeline stage by stage."""
 
 import hashlib
+import math
 from collections import Counter, defaultdict
 
 import pytest
@@ -9,7 +10,7 @@ from pyspark.sql import functions as F
 from sparse_release.llm import queries
 
 from .test_shingle_join import kept_by_force
-from .test_operators import base_measures, base_spans, check_pieces, plain_components, plain_fingerprint, words
+from .test_operators import SCHEMA, base_measures, base_spans, check_pieces, corpus, judge, plain_components, plain_fingerprint, plain_targets, plain_word_kernel, words
 
 corpus_pipeline = pytest.importorskip("corpus_pipeline")
 KINDS = ("assign", "access", "hex")
@@ -85,6 +86,66 @@ def test_remaining_queries(spark, sf, texts):
     assert {r.doc_id: r.size for r in mix} == {i: len(words(t)) for i, t in texts.items()} and all(r.taken <= 2 * r.size for r in mix)
 
 
+def test_stages_on_odd_rows(spark):
+    """Nulls in every column, blank and long texts, repeated rows, clashing names; and empty tables."""
+    rows = corpus(n=40)
+    docs, none = spark.createDataFrame(rows, SCHEMA).repartition(3), spark.createDataFrame([], SCHEMA)
+    stages = dict(corpus_pipeline.STAGES)
+    for name, stage in stages.items():
+        empty = stage(spark, none, "")
+        assert empty.count() == 0 and (name == "packing" or empty.columns == docs.columns)
+    good = stages["quality_rules"](spark, docs, "")
+    assert good.columns == docs.columns and {r.text for r in good.collect()} <= {t for _, t, *_ in rows if base_measures(t)[0] >= 50}
+    one = stages["near_duplicates"](spark, docs, "")
+    assert one.columns == docs.columns and sorted(r.doc_id for r in one.collect() if r.doc_id is not None) == kept_by_force([r[:2] for r in dict.fromkeys(rows) if r[0] is not None])
+    clean = stages["secret_scan"](spark, docs, "")
+    assert clean.columns == docs.columns and Counter((r.doc_id, r.text, r.n_chars) for r in clean.collect()) == Counter((r[0], r[1], None if r[1] is None else len(r[1])) for r in rows)
+    mixed = stages["source_mixing"](spark, docs, "")
+    taken, have = Counter(r.doc_id for r in mixed.collect()), Counter(r[0] for r in rows)
+    assert mixed.columns == docs.columns and all(n <= 2 * have[i] for i, n in taken.items()) and not any(words(r.text) == [] for r in mixed.collect())
+    packed = stages["packing"](spark, docs, "").collect()
+    whole = {r.doc_id: r.doc_tokens for r in packed}
+    got = Counter()
+    for r in packed:
+        got[r.doc_id] += r.length
+    assert all(got[i] == have[i] * whole[i] for i in have) and got[0] == 1
+    bare = stages["secret_scan"](spark, docs.drop("n_chars"), "")
+    assert bare.columns == [c for c in docs.columns if c != "n_chars"]
+
+
+def test_url_query(spark, sf):
+    for r in queries.op5_url_rules(spark, sf).join(spark.read.parquet(f"{sf}/pages.parquet").select("page_id", "url"), "page_id").collect():
+        assert (r.host, r.path, r.rule, r.verdict) == judge(r.url, queries.URL_RULES)
+
+
+def test_mixing_query_meets_targets(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").collect()
+    sizes = Counter()
+    for r in docs:
+        sizes[r.source] += len(words(r.text))
+    want, taken, source = plain_targets(sizes), Counter(), {r.doc_id: r.source for r in docs}
+    for r in queries.op10_source_mixing(spark, sf).collect():
+        assert r.target == pytest.approx(want[source[r.doc_id]]) and r.source_size == sizes[source[r.doc_id]] and r.taken in (0, r.size, 2 * r.size)
+        taken[source[r.doc_id]] += r.taken
+    longest = max(len(words(r.text)) for r in docs)
+    assert all(abs(taken[s] - want[s]) <= longest for s in want)
+
+
+def test_toxicity_query_by_plain_scores(spark, sf):
+    """The query's scores are those of its model over whole texts, read one by one."""
+    from sparse_release.llm import toxicity
+
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    model = toxicity.fit(docs, labels.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0))
+    got = {r.doc_id: r.score for r in toxicity.score(docs, model).collect()}
+    marks = [w for ws in model.landmarks for w in ws]
+    share = [x for ws, x in zip(model.landmarks, model.weights) for _ in ws]
+    for r in docs.orderBy("n_chars").limit(25).collect():
+        best = max((sum(x * plain_word_kernel(w.decode(), m.decode()) for m, x in zip(marks, share)) for w in toxicity.tokens(r.text) if w.isascii() and w.isalpha()), default=0.0)
+        if all(w.isascii() and w.isalpha() for w in toxicity.tokens(r.text)):
+            assert got[r.doc_id] == pytest.approx(1 / (1 + math.exp(-(model.slope * (best + model.offset) + model.base))), abs=1e-3)
+
+
 def test_pipeline(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     stages = dict(corpus_pipeline.STAGES)
