@@ -30,6 +30,8 @@ from .common import durable
 BLOCK_ROWS, MAX_BLOCKS, MAX_CELLS, DRAWN, SHELLS = 8192, 16_384, 1024, 20, 256
 #: Queries of one task, rows of a leaf, children of a node.
 SLICE_QUERIES, LEAF, FAN = 65_536, 48, 12
+#: Leaves that are met at a time, at most.
+TOGETHER = 64
 #: Rounding of angles and cosines.
 SLACK = 1e-6
 
@@ -125,24 +127,27 @@ class Search:
             self.descend(int(kid), nodes)
 
     def visit(self, q: int, nodes: np.ndarray) -> None:
-        """One leaf of queries with data nodes, the most promising first."""
-        rows = self.asked.rows[q]
+        """One leaf of queries with data nodes, the most promising first; leaves are met together, ever more at a time, as the worst score settles."""
+        rows, together = self.asked.rows[q], 1
         heap = [(-b, int(n)) for b, n in zip(self.bounds(q, nodes).tolist(), nodes, strict=True)]
         heapq.heapify(heap)
         while heap:
-            b, n = heapq.heappop(heap)
-            least = self.worst(rows)
-            if -b < least:
+            least, leaves = self.worst(rows), []
+            while heap and len(leaves) < together and -heap[0][0] >= least:
+                _, n = heapq.heappop(heap)
+                if len(kids := self.data.kids[n]):
+                    for b, kid in zip(self.bounds(q, kids).tolist(), kids, strict=True):
+                        if b >= least:
+                            heapq.heappush(heap, (-b, int(kid)))
+                else:
+                    leaves.append(n)
+            if not leaves:
                 return
-            if len(kids := self.data.kids[n]):
-                for b, kid in zip(self.bounds(q, kids).tolist(), kids, strict=True):
-                    if b >= least:
-                        heapq.heappush(heap, (-b, int(kid)))
-                continue
-            # each query by itself against the leaf's ball
-            own = np.cos(np.maximum(angles(self.uq[rows], self.data.centers[n : n + 1])[:, 0] - self.data.radius[n], 0.0))
-            if len(some := rows[own >= self.floor[rows] / self.reach[rows] - SLACK]):
-                self.meet(some, self.data.rows[n])
+            # each query by itself against the leaves' balls
+            own = np.cos(np.maximum(angles(self.uq[rows], self.data.centers[leaves]) - self.data.radius[leaves], 0.0)) >= (self.floor[rows] / self.reach[rows] - SLACK)[:, None]
+            if own.any():
+                self.meet(rows[own.any(axis=1)], np.concatenate([self.data.rows[n] for n in np.array(leaves)[own.any(axis=0)]]))
+            together = min(2 * together, TOGETHER)
 
     def meet(self, qs: np.ndarray, xs: np.ndarray) -> None:
         self.scored += len(qs) * len(xs)
