@@ -8,10 +8,11 @@ pair that meets there has its shared bytes tallied as before. Equal fingerprints
 A posting list of over BLOCK fingerprints is dealt out again by the fourth byte that a pair in it must share; what is still as long, in pairs of blocks. A list of over
 WIDE is left to its fingerprints' variants, all values within 2 bits of one: two fingerprints are within 4 bits of each other just if they have a variant in common, and
 a variant has 2,081 owners at most, so the work grows with the list and not with its square. Only edges that join something new leave a batch, and components come from
-alternating large-star and small-star rounds, all in tables; keys with many rows (roots, hubs, fingerprints of many copies) are joined by broadcasting the one row that
+alternating large-star and small-star rounds, all in tables (up to HELD edges in one process); keys with many rows (roots, hubs, fingerprints of many copies) are joined by broadcasting the one row that
 the other side has for each. No cap anywhere.
 
-With a bound on similarity given, links are instead those of shingle_join: sets of `width`-word shingles whose Jaccard similarity reaches the bound, compared whole.
+With a bound on similarity given, a text's fingerprint is that of its set of `width`-word shingles, pairs that the index finds are checked by their whole sets (Jaccard
+similarity of at least the bound), and shingle_join adds the links between texts whose fingerprints lie further apart than the index reaches.
 
 Null or empty text: fingerprint 0, linked like any other. Rows with a null id get a component but never name one (null, if all of its rows have null ids). Repeated
 rows are rows of the same group. An empty table gives an empty result. Other columns do not matter.
@@ -38,6 +39,10 @@ COUNTED = 1 << 16
 MAX_BITS, LEAST_BYTES = 4, 4
 #: Fingerprints of one posting list that one task compares with each other; length from which a list's fingerprints meet in their variants.
 BLOCK, WIDE = 1024, 262_144
+#: Edges whose components one process finds (16 bytes each); more are joined in rounds over tables.
+HELD = 200_000
+#: Rows (id and hash) that are sent to each task at most.
+SENT = 500_000
 
 
 def triples() -> list[tuple[int, ...]]:
@@ -202,6 +207,9 @@ def components(edges: DataFrame) -> DataFrame:
         return join_unique(e, least, {"a": "u"})
 
     e, mark = cut(edges)
+    if 0 < mark[0] <= HELD:
+        few = e.toArrow()
+        return e.sparkSession.createDataFrame(pa.table(dict(zip(("node", "root"), map(pa.array, forest(*(few.column(c).to_numpy() for c in ("a", "b")))), strict=True))))
     while mark[0]:
         both = e.unionByName(e.selectExpr("b AS a", "a AS b"))
         least = both.groupBy("a").agg(F.min("b").alias("m")).selectExpr("a AS u", "least(a, m) AS m")
@@ -215,13 +223,28 @@ def components(edges: DataFrame) -> DataFrame:
     return e.selectExpr("a AS node", "b AS root")
 
 
+def index_pairs(sets: DataFrame, block: int = BLOCK) -> DataFrame:
+    """Pairs (a, b) of names of sets (fp) whose fingerprints (sim) are equal or connected by the index: of each fingerprint's names the least stands for it."""
+    heads = durable(sets.groupBy("sim").agg(F.min("fp").alias("head")))
+    name = lambda c: heads.select(F.col("sim").alias(f"s_{c}"), F.col("head").alias(f"h_{c}"))
+    alike = join_unique(sets, name("a"), {"sim": "s_a"}).where("fp != h_a").selectExpr("h_a AS a", "fp AS b")
+    edges = candidate_edges(heads.selectExpr("sim AS fp"), block)
+    apart = join_unique(join_unique(durable(edges), name("a"), {"a": "s_a"}), name("b"), {"b": "s_b"}).selectExpr("h_a AS a", "h_b AS b")
+    return durable(alike.unionByName(apart).where("a != b").selectExpr("least(a, b) AS a", "greatest(a, b) AS b").distinct())
+
+
 def grouped(docs: DataFrame, id_col: str, text_col: str, block: int, width: int = SHINGLE, similarity: float | None = None) -> tuple[DataFrame, DataFrame]:
     """Rows (id, th, fp), and for each fp its component: root, and the component's first row, by id (null last) and th."""
     texts = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"), F.xxhash64(F.col(f"`{text_col}`")).alias("th"))
     rows = durable(fingerprints(docs, id_col, text_col, width) if similarity is None else shingle_join.names(texts, width))
     first = F.min(F.struct(F.col("id").isNull().alias("nameless"), "id", "th")).alias("first")
-    fps = durable(rows.groupBy("fp").agg(first))
-    roots = components(candidate_edges(fps.select("fp"), block) if similarity is None else shingle_join.similar_edges(texts.select("text", "th"), rows, width, similarity))
+    if similarity is None:
+        fps = durable(rows.groupBy("fp").agg(first))
+        edges = candidate_edges(fps.select("fp"), block)
+    else:
+        fps = durable(rows.groupBy("fp").agg(first, F.min("sim").alias("sim")))
+        edges = shingle_join.similar_edges(texts.select("text", "th"), rows, width, similarity, near=index_pairs(fps.select("fp", "sim"), block))
+    roots = components(edges)
     rooted = durable(fps.join(roots, F.col("fp") == F.col("node"), "left").selectExpr("fp", "first", "coalesce(root, fp) AS root"))
     firsts = rooted.groupBy("root").agg(F.min("first").alias("first")).withColumnRenamed("root", "r")
     return rows, durable(join_unique(rooted.drop("first"), firsts, {"root": "r"}).selectExpr("fp AS f", "root", "first"))
@@ -236,21 +259,22 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK, width: int = SHINGLE, similarity: float | None = None) -> DataFrame:
     """One row of docs for each component, the first by id (null last), then by the text's hash; with the columns of docs. similarity: least Jaccard similarity of a link (else: bits)."""
     rows, named = grouped(docs, id_col, text_col, block, width, similarity)
-    winners = named.select("root", "first.id", "first.th").distinct().selectExpr("id AS nd_win_id", "th AS nd_win_th")
     k, h, n = fresh(docs, "nd_id", "nd_th", "nd_n")
     # ids and hashes are of rows; so few repeat whole that a row of each with its number is joined, and hot ones are drawn together before they move
-    again = durable(rows.groupBy("id", "th").count().where("count > 1").select(F.col("id").alias("nd_again_id"), F.col("th").alias("nd_again_th"), F.col("count").alias(n)))
-    winners = durable(winners)
+    counts = durable(rows.groupBy("id", "th").agg(F.min("fp").alias("fp"), F.count(F.lit(1)).alias("count")))
+    again = durable(counts.where("count > 1").select(F.col("id").alias("nd_again_id"), F.col("th").alias("nd_again_th"), F.col("count").alias(n)))
+    # rows that go are fewer than those that stay: texts need not move while the former are few enough to be sent to each task
+    won = F.col("id").eqNullSafe(F.col("first.id")) & (F.col("th") == F.col("first.th"))
+    lost = durable(join_unique(counts.drop("count"), named, {"fp": "f"}).where(~won).selectExpr("id AS nd_lost_id", "th AS nd_lost_th"))
     keyed = docs.select(*[F.col(f"`{c}`") for c in docs.columns], F.col(f"`{id_col}`").alias(k), F.xxhash64(F.col(f"`{text_col}`")).alias(h))
-    won = F.col(k).eqNullSafe(F.col("nd_win_id")) & (F.col(h) == F.col("nd_win_th"))
-    if again.isEmpty():
-        kept = keyed.join(winners, won, "left_semi")
-    else:
+    goes = F.col(k).eqNullSafe(F.col("nd_lost_id")) & (F.col(h) == F.col("nd_lost_th"))
+    kept = keyed.join(F.broadcast(lost) if lost.count() <= SENT else lost, goes, "left_anti")
+    if not again.isEmpty():
         same = F.col(k).eqNullSafe(F.col("nd_again_id")) & (F.col(h) == F.col("nd_again_th"))
         rare, hot = (again.where(c).drop(n) for c in (f"`{n}` <= {HOT_LEAST}", f"`{n}` > {HOT_LEAST}"))
-        several = keyed.join(rare, same, "left_semi").unionByName(keyed.join(F.broadcast(hot) if hot.count() <= HOT_KEYS else hot, same, "left_semi")).dropDuplicates([k, h])
-        lone = keyed.join(again.drop(n), same, "left_anti") if hot.isEmpty() else keyed.join(F.broadcast(hot) if hot.count() <= HOT_KEYS else hot, same, "left_anti").join(rare, same, "left_anti")
-        kept = lone.unionByName(several).join(winners, won, "left_semi")
+        several = kept.join(rare, same, "left_semi").unionByName(kept.join(F.broadcast(hot) if hot.count() <= HOT_KEYS else hot, same, "left_semi")).dropDuplicates([k, h])
+        lone = kept.join(again.drop(n), same, "left_anti") if hot.isEmpty() else kept.join(F.broadcast(hot) if hot.count() <= HOT_KEYS else hot, same, "left_anti").join(rare, same, "left_anti")
+        kept = lone.unionByName(several)
     return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 

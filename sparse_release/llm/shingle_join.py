@@ -5,6 +5,9 @@ of these alone, and only pairs that meet so often are compared. Rare shingles co
 first in the order, by a sample of about SAMPLE texts, which decides costs only. Pairs that meet in a posting list are compared by their whole sets. Lists of over
 CROWD sets are drawn together where they overlap, and each such crowd is compared by counts of common shingles, in pairs of blocks. No cap anywhere.
 
+Candidates that a caller has already (near_dup: of its fingerprints' index) are compared first; pairs and crowds that lie within one class of what these link need no
+comparison any more.
+
 Shingles are 64-bit hashes of runs of `width` words (ASCII letters in lower case); a shorter text is one shingle, a text without words is the empty set, and equal
 sets are one node. The node's name is a hash of its set.
 """
@@ -20,11 +23,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, partitions, window_hashes, word_hashes, word_spans
+from .common import durable, join_unique, partitions, window_hashes, word_hashes, word_spans
 
 SEED, AT_ONCE, SAMPLE, SHARED = 42, 256, 20_000, 4
 #: Sets of a posting list that are paired at once; sets of one block of a crowd; shingles whose counts are added at once.
 CROWD, BLOCK, COLUMNS = 64, 512, 4096
+#: Shingles whose bits are counted at once.
+COUNTED = 1 << 16
 
 
 def shingle_sets(texts: list[str | None], width: int) -> list[np.ndarray]:
@@ -49,19 +54,27 @@ def _read(b: pa.RecordBatch, column: int, width: int) -> Iterator[tuple[int, lis
         yield at, shingle_sets(b.column(column).slice(at, AT_ONCE).to_pylist(), width)
 
 
+def bits(s: np.ndarray) -> int:
+    """The fingerprint of a set: 64 bits, each 1 if it is set in over half of its shingles; 0 for the empty set."""
+    total = np.zeros(64, np.int64)
+    for at in range(0, len(s), COUNTED):
+        total += np.unpackbits(s[at : at + COUNTED].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int32)
+    return int.from_bytes(np.packbits(2 * total > len(s)).tobytes(), "big")
+
+
 def _longs(x) -> pa.Array:
     return pa.array(np.asarray(x, np.uint64).view(np.int64))
 
 
 def names(rows: DataFrame, width: int) -> DataFrame:
-    """rows: id, text, th. id, th and fp (the set's name, as a signed long) of each row."""
+    """rows: id, text, th. id, th, fp (the set's name) and sim (its fingerprint), both as signed longs, of each row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = [named(s) for _, sets in _read(b, 1, width) for s in sets]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), _longs(fp)], ["id", "th", "fp"])
+            both = [(named(s), bits(s)) for _, sets in _read(b, 1, width) for s in sets]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), _longs([x for x, _ in both]), _longs([y for _, y in both])], ["id", "th", "fp", "sim"])
 
-    return rows.mapInArrow(run, f"id {dict(rows.dtypes)['id']}, th long, fp long")
+    return rows.mapInArrow(run, f"id {dict(rows.dtypes)['id']}, th long, fp long, sim long")
 
 
 def common_shingles(texts: DataFrame, n: int, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -122,21 +135,34 @@ def _meetings(bound: Fraction, crowd: int):
     return run
 
 
+def _binaries(c: pa.Array) -> list[np.ndarray]:
+    """The sets of a column, in place."""
+    at, data = np.frombuffer(c.buffers()[1], np.int32)[c.offset : c.offset + len(c) + 1] // 8, c.buffers()[2]
+    words = np.frombuffer(data, np.uint64, data.size // 8) if data else np.empty(0, np.uint64)
+    return [words[at[k] : at[k + 1]] for k in range(len(c))]
+
+
 def _similar(bound: Fraction):
     p, q = bound.numerator, bound.denominator
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x, y = (b.column(k).to_pylist() for k in (2, 3))
             ok = []
-            for s, t in zip(x, y, strict=True):
-                both = len(np.intersect1d(np.frombuffer(s, np.uint64), np.frombuffer(t, np.uint64), assume_unique=True))
-                ok.append(q * both >= p * ((len(s) + len(t)) // 8 - both))
+            for s, t in zip(_binaries(b.column(2)), _binaries(b.column(3)), strict=True):
+                both = len(np.intersect1d(s, t, assume_unique=True))
+                ok.append(q * both >= p * (len(s) + len(t) - both))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
     return run
 
 
+def _compared(pairs: DataFrame, sets: DataFrame, bound: Fraction) -> DataFrame:
+    """Those of the pairs (a, b) whose whole sets (f, hs) are similar enough."""
+    x, y = (sets.select(F.col("f").alias(f"f_{c}"), F.col("hs").alias(h)) for c, h in (("a", "x"), ("b", "y")))
+    met = join_unique(join_unique(pairs.select("a", "b"), x, {"a": "f_a"}).select("a", "b", "x"), y, {"b": "f_b"})
+    return met.select("a", "b", "x", "y").mapInArrow(_similar(bound), "a long, b long")
+
+
 def common_counts(sets: list[np.ndarray]) -> np.ndarray:
     """For each pair of sets, how many shingles both hold."""
     owner, total = np.repeat(np.arange(len(sets)), [len(s) for s in sets]), np.zeros((len(sets), len(sets)), np.int64)
@@ -181,8 +207,9 @@ def _crowds(bound: Fraction):
     return run
 
 
-def similar_edges(docs: DataFrame, rows: DataFrame, width: int, similarity: float, crowd: int = CROWD, block: int = BLOCK) -> DataFrame:
-    """Edges (a, b) of fps that connect what pairs of at least this similarity connect. docs: text and th (its hash); rows: id, th and fp of each row."""
+def similar_edges(docs: DataFrame, rows: DataFrame, width: int, similarity: float, crowd: int = CROWD, block: int = BLOCK, near: DataFrame | None = None) -> DataFrame:
+    """Edges (a, b) of fps that connect what pairs of at least this similarity connect. docs: text and th (its hash); rows: id, th and fp of each row; near: candidates
+    (a, b) that are compared first."""
     from .near_dup import components
 
     spark, bound = docs.sparkSession, Fraction(str(similarity))
@@ -207,16 +234,28 @@ def similar_edges(docs: DataFrame, rows: DataFrame, width: int, similarity: floa
     meetings = postings.repartition(n, "key").sortWithinPartitions("key", "fp").mapInArrow(_meetings(bound, crowd), "a long, b long, need long")
     met = durable(meetings.groupBy("a", "b", "need").count().where("count >= need").drop("count"))
     apart, stars = met.where("need > 0").select("a", "b"), met.where("need = 0").select("a", "b")
-    wanted = durable(one.join(met.selectExpr("explode(array(a, b)) AS node").distinct(), F.col("fp") == F.col("node"), "left_semi").select("t"))
+    pairs = met.select("a", "b") if near is None else met.select("a", "b").unionByName(near)
+    wanted = durable(one.join(pairs.selectExpr("explode(array(a, b)) AS node").distinct(), F.col("fp") == F.col("node"), "left_semi").select("t"))
     few = F.broadcast(wanted) if wanted.count() <= 500_000 else wanted  # longs
     sets = durable(docs.join(few, F.col("th") == F.col("t"), "left_semi").dropDuplicates(["th"]).select("text").mapInArrow(whole, "f long, hs binary"))
-    hold = lambda c, h: sets.select(F.col("f").alias(f"f_{c}"), F.col("hs").alias(h))
-    compared = apart.join(hold("a", "x"), F.col("a") == F.col("f_a")).join(hold("b", "y"), F.col("b") == F.col("f_b")).select("a", "b", "x", "y")
-    found = compared.mapInArrow(_similar(bound), "a long, b long")
+    classes = None
+    if near is not None:
+        near = durable(_compared(near, sets, bound))
+        classes = components(near)
+        of = lambda c: classes.select(F.col("node").alias(f"n_{c}"), F.col("root").alias(f"r_{c}"))
+        rooted = join_unique(join_unique(apart, of("a"), {"a": "n_a"}, "left"), of("b"), {"b": "n_b"}, "left")
+        apart = durable(rooted.where("coalesce(r_a, a) != coalesce(r_b, b)").select("a", "b"))
+    found = _compared(apart, sets, bound)
+    if near is not None:
+        found = found.unionByName(near)
     if stars.isEmpty():
         return found
     roots = components(stars)
     in_crowd = durable(roots.unionByName(roots.selectExpr("root AS node", "root").distinct()))
+    if classes is not None:
+        classed = join_unique(in_crowd, classes.selectExpr("node AS n_a", "root AS r_a"), {"node": "n_a"}, "left").selectExpr("node", "root", "coalesce(r_a, node) AS own")
+        several = classed.groupBy("root").agg(F.min("own").alias("low"), F.max("own").alias("high")).where("low != high").selectExpr("root AS r")
+        in_crowd = durable(in_crowd.join(several, F.col("root") == F.col("r"), "left_semi"))
     sized = in_crowd.join(in_crowd.groupBy("root").count().selectExpr("root AS r", f"CAST(ceil(count / {block}) AS INT) AS blocks"), F.col("root") == F.col("r"))
     dealt = sized.selectExpr("node", "root", "blocks", "CAST(pmod(xxhash64(node), blocks) AS INT) AS i").selectExpr("node", "root", "i", "explode(sequence(0, blocks - 1)) AS j")
     parts = dealt.selectExpr("xxhash64(root, least(i, j), greatest(i, j)) AS grp", "CASE WHEN i = j THEN 0 WHEN i < j THEN 1 ELSE 2 END AS side", "node AS fp")

@@ -60,3 +60,42 @@ def test_similar_edges(spark, crowd, block):
         c = root.get(x.fp, x.fp)
         least[c] = min(least.get(c, x.id), x.id)
     assert sorted(least.values()) == kept_by_force(rows)
+
+
+def test_index_comes_first(spark):
+    """Pairs within the index's reach come from it, are checked whole, and are linked like the others; a set's fingerprint is that of its shingles."""
+    import random
+
+    r, rows = random.Random(7), []
+    for base in range(5):
+        w = [f"w{r.randrange(10_000)}" for _ in range(400)]
+        for k in range(4):
+            rows.append((len(rows), " ".join(w[:200] + [f"x{base}-{k}"] + w[200:])))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    texts = docs.select(F.col("doc_id").alias("id"), "text", F.xxhash64("text").alias("th"))
+    named = shingle_join.names(texts, 5).persist()
+    sets = {shingle_join.named(s): s for s in shingle_join.shingle_sets([t for _, t in rows], 5)}
+    for x in named.collect():
+        s = sets[x.fp % (1 << 64)]
+        plain = sum(1 << k for k in range(64) if 2 * sum(h >> k & 1 for h in s.tolist()) > len(s))
+        assert x.sim % (1 << 64) == plain == shingle_join.bits(s)
+    pairs = near_dup.index_pairs(named.select("fp", "sim").distinct()).collect()
+    assert pairs and all(p.a < p.b for p in pairs)
+    calls, real = [], near_dup.index_pairs
+    near_dup.index_pairs = lambda *a: calls.append(1) or real(*a)
+    try:
+        kept = dict(corpus_pipeline.STAGES)["near_duplicates"](spark, docs.selectExpr("doc_id", "text"), "")
+        assert sorted(x.doc_id for x in kept.collect()) == kept_by_force(rows) and calls
+    finally:
+        near_dup.index_pairs = real
+
+
+def test_few_edges_as_many(spark, monkeypatch):
+    """Components of few edges, found in one process, are those of the rounds over tables."""
+    import random
+
+    r = random.Random(3)
+    edges = spark.createDataFrame([(r.randrange(-90, 90), r.randrange(-90, 90)) for _ in range(80)], "a long, b long")
+    few = sorted(map(tuple, near_dup.components(edges).collect()))
+    monkeypatch.setattr(near_dup, "HELD", 0)
+    assert few and few == sorted(map(tuple, near_dup.components(edges).collect()))
