@@ -135,3 +135,20 @@ def test_trends(spark):
     clustered, m2, _, _ = X.gsyn(spark, 1 << 14, 0.05, places="clustered")
     c = {r.method: r.abs_error for r in X.consistency(clustered, m2, 500, [1000], 300, 40).collect()}
     assert c["filter_pruned"] < c["filter"]
+
+
+def test_pick_theta_on_a_full_domain(spark, tmp_path):
+    """Every cell of the seven attributes is occupied, as in large tables."""
+    from sparse_release.sources import views as V
+
+    at = lambda values, code: f"array({', '.join(repr(v) for v in values)})[CAST({code} AS INT)]"
+    made = {
+        "customer": spark.range(125).selectExpr("id AS c_custkey", "CAST(id % 25 AS INT) AS c_nationkey", f"{at(V.SEGMENTS, 'id div 25')} AS c_mktsegment"),
+        "part": spark.range(25).selectExpr("id AS p_partkey", "concat('Brand#', id + 1) AS p_brand"),
+        "orders": spark.range(1875).selectExpr("id AS o_orderkey", "id % 125 AS o_custkey", f"{at(V.PRIORITIES, 'id div 125 % 5')} AS o_orderpriority", f"{at(V.ORDER_STATUSES, 'id div 625')} AS o_orderstatus"),
+        "lineitem": spark.range(281_250).selectExpr("id % 1875 AS l_orderkey", "id div 1875 % 25 AS l_partkey", f"{at(V.FLAGS, 'id div 46875 % 3')} AS l_returnflag", f"{at(V.STATUSES, 'id div 140625')} AS l_linestatus"),
+    }
+    for name, df in made.items():
+        df.write.parquet(f"{tmp_path}/{name}.parquet")
+    assert V.v2(spark, str(tmp_path))[0].count() == core.M2
+    assert sorted(map(tuple, core.QUERIES["pick_theta"](spark, str(tmp_path)).collect())) == [(1, 1), (2, 1)]

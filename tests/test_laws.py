@@ -58,3 +58,8 @@ def test_noise_numbers():
     assert [sensitivity("disjoint"), sensitivity("levels", levels=21), sensitivity("grid", a=8, b=6), sensitivity("sketch", rows=3), sensitivity("groupings", sets=4), sensitivity("bounded", rows=5)] == [1, 21, 48, 6, 4, 5]
     with pytest.raises(ValueError):
         alpha_of(0)
+
+
+def test_cut_of_a_full_domain():
+    """No empty cell: the least cut, and no error."""
+    assert [L.pick_cut(281_250, 281_250, ALPHA, 20_000, s) for s in (1, 2)] == [1, 1] and L.pick_cut(281_250, 281_249, ALPHA, 20_000, 2) == 1
