@@ -152,3 +152,14 @@ def test_pick_theta_on_a_full_domain(spark, tmp_path):
         df.write.parquet(f"{tmp_path}/{name}.parquet")
     assert V.v2(spark, str(tmp_path))[0].count() == core.M2
     assert sorted(map(tuple, core.QUERIES["pick_theta"](spark, str(tmp_path)).collect())) == [(1, 1), (2, 1)]
+
+
+def test_events_of_all_users(spark, sf, tmp_path):
+    """Larger tables have users beyond the 1,500 that releases state, and hours outside the month."""
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    more = events.selectExpr("event_id + 1000000 AS event_id", "ts - INTERVAL '3' HOUR AS ts", "user_id + 1500 AS user_id", "event_type", "value", "props")
+    events.unionByName(more).write.parquet(f"{tmp_path}/events.parquet")
+    con = connect(sf)
+    con.execute(f"CREATE OR REPLACE VIEW events AS SELECT * FROM read_parquet('{tmp_path}/events.parquet/*.parquet')")
+    for name in ("density_v4", "contingency_v4"):
+        assert difference(core.QUERIES[name](spark, str(tmp_path)), con, core.ORACLE_SQL[name]) == ""
