@@ -165,7 +165,7 @@ def test_events_of_all_users(spark, sf, tmp_path):
         assert difference(core.QUERIES[name](spark, str(tmp_path)), con, core.ORACLE_SQL[name]) == ""
 
 
-READS = ["noise_histogram", "noise_moments"]
+READS = ["noise_histogram", "noise_moments", "keep_chances"]
 
 
 @pytest.mark.parametrize("name", READS)
