@@ -165,7 +165,7 @@ def test_events_of_all_users(spark, sf, tmp_path):
         assert difference(core.QUERIES[name](spark, str(tmp_path)), con, core.ORACLE_SQL[name]) == ""
 
 
-READS = ["noise_histogram", "noise_moments", "keep_chances", "expected_sizes", "dyadic_cover", "ledger_report", "synthetic_workload"]
+READS = ["noise_histogram", "noise_moments", "keep_chances", "expected_sizes", "dyadic_cover", "ledger_report", "synthetic_workload", "synthetic_clustered"]
 
 
 @pytest.mark.parametrize("name", READS)
