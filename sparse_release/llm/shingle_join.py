@@ -2,10 +2,12 @@
 
 Two such sets, each put in one common order, share at least SHARED shingles (or all they share) among their first n - ceil(bound * n) + SHARED; so postings are kept
 of these alone, and only pairs that meet so often are compared. Rare shingles come
-first in the order, by a sample of about SAMPLE texts, which decides costs only. Pairs that meet in a posting list are compared by their whole sets. Lists of over
-CROWD sets are drawn together where they overlap, and each such crowd is compared by counts of common shingles, in pairs of blocks. No cap anywhere.
+first in the order, by a sample of about SAMPLE texts, which decides costs only. Pairs that meet in a posting list are compared by their whole sets. A list of over
+CROWD sets is compared by sketches: parities of the shingles in as many bits as the set has shingles, about. Two sketches differ in no more bits than their sets differ
+in shingles, so a pair with too many different bits is left out without loss; the others are compared by their whole sets, first one for each set, then all that are
+not in one class by then. Only sketches, an eighth of a byte to a quarter for each shingle, are dealt out to the lists; blocks of a list meet in pairs. No cap anywhere.
 
-Candidates that a caller has already (near_dup: of its fingerprints' index) are compared first; pairs and crowds that lie within one class of what these link need no
+Candidates that a caller has already (near_dup: of its fingerprints' index) are compared first; pairs and lists that lie within one class of what these link need no
 comparison any more.
 
 Shingles are 64-bit hashes of runs of `width` words (ASCII letters in lower case); a shorter text is one shingle, a text without words is the empty set, and equal
@@ -26,8 +28,8 @@ from pyspark.sql import functions as F
 from .common import durable, join_unique, partitions, window_hashes, word_hashes, word_spans
 
 SEED, AT_ONCE, SAMPLE, SHARED = 42, 256, 20_000, 4
-#: Sets of a posting list that are paired at once; sets of one block of a crowd; shingles whose counts are added at once.
-CROWD, BLOCK, COLUMNS = 64, 512, 4096
+#: Sets of a posting list that are paired at once; sets of one block of a longer list; pairs that a task hands on at once.
+CROWD, BLOCK, PAIRS = 64, 4096, 65_536
 #: Shingles whose bits are counted at once.
 COUNTED = 1 << 16
 
@@ -103,7 +105,7 @@ def prefix(s: np.ndarray, bound: Fraction, common: tuple[np.ndarray, np.ndarray]
 
 
 def _meetings(bound: Fraction, crowd: int):
-    """Of rows (key, fp, n) sorted by key and fp: pairs (and how often they must meet), and for lists of over `crowd` sets a star that draws them together (need 0)."""
+    """Of rows (key, fp, n) sorted by key and fp: pairs (and how often they must meet), and of lists of over `crowd` sets the rows themselves (key, fp; need 0)."""
     p, q = bound.numerator, bound.denominator
 
     def pairs(key: np.ndarray, fp: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
@@ -111,17 +113,17 @@ def _meetings(bound: Fraction, crowd: int):
             new = np.append(True, (key[1:] != key[:-1]) | (fp[1:] != fp[:-1]))
             key, fp, n = key[new], fp[new], n[new]
         start = np.searchsorted(key, key)
-        size, place = np.searchsorted(key, key, side="right") - start, np.arange(len(key))
-        star = np.flatnonzero((size > crowd) & (place > start))
+        size = np.searchsorted(key, key, side="right") - start
+        listed = np.flatnonzero(size > crowd)
         found, at, step = [], np.flatnonzero((size > 1) & (size <= crowd)), 1
         while len(at := at[at + step < start[at] + size[at]]):
             other = at + step
             ok = q * np.minimum(n[at], n[other]) >= p * np.maximum(n[at], n[other])
             need = np.minimum(SHARED, -(-p * np.maximum(n[at[ok]], n[other[ok]]) // q))
-            found.append((fp[at[ok]], fp[other[ok]], need))
+            found.append((np.minimum(fp[at[ok]], fp[other[ok]]), np.maximum(fp[at[ok]], fp[other[ok]]), need))
             step += 1
-        a, b, need = (np.concatenate([f[k] for f in found] + [x]) for k, x in enumerate((fp[start[star]], fp[star], np.zeros(len(star), np.int64))))
-        return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b)), pa.array(need)], ["a", "b", "need"])
+        a, b, need = (np.concatenate([f[k] for f in found] + [x]) for k, x in enumerate((key[listed], fp[listed], np.zeros(len(listed), np.int64))))
+        return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(need)], ["a", "b", "need"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest = [np.empty(0, np.int64)] * 3
@@ -163,46 +165,76 @@ def _compared(pairs: DataFrame, sets: DataFrame, bound: Fraction) -> DataFrame:
     return met.select("a", "b", "x", "y").mapInArrow(_similar(bound), "a long, b long")
 
 
-def common_counts(sets: list[np.ndarray]) -> np.ndarray:
-    """For each pair of sets, how many shingles both hold."""
-    owner, total = np.repeat(np.arange(len(sets)), [len(s) for s in sets]), np.zeros((len(sets), len(sets)), np.int64)
-    _, code, held = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
-    shared = held > 1
-    place = np.cumsum(shared) - 1
-    owner, code = owner[shared[code]], place[code[shared[code]]]
-    order = np.argsort(code, kind="stable")
-    owner, code = owner[order], code[order]
-    for at in range(0, int(shared.sum()), COLUMNS):
-        some = slice(*np.searchsorted(code, (at, at + COLUMNS)))
-        m = np.zeros((len(sets), COLUMNS), np.float32)
-        m[owner[some], code[some] - at] = 1
-        total += (m @ m.T).astype(np.int64)
-    return total
+def sketch_words(n: int) -> int:
+    """Words of 64 bits of the sketch of a set of n shingles: a power of two, at least three bits for four shingles."""
+    return 1 << max(0, (-(-3 * n // 256) - 1).bit_length())
 
 
-def _crowds(bound: Fraction):
-    """Edges among rows (grp, side, fp, hs) sorted by grp; side 0 throughout: all pairs of the group; else pairs of sides 1 and 2."""
-    from .near_dup import forest
+def sketch(s: np.ndarray) -> np.ndarray:
+    """Bit k tells whether an odd number of the set's shingles have the remainder k."""
+    n = 64 * sketch_words(len(s))
+    odd = np.bincount((s & np.uint64(n - 1)).astype(np.int64), minlength=n) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
 
+
+def _candidates(bound: Fraction, side: np.ndarray, own: np.ndarray, n: np.ndarray, bits: list[np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs (of places) of a list's sets, ordered by size, of different classes (own) whose sizes and sketches allow the bound; side as in near_dup. A second place comes
+    with ever smaller first ones, within one width of sketches."""
     p, q = bound.numerator, bound.denominator
+    words = np.array([len(x) for x in bits])
+    for w in np.unique(words):
+        some = np.flatnonzero((words == w) | (words == 2 * w))  # a set of at most q / p times the size has no longer ones; folded, they are of w words
+        m = np.stack([bits[k] if len(bits[k]) == w else bits[k][:w] ^ bits[k][w:] for k in some])
+        size, c, d = n[some], own[some], side[some]
+        at, step = np.arange(int((words == w).sum())), 1
+        ends = np.searchsorted(size, q * size[at] // p, side="right")
+        while len(at := at[at + step < ends[at]]):
+            other = at + step
+            ok = (c[at] != c[other]) & ((d[at] == 0) | (d[at] != d[other]))
+            x, y = at[ok], other[ok]
+            near = np.zeros(len(x), bool)
+            for k in range(0, len(x), PAIRS // int(w) + 1):
+                some_of = slice(k, k + PAIRS // int(w) + 1)
+                gap = np.bitwise_count(m[x[some_of]] ^ m[y[some_of]]).sum(axis=1, dtype=np.int64)
+                near[some_of] = (p + q) * gap <= (q - p) * (size[x[some_of]] + size[y[some_of]])
+            yield some[x[near]], some[y[near]]
+            step += 1
 
-    def edges(rows: list[tuple]) -> pa.RecordBatch:
-        sets, side, fp = [np.frombuffer(r[3], np.uint64) for r in rows], np.array([r[1] for r in rows]), np.array([r[2] for r in rows], np.int64)
-        both, n = common_counts(sets), np.array([len(s) for s in sets])
-        ok = np.triu(q * both >= p * (n[:, None] + n[None, :] - both), 1) & ((side[:, None] == 0) | (side[:, None] != side[None, :]))
-        a, b = forest(*(fp[k] for k in np.nonzero(ok)))
-        return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+
+def _lists(bound: Fraction, lone: bool):
+    """Candidates among rows (grp, side, fp, own, n, bits) sorted by grp and n: of each set one, with the smallest that it can be alike (lone), or all."""
+
+    def pairs(side: np.ndarray, fp: np.ndarray, own: np.ndarray, n: np.ndarray, bits: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        batch = lambda a, b: pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+        if lone:
+            first = np.full(len(fp), len(fp))
+            for x, y in _candidates(bound, side, own, n, bits):
+                first[y] = np.minimum(first[y], x)
+            y = np.flatnonzero(first < len(fp))
+            yield batch(fp[first[y]], fp[y])
+            return
+        held, count = [], 0
+        for x, y in _candidates(bound, side, own, n, bits):
+            held.append((fp[x], fp[y]))
+            count += len(x)
+            if count >= PAIRS:
+                yield batch(*(np.concatenate([h[k] for h in held]) for k in (0, 1)))
+                held, count = [], 0
+        if count:
+            yield batch(*(np.concatenate([h[k] for h in held]) for k in (0, 1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
+        numbers, bits = [np.empty(0, np.int64)] * 5, []
         for b in batches:
-            for r in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if held and held[0][0] != r[0]:
-                    yield edges(held)
-                    held = []
-                held.append(r)
-        if held:
-            yield edges(held)
+            numbers = [np.concatenate((r, b.column(k).to_numpy())) for k, r in enumerate(numbers)]
+            bits += [x.copy() for x in _binaries(b.column(5))]
+            heads = np.flatnonzero(np.append(True, numbers[0][1:] != numbers[0][:-1])) if len(bits) else []
+            for lo, hi in zip(heads[:-1], heads[1:], strict=True):
+                yield from pairs(*(r[lo:hi] for r in numbers[1:]), bits[lo:hi])
+            if len(heads):  # the last list may go on
+                numbers, bits = [r[heads[-1] :] for r in numbers], bits[heads[-1] :]
+        if bits:
+            yield from pairs(*numbers[1:], bits)
 
     return run
 
@@ -230,34 +262,49 @@ def similar_edges(docs: DataFrame, rows: DataFrame, width: int, similarity: floa
             for _, sets in _read(b, 0, width):
                 yield pa.RecordBatch.from_arrays([_longs([named(s) for s in sets]), pa.array([s.tobytes() for s in sets], pa.binary())], ["f", "hs"])
 
+    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for _, sets in _read(b, 0, width):
+                yield pa.RecordBatch.from_arrays([_longs([named(s) for s in sets]), pa.array([len(s) for s in sets], pa.int64()), pa.array([sketch(s).tobytes() for s in sets], pa.binary())], ["f", "n", "bits"])
+
+    def texts_of(nodes: DataFrame) -> DataFrame:
+        """A text of each set among nodes (node)."""
+        wanted = durable(one.join(nodes.distinct(), F.col("fp") == F.col("node"), "left_semi").select("t"))
+        few = F.broadcast(wanted) if wanted.count() <= 500_000 else wanted  # longs
+        return docs.join(few, F.col("th") == F.col("t"), "left_semi").dropDuplicates(["th"]).select("text")
+
+    def sets_of(pairs: DataFrame) -> DataFrame:
+        return durable(texts_of(pairs.selectExpr("explode(array(a, b)) AS node")).mapInArrow(whole, "f long, hs binary"))
+
+    def classed(rows: DataFrame, column: str, classes: DataFrame, name: str) -> DataFrame:
+        return join_unique(rows, classes.select(F.col("node").alias("c_n"), F.col("root").alias("c_r")), {column: "c_n"}, "left").select(*rows.columns, F.coalesce("c_r", column).alias(name))
+
     postings = docs.select("text").mapInArrow(post, "key long, fp long, n long")
     meetings = postings.repartition(n, "key").sortWithinPartitions("key", "fp").mapInArrow(_meetings(bound, crowd), "a long, b long, need long")
     met = durable(meetings.groupBy("a", "b", "need").count().where("count >= need").drop("count"))
-    apart, stars = met.where("need > 0").select("a", "b"), met.where("need = 0").select("a", "b")
-    pairs = met.select("a", "b") if near is None else met.select("a", "b").unionByName(near)
-    wanted = durable(one.join(pairs.selectExpr("explode(array(a, b)) AS node").distinct(), F.col("fp") == F.col("node"), "left_semi").select("t"))
-    few = F.broadcast(wanted) if wanted.count() <= 500_000 else wanted  # longs
-    sets = durable(docs.join(few, F.col("th") == F.col("t"), "left_semi").dropDuplicates(["th"]).select("text").mapInArrow(whole, "f long, hs binary"))
-    classes = None
+    apart, lists = met.where("need > 0").select("a", "b"), met.where("need = 0").selectExpr("a AS key", "b AS fp")
+    sets = sets_of(apart if near is None else apart.unionByName(near))
     if near is not None:
         near = durable(_compared(near, sets, bound))
         classes = components(near)
-        of = lambda c: classes.select(F.col("node").alias(f"n_{c}"), F.col("root").alias(f"r_{c}"))
-        rooted = join_unique(join_unique(apart, of("a"), {"a": "n_a"}, "left"), of("b"), {"b": "n_b"}, "left")
-        apart = durable(rooted.where("coalesce(r_a, a) != coalesce(r_b, b)").select("a", "b"))
+        apart = durable(classed(classed(apart, "a", classes, "r_a"), "b", classes, "r_b").where("r_a != r_b").select("a", "b"))
     found = _compared(apart, sets, bound)
     if near is not None:
         found = found.unionByName(near)
-    if stars.isEmpty():
+    if lists.isEmpty():
         return found
-    roots = components(stars)
-    in_crowd = durable(roots.unionByName(roots.selectExpr("root AS node", "root").distinct()))
-    if classes is not None:
-        classed = join_unique(in_crowd, classes.selectExpr("node AS n_a", "root AS r_a"), {"node": "n_a"}, "left").selectExpr("node", "root", "coalesce(r_a, node) AS own")
-        several = classed.groupBy("root").agg(F.min("own").alias("low"), F.max("own").alias("high")).where("low != high").selectExpr("root AS r")
-        in_crowd = durable(in_crowd.join(several, F.col("root") == F.col("r"), "left_semi"))
-    sized = in_crowd.join(in_crowd.groupBy("root").count().selectExpr("root AS r", f"CAST(ceil(count / {block}) AS INT) AS blocks"), F.col("root") == F.col("r"))
-    dealt = sized.selectExpr("node", "root", "blocks", "CAST(pmod(xxhash64(node), blocks) AS INT) AS i").selectExpr("node", "root", "i", "explode(sequence(0, blocks - 1)) AS j")
-    parts = dealt.selectExpr("xxhash64(root, least(i, j), greatest(i, j)) AS grp", "CASE WHEN i = j THEN 0 WHEN i < j THEN 1 ELSE 2 END AS side", "node AS fp")
-    held = parts.join(sets, F.col("fp") == F.col("f")).select("grp", "side", "fp", "hs").repartition(n, "grp").sortWithinPartitions("grp")
-    return found.unionByName(held.mapInArrow(_crowds(bound), "a long, b long"))
+    found, sketches = durable(found), None
+    for lone in (True, False):
+        rows = classed(lists, "fp", components(found), "own")
+        several = rows.groupBy("key").agg(F.min("own").alias("low"), F.max("own").alias("high"), F.count(F.lit(1)).alias("count")).where("low != high").selectExpr("key AS k", f"CAST(ceil(count / {block}) AS INT) AS blocks")
+        rows = durable(rows.join(several, F.col("key") == F.col("k")).select("key", "fp", "own", "blocks"))
+        if sketches is None:
+            sketches = durable(texts_of(rows.selectExpr("fp AS node")).mapInArrow(sketched, "f long, n long, bits binary"))
+        dealt = rows.selectExpr("*", "CAST(pmod(xxhash64(fp), blocks) AS INT) AS i").selectExpr("*", "explode(sequence(0, blocks - 1)) AS j")
+        parts = dealt.selectExpr("xxhash64(key, least(i, j), greatest(i, j)) AS grp", "CASE WHEN i = j THEN 0L WHEN i < j THEN 1L ELSE 2L END AS side", "fp", "own")
+        held = parts.join(sketches, F.col("fp") == F.col("f")).select("grp", "side", "fp", "own", "n", "bits").repartition(n, "grp").sortWithinPartitions("grp", "n", "fp")
+        pairs = durable(held.mapInArrow(_lists(bound, lone), "a long, b long").distinct())
+        if pairs.isEmpty():
+            break
+        found = durable(found.unionByName(_compared(pairs, sets_of(pairs), bound)))
+    return found

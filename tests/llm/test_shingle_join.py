@@ -2,6 +2,7 @@
 
 from itertools import combinations
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -99,3 +100,29 @@ def test_few_edges_as_many(spark, monkeypatch):
     few = sorted(map(tuple, near_dup.components(edges).collect()))
     monkeypatch.setattr(near_dup, "HELD", 0)
     assert few and few == sorted(map(tuple, near_dup.components(edges).collect()))
+
+
+def test_long_lists_by_sketches(spark):
+    """Long lists that overlap are compared one by one, by sketches that lose no pair: two never differ in more bits than their sets in shingles."""
+    import random
+
+    r, rows = random.Random(11), []
+    lines = [" ".join(f"l{k}x{j}" for j in range(8)) for k in range(40)]
+    for k in range(39):
+        for _ in range(4):
+            rows.append((len(rows), f"{lines[k]} u{r.random()} {lines[k + 1]}"))
+    rows += [(len(rows) + k, rows[8 * k][1] + " tail") for k in range(10)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    texts = docs.select(F.col("doc_id").alias("id"), "text", F.xxhash64("text").alias("th"))
+    named = shingle_join.names(texts, 5).persist()
+    edges = shingle_join.similar_edges(texts.select("text", "th"), named, 5, 0.8, 3, 8).collect()
+    sets = {i: shingles(t) for i, t in rows}
+    names = {x.id: x.fp for x in named.collect()}
+    alike = {tuple(sorted((names[a], names[b]))) for a, b in combinations(sets, 2) if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]) and names[a] != names[b]}
+    found = {tuple(sorted((e.a, e.b))) for e in edges}
+    stars = [[x.tolist() for x in near_dup.forest(*np.array(sorted(pairs)).T)] for pairs in (found, alike)]
+    assert alike and found <= alike and stars[0] == stars[1]
+    for a, b in combinations(shingle_join.shingle_sets([t for _, t in rows[::7]], 5), 2):
+        x, y = shingle_join.sketch(a), shingle_join.sketch(b)
+        if len(x) == len(y):
+            assert sum(int(k).bit_count() for k in x ^ y) <= len(set(a.tolist()) ^ set(b.tolist()))
