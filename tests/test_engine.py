@@ -177,3 +177,39 @@ def test_reads_its_table(spark, sf, tmp_path, name):
     con.execute(f"CREATE OR REPLACE VIEW {table} AS SELECT * FROM read_parquet('{tmp_path}/{table}.parquet/*.parquet')")
     fewer = core.QUERIES[name](spark, str(tmp_path))
     assert difference(fewer, con, core.ORACLE_SQL[name]) == "" and sorted(map(tuple, fewer.collect())) != whole
+
+
+def test_plain_mechanism_is_not_written_out(spark, monkeypatch):
+    """Answers of the plain mechanism and of the full tree are those of all their noisy rows, and need none of these kept: domains over MATERIALISED_CELLS are answered too."""
+    import numpy as np
+
+    from sparse_release.operators import baselines as B
+    from sparse_release.operators import hierarchy as H
+    from sparse_release.operators import summaries as S
+    from sparse_release.plans import experiments as X
+    from sparse_release.sources.synthetic import range_queries
+
+    m = 9000
+    cells, plan = spark.createDataFrame([(k * k % m, k + 1) for k in range(60)], "cell_id long, v long").dropDuplicates(["cell_id"]).persist(), X._plan(m)
+    joined = spark.range(m).selectExpr("id AS cell_id").join(cells, "cell_id", "left").selectExpr("cell_id", f"coalesce(v, 0) + {plan.noise()} AS value")
+    want = sorted(map(tuple, joined.collect()))
+    assert sorted(map(tuple, S.all_noisy(cells, plan).collect())) == want
+    asked = spark.createDataFrame([(0,), (25,), (4096,), (m - 1,)], "cell_id long")
+    assert sorted(map(tuple, S.noisy_at(cells, plan, asked).collect())) == [w for w in want if w[0] in (0, 25, 4096, m - 1)]
+    q, h = range_queries(spark, m, [1, 50, 5000], 20).persist(), H.height(m)
+    weighted = S.full_geometric(cells, plan).selectExpr("*", "CAST(value AS DOUBLE) AS weight")
+    flat, tree = X._scored("geometric", 0, weighted, cells, q), X._scored("tree", 7, B.full_dyadic(cells, h, plan), cells, q, estimate=lambda t: H.answer_dyadic(t, q, h))
+    monkeypatch.setattr(S, "MATERIALISED_CELLS", 1000)
+    rows = lambda df: sorted(tuple(r)[:-1] for r in df.collect())
+    assert rows(X._scored_plain("geometric", cells, plan, q)) == rows(flat)
+    assert rows(X._scored_tree("tree", 7, cells, h, plan, q)) == rows(tree)
+    assert X.synthetic_data_baseline(cells, 90, 100, 900, [100], 5).count() == 2
+    # the urn's means and spread are those of a multinomial with Dirichlet weights
+    rng, at, v = np.random.default_rng(1), np.array([3]), np.array([6])
+    drawn = np.zeros((4000, 4))
+    for k in range(4000):
+        place, n = B.urn(rng, 10, 2.0, 4, at, v)
+        drawn[k, place] = n
+    a, total = np.array([2.0, 2, 2, 8]), 14.0
+    assert (drawn.sum(axis=1) == 10).all() and np.allclose(drawn.mean(axis=0), 10 * a / total, atol=0.12)
+    assert np.allclose(drawn.var(axis=0), 10 * a / total * (1 - a / total) * (total + 10) / (total + 1), rtol=0.12)
