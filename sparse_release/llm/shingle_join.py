@@ -3,9 +3,12 @@
 Two such sets, each put in one common order, share at least SHARED shingles (or all they share) among their first n - ceil(bound * n) + SHARED; so postings are kept
 of these alone, and only pairs that meet so often are compared. Rare shingles come
 first in the order, by a sample of about SAMPLE texts, which decides costs only. Pairs that meet in a posting list are compared by their whole sets. A list of over
-CROWD sets is compared by sketches: parities of the shingles in as many bits as the set has shingles, about. Two sketches differ in no more bits than their sets differ
-in shingles, so a pair with too many different bits is left out without loss; the others are compared by their whole sets, first one for each set, then all that are
-not in one class by then. Only sketches, an eighth of a byte to a quarter for each shingle, are dealt out to the lists; blocks of a list meet in pairs. No cap anywhere.
+CROWD sets is compared by sketches: parities of the shingles in about FINE times as many bits as the set has shingles. Two sketches differ in no more bits than their sets
+differ in shingles, so a pair with too many different bits, as they are or folded to an eighth, is left out without loss. The others are compared by their whole sets:
+in rounds first, each set and its nearest of another class, so that a round has no more pairs than the lists have rows; once a round links few, all that are not in one
+class by then. Only sketches, a byte to two for each shingle, are dealt out to the lists; blocks of a list meet in pairs. Sets that are alike
+meet in most of their lists, so each comes with the FIRST smallest keys of its long lists: a list hands on no pair that shares a smaller key among these, as that key's list
+has the pair too. No cap anywhere.
 
 Candidates that a caller has already (near_dup: of its fingerprints' index) are compared first; pairs and lists that lie within one class of what these link need no
 comparison any more.
@@ -30,6 +33,8 @@ from .common import durable, join_unique, partitions, window_hashes, word_hashes
 SEED, AT_ONCE, SAMPLE, SHARED = 42, 256, 20_000, 4
 #: Sets of a posting list that are paired at once; sets of one block of a longer list; pairs that a task hands on at once.
 CROWD, BLOCK, PAIRS = 64, 4096, 65_536
+#: Smallest keys of long lists that come with a set; words of a sketch for one of its folded form; links of a round from which another one follows (decides costs only).
+FIRST, FINE, LINKED = 8, 8, 10_000
 #: Shingles whose bits are counted at once.
 COUNTED = 1 << 16
 
@@ -166,8 +171,8 @@ def _compared(pairs: DataFrame, sets: DataFrame, bound: Fraction) -> DataFrame:
 
 
 def sketch_words(n: int) -> int:
-    """Words of 64 bits of the sketch of a set of n shingles: a power of two, at least three bits for four shingles."""
-    return 1 << max(0, (-(-3 * n // 256) - 1).bit_length())
+    """Words of 64 bits of the sketch of a set of n shingles: a power of two, FINE times what gives at least three bits for four shingles."""
+    return FINE << max(0, (-(-3 * n // 256) - 1).bit_length())
 
 
 def sketch(s: np.ndarray) -> np.ndarray:
@@ -177,44 +182,61 @@ def sketch(s: np.ndarray) -> np.ndarray:
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
 
 
-def _candidates(bound: Fraction, side: np.ndarray, own: np.ndarray, n: np.ndarray, bits: list[np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs (of places) of a list's sets, ordered by size, of different classes (own) whose sizes and sketches allow the bound; side as in near_dup. A second place comes
-    with ever smaller first ones, within one width of sketches."""
+def _met_before(key: int, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Which pairs of rows (smallest keys of a set each, none twice) share a key below this one."""
+    return ((x[:, :, None] == y[:, None, :]) & (x < key)[:, :, None]).any(axis=(1, 2))
+
+
+def _candidates(bound: Fraction, key: int, side: np.ndarray, own: np.ndarray, n: np.ndarray, bits: list[np.ndarray], low: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Pairs (of places) of a list's sets, ordered by size, of different classes (own) whose sizes and sketches allow the bound and that share no smaller key (low), and the
+    share of different bits; side as in near_dup. No place comes twice as first, or as second, of the pairs yielded at once."""
     p, q = bound.numerator, bound.denominator
     words = np.array([len(x) for x in bits])
     for w in np.unique(words):
         some = np.flatnonzero((words == w) | (words == 2 * w))  # a set of at most q / p times the size has no longer ones; folded, they are of w words
         m = np.stack([bits[k] if len(bits[k]) == w else bits[k][:w] ^ bits[k][w:] for k in some])
+        folded = np.bitwise_xor.reduce(m.reshape(len(some), FINE, -1), axis=1)
         size, c, d = n[some], own[some], side[some]
+
+        def near(x: np.ndarray, y: np.ndarray, m: np.ndarray, size: np.ndarray = size) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            gap, at_once = np.empty(len(x), np.int64), PAIRS // m.shape[1] + 1
+            for k in range(0, len(x), at_once):
+                gap[k : k + at_once] = np.bitwise_count(m[x[k : k + at_once]] ^ m[y[k : k + at_once]]).sum(axis=1, dtype=np.int64)
+            ok = (p + q) * gap <= (q - p) * (size[x] + size[y])
+            return x[ok], y[ok], gap[ok] / (size[x[ok]] + size[y[ok]])
+
         at, step = np.arange(int((words == w).sum())), 1
         ends = np.searchsorted(size, q * size[at] // p, side="right")
         while len(at := at[at + step < ends[at]]):
             other = at + step
             ok = (c[at] != c[other]) & ((d[at] == 0) | (d[at] != d[other]))
-            x, y = at[ok], other[ok]
-            near = np.zeros(len(x), bool)
-            for k in range(0, len(x), PAIRS // int(w) + 1):
-                some_of = slice(k, k + PAIRS // int(w) + 1)
-                gap = np.bitwise_count(m[x[some_of]] ^ m[y[some_of]]).sum(axis=1, dtype=np.int64)
-                near[some_of] = (p + q) * gap <= (q - p) * (size[x[some_of]] + size[y[some_of]])
-            yield some[x[near]], some[y[near]]
+            x, y, _ = near(at[ok], other[ok], folded)
+            x, y, gap = near(x, y, m)
+            new = ~_met_before(key, low[some[x]], low[some[y]])
+            yield some[x[new]], some[y[new]], gap[new]
             step += 1
 
 
 def _lists(bound: Fraction, lone: bool):
-    """Candidates among rows (grp, side, fp, own, n, bits) sorted by grp and n: of each set one, with the smallest that it can be alike (lone), or all."""
+    """Candidates among rows (grp, side, fp, own, n, key, bits, low) sorted by grp and n: of each set the one with its nearest (lone), or all."""
 
-    def pairs(side: np.ndarray, fp: np.ndarray, own: np.ndarray, n: np.ndarray, bits: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+    def pairs(side: np.ndarray, fp: np.ndarray, own: np.ndarray, n: np.ndarray, key: np.ndarray, bits: list[np.ndarray], low: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         batch = lambda a, b: pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+        lows = np.full((len(low), max(map(len, low))), key[0])  # one that is not below the key counts for nothing
+        for k, x in enumerate(low):
+            lows[k, : len(x)] = x
+        met = _candidates(bound, key[0], side, own, n, bits, lows)
         if lone:
-            first = np.full(len(fp), len(fp))
-            for x, y in _candidates(bound, side, own, n, bits):
-                first[y] = np.minimum(first[y], x)
-            y = np.flatnonzero(first < len(fp))
-            yield batch(fp[first[y]], fp[y])
+            mate, best = np.full(len(fp), -1), np.full(len(fp), np.inf)
+            for x, y, gap in met:
+                for a, b in ((x, y), (y, x)):
+                    less = gap < best[a]
+                    mate[a[less]], best[a[less]] = b[less], gap[less]
+            a = np.flatnonzero(mate >= 0)
+            yield batch(fp[a], fp[mate[a]])
             return
         held, count = [], 0
-        for x, y in _candidates(bound, side, own, n, bits):
+        for x, y, _ in met:
             held.append((fp[x], fp[y]))
             count += len(x)
             if count >= PAIRS:
@@ -224,17 +246,18 @@ def _lists(bound: Fraction, lone: bool):
             yield batch(*(np.concatenate([h[k] for h in held]) for k in (0, 1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        numbers, bits = [np.empty(0, np.int64)] * 5, []
+        numbers, bits, low = [np.empty(0, np.int64)] * 6, [], []
         for b in batches:
             numbers = [np.concatenate((r, b.column(k).to_numpy())) for k, r in enumerate(numbers)]
-            bits += [x.copy() for x in _binaries(b.column(5))]
+            bits += [x.copy() for x in _binaries(b.column(6))]
+            low += [x.astype(np.int64) for x in b.column(7).to_numpy(zero_copy_only=False)]
             heads = np.flatnonzero(np.append(True, numbers[0][1:] != numbers[0][:-1])) if len(bits) else []
             for lo, hi in zip(heads[:-1], heads[1:], strict=True):
-                yield from pairs(*(r[lo:hi] for r in numbers[1:]), bits[lo:hi])
+                yield from pairs(*(r[lo:hi] for r in numbers[1:]), bits[lo:hi], low[lo:hi])
             if len(heads):  # the last list may go on
-                numbers, bits = [r[heads[-1] :] for r in numbers], bits[heads[-1] :]
+                numbers, bits, low = [r[heads[-1] :] for r in numbers], bits[heads[-1] :], low[heads[-1] :]
         if bits:
-            yield from pairs(*numbers[1:], bits)
+            yield from pairs(*numbers[1:], bits, low)
 
     return run
 
@@ -294,17 +317,23 @@ def similar_edges(docs: DataFrame, rows: DataFrame, width: int, similarity: floa
     if lists.isEmpty():
         return found
     found, sketches = durable(found), None
-    for lone in (True, False):
+    lone = True
+    while True:
         rows = classed(lists, "fp", components(found), "own")
         several = rows.groupBy("key").agg(F.min("own").alias("low"), F.max("own").alias("high"), F.count(F.lit(1)).alias("count")).where("low != high").selectExpr("key AS k", f"CAST(ceil(count / {block}) AS INT) AS blocks")
         rows = durable(rows.join(several, F.col("key") == F.col("k")).select("key", "fp", "own", "blocks"))
         if sketches is None:
-            sketches = durable(texts_of(rows.selectExpr("fp AS node")).mapInArrow(sketched, "f long, n long, bits binary"))
+            low = lists.groupBy("fp").agg(F.expr(f"slice(sort_array(collect_list(key)), 1, {FIRST})").alias("low")).withColumnRenamed("fp", "l_f")
+            made = texts_of(rows.selectExpr("fp AS node")).mapInArrow(sketched, "f long, n long, bits binary")
+            sketches = durable(made.join(low, F.col("f") == F.col("l_f")).select("f", "n", "bits", "low"))
         dealt = rows.selectExpr("*", "CAST(pmod(xxhash64(fp), blocks) AS INT) AS i").selectExpr("*", "explode(sequence(0, blocks - 1)) AS j")
-        parts = dealt.selectExpr("xxhash64(key, least(i, j), greatest(i, j)) AS grp", "CASE WHEN i = j THEN 0L WHEN i < j THEN 1L ELSE 2L END AS side", "fp", "own")
-        held = parts.join(sketches, F.col("fp") == F.col("f")).select("grp", "side", "fp", "own", "n", "bits").repartition(n, "grp").sortWithinPartitions("grp", "n", "fp")
+        parts = dealt.selectExpr("xxhash64(key, least(i, j), greatest(i, j)) AS grp", "CASE WHEN i = j THEN 0L WHEN i < j THEN 1L ELSE 2L END AS side", "fp", "own", "key")
+        held = parts.join(sketches, F.col("fp") == F.col("f")).select("grp", "side", "fp", "own", "n", "key", "bits", "low").repartition(n, "grp").sortWithinPartitions("grp", "n", "fp")
         pairs = durable(held.mapInArrow(_lists(bound, lone), "a long, b long").distinct())
         if pairs.isEmpty():
-            break
-        found = durable(found.unionByName(_compared(pairs, sets_of(pairs), bound)))
-    return found
+            return found
+        alike = durable(_compared(pairs, sets_of(pairs), bound))
+        found = found.unionByName(alike)
+        if not lone:
+            return found
+        lone = alike.count() > LINKED

@@ -126,3 +126,39 @@ def test_long_lists_by_sketches(spark):
         x, y = shingle_join.sketch(a), shingle_join.sketch(b)
         if len(x) == len(y):
             assert sum(int(k).bit_count() for k in x ^ y) <= len(set(a.tolist()) ^ set(b.tolist()))
+
+
+@pytest.mark.parametrize("links", [0, 10_000])
+def test_long_lists_hand_on_few_pairs(spark, monkeypatch, tmp_path, links):
+    """Sets of one large group meet in many lists, and most are not quite alike: the lists hand on no pair twice and only pairs at the bound; and no link is lost."""
+    import random
+
+    r, base = random.Random(13), " ".join(f"b{k}" for k in range(100))
+    rows = [(k, " ".join([base, *(f"o{r.random()}" for _ in range(17))])) for k in range(40)]
+    rows += [(len(rows) + k, " ".join([base, *(f"o{r.random()}" for _ in range(8))])) for k in range(12)]
+    made, real = str(tmp_path / "made"), shingle_join._lists  # tasks run on this machine; accumulators do not reach them
+
+    def counted(*args):
+        run = real(*args)
+
+        def go(batches):
+            for b in run(batches):
+                with open(made, "a") as f:
+                    f.write(f"{b.num_rows}\n")
+                yield b
+
+        return go
+
+    monkeypatch.setattr(shingle_join, "_lists", counted)
+    monkeypatch.setattr(shingle_join, "LINKED", links, raising=False)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    texts = docs.select(F.col("doc_id").alias("id"), "text", F.xxhash64("text").alias("th"))
+    named = shingle_join.names(texts, 5).persist()
+    edges = shingle_join.similar_edges(texts.select("text", "th"), named, 5, 0.8, 3, 16)
+    root, least = {e.node: e.root for e in near_dup.components(edges).collect()}, {}
+    for x in named.collect():
+        c = root.get(x.fp, x.fp)
+        least[c] = min(least.get(c, x.id), x.id)
+    assert sorted(least.values()) == kept_by_force(rows) and len(least) < len(rows)
+    with open(made) as f:
+        assert 0 < sum(map(int, f)) <= 40 * 12 + 2 * len(rows)  # those of similarity 0.793, once each
