@@ -29,8 +29,8 @@ from .common import SHORT_WORD, spelled_alike, word_hashes, word_spans
 SEQ_LEN, SHORTEST_TIER = 4096, 512
 #: Tokens packed together, tokens of a step group, words remembered by one worker.
 GROUP_TOKENS, STEP_TOKENS, REMEMBERED = 4_000_000, 65_536, 800_000
-#: Texts that are encoded together.
-TEXTS = 1024
+#: Texts that are encoded together: a worker keeps the memory that so many need at their peak for as long as it lives.
+TEXTS = 256
 
 _PIECE = "{name} {kind}, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long, tier int, step long"
 

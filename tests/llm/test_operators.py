@@ -577,3 +577,26 @@ def test_targets_of_many_sources(spark):
 
 def test_digest_of_empty():
     assert zlib.crc32(b"") == 0 and hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
+
+
+def test_packing_encodes_in_bounded_memory(spark, monkeypatch):
+    """A batch of many texts needs no more memory at its peak than a part of them, beside what is held of their ids."""
+    import tracemalloc
+    from types import SimpleNamespace
+
+    import pyarrow as pa
+
+    from sparse_release.llm.queries import vocabulary
+
+    docs = spark.createDataFrame([(0, "a")], "doc_id long, text string")
+    monkeypatch.setattr(type(docs), "mapInArrow", lambda self, run, schema: run)
+    monkeypatch.setattr(packing, "TaskContext", SimpleNamespace(get=lambda: SimpleNamespace(partitionId=lambda: 0)))
+    run = packing.pack_documents(docs, vocabulary())
+    batch = pa.RecordBatch.from_arrays([pa.array(range(1024)), pa.array([" ".join(f"w{(k * j) % 97}" for j in range(800)) for k in range(1024)])], ["doc_id", "text"])
+    tracemalloc.start()
+    try:
+        pieces = sum(b.num_rows for b in run(iter([batch])))
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert pieces >= 1024 and peak < 70_000_000, peak
