@@ -213,3 +213,37 @@ def test_plain_mechanism_is_not_written_out(spark, monkeypatch):
     a, total = np.array([2.0, 2, 2, 8]), 14.0
     assert (drawn.sum(axis=1) == 10).all() and np.allclose(drawn.mean(axis=0), 10 * a / total, atol=0.12)
     assert np.allclose(drawn.var(axis=0), 10 * a / total * (1 - a / total) * (total + 10) / (total + 1), rtol=0.12)
+
+
+def test_sums_of_large_domains(spark, monkeypatch):
+    """What a dense summary of a large domain adds up to in a block is drawn at once: by moments as the cells one by one, and answers of all methods are as close as theirs."""
+    import numpy as np
+
+    from sparse_release.functions.laws import KeepLaw
+    from sparse_release.operators import summaries as S
+    from sparse_release.plans import experiments as X
+    from sparse_release.sources.synthetic import range_queries
+
+    a, x = 0.9, np.arange(1, 20_000)
+    chance = 2 * (1 - a) / (1 + a) * a ** x.astype(float)
+    for cut, tau in ((None, 0.0), (13, 0.0), (0, 25.3), (6, 7.2), (6, 40.0), (0, 500.5)):
+        law = None if cut is None else KeepLaw(a, cut, tau or 1.0)
+        keep = np.ones(len(x)) if law is None else np.where(x >= law.lo, np.minimum(1, x / tau) if tau else 1.0, 0)
+        w, n = S.weight_sums(np.random.default_rng(1), np.full(40_000, 1000), a, law, tau)
+        variance = 1000 * (chance * keep * np.maximum(x, tau) ** 2).sum()
+        assert abs(w.mean()) < 5 * np.sqrt(variance / 40_000) and abs(w.var() / variance - 1) < 0.05
+        assert (n == 1000).all() if law is None else abs(n.mean() / (1000 * (chance * keep).sum()) - 1) < 0.01
+    m = 100_000_000_000  # drawn cell by cell, this would not end
+    cells = spark.range(3000).selectExpr("id * 33000001 + 5 AS cell_id", "id % 50 + 1 AS v").persist()
+    plan = X._plan(m, eps=1.0)
+    sums = S.empty_sums(cells, plan, 1 << 22).selectExpr("count(*) AS b", "sum(n) AS n", "avg(w) AS w", "variance(w) / avg(n) AS v").first()
+    assert sums.b == (m + (1 << 22) - 1) >> 22 and sums.n == m - 3000 and abs(sums.v / (2 * plan.alpha / (1 - plan.alpha) ** 2) - 1) < 0.05
+    assert sorted(map(tuple, S.empty_sums(cells.repartition(3), plan, 1 << 22).collect())) == sorted(map(tuple, S.empty_sums(cells, plan, 1 << 22).collect()))
+    monkeypatch.setattr(X, "BLOCK", 64)
+    monkeypatch.setattr(X, "DRAWN_CELLS", 1000)
+    small = range_queries(spark, 20_000, [50, 5000], 60).persist()
+    few, plan = cells.where("cell_id < 1").unionByName(spark.range(900).selectExpr("id * 22 AS cell_id", "id % 50 + 1 AS v")), X._plan(20_000, eps=1.0)
+    got = {r.size: r for r in X._scored_plain("geometric", few, plan, small).collect()}
+    assert {r.rows for r in got.values()} == {20_000} and all(r.seconds is None for r in got.values())
+    for size in (50, 5000):
+        assert 0.5 < got[size].abs_error / np.sqrt(size * 2 * plan.alpha / (1 - plan.alpha) ** 2 * 2 / np.pi) < 1.7
