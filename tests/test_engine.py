@@ -247,3 +247,48 @@ def test_sums_of_large_domains(spark, monkeypatch):
     assert {r.rows for r in got.values()} == {20_000} and all(r.seconds is None for r in got.values())
     for size in (50, 5000):
         assert 0.5 < got[size].abs_error / np.sqrt(size * 2 * plan.alpha / (1 - plan.alpha) ** 2 * 2 / np.pi) < 1.7
+
+
+def test_values_without_higher_order_functions(spark):
+    """Magnitudes looked up in batches are those of the SQL, and the plan has no interpreted function."""
+    from sparse_release.functions.laws import KeepLaw
+    from sparse_release.operators import summaries as S
+
+    plan, places = S.Plan(m=1 << 40, eps=0.1), spark.range(3000).selectExpr("id * 7 AS cell_id", "id AS k")
+    for cut, tau in ((13, 1.0), (0, 25.3), (6, 40.5), (0, 90_000.5), (300, 9000.0)):
+        law = KeepLaw(plan.alpha, cut, tau)
+        sign = f"CASE WHEN {plan.u('sign')} < 0.5D THEN -1 ELSE 1 END"
+        got = S.valued(places, law, plan)
+        assert got.columns == ["cell_id", "k", "value"] and "lambda" not in got._jdf.queryExecution().optimizedPlan().toString()
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, places.selectExpr("cell_id", "k", f"CAST({sign} * ({S.magnitude(law, plan)}) AS BIGINT) AS value").collect()))
+
+
+def test_dense_summaries_of_large_domains(spark, monkeypatch):
+    """Dense filters, flat and as hierarchies, are answered without laying them out, as closely as when they are."""
+    from sparse_release.functions.laws import KeepLaw
+    from sparse_release.operators import hierarchy as H
+    from sparse_release.operators import summaries as S
+    from sparse_release.plans import experiments as X
+
+    m = 9000
+    cells = spark.range(900).selectExpr("id * 10 + id % 7 AS cell_id", "id % 90 + 30 AS v").persist()
+    n, total = 900, float(cells.selectExpr("sum(v)").first()[0])
+    by = lambda df: {(r["method"], r["size"]): r for r in df.collect()}
+    flat = lambda: by(X.methods_by_size(cells, m, n, total, n, [1000], filter_cut=13, combined_cut=6, ranges=True, per_size=20))
+    near = lambda a, b: abs(a - b) < 0.1 * b + 60
+    small = flat()
+    trees = by(X.consistency(cells, m, 100, [1000], 300, 40))
+    monkeypatch.setattr(X, "DRAWN_CELLS", 500)
+    large = flat()
+    for name in ("geometric", "filter", "filter_threshold"):
+        a, b = large[name, 1000], small[name, 1000]
+        assert a.seconds is None and b.seconds is not None and near(a.rows, b.rows) and a.abs_error < 2.5 * b.abs_error + 100 and b.abs_error < 2.5 * a.abs_error + 100, name
+    # of a tree, covers and pruned nodes are those of the filter over all its noisy nodes
+    h, plan = H.height(m), X._plan(m)
+    kept = H.hier_release(cells, h, X.replace(plan, route="materialised"), lambda c, p: S.high_pass(c, p, 300)).persist()
+    got, q = by(X.consistency(cells, m, 100, [1000], 300, 40)), X.range_queries(spark, m, [1000], 40)
+    want = X._scored("filter", 300, kept, cells, q, estimate=lambda t: H.answer_dyadic(t, q, h)).first()
+    pruned = X._scored("filter_pruned", 300, H.prune(kept, h), cells, q, estimate=lambda t: H.answer_dyadic(t, q, h)).first()
+    assert got["filter", 1000].abs_error == want.abs_error and near(got["filter", 1000].rows, want.rows) and got["filter", 1000].seconds is None
+    assert (got["filter_pruned", 1000].abs_error, got["filter_pruned", 1000].rows) == (pruned.abs_error, pruned.rows) and set(got) == set(trees)
+    assert KeepLaw(plan.alpha, 13).keep() * m > 500
