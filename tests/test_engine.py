@@ -264,9 +264,10 @@ def test_values_without_higher_order_functions(spark):
 
 
 def test_dense_summaries_of_large_domains(spark, monkeypatch):
-    """Dense filters, flat and as hierarchies, are answered without laying them out, as closely as when they are."""
+    """Dense filters, flat and as hierarchies, and the sketch of all noisy cells are answered without laying them out, as closely as when they are."""
     from sparse_release.functions.laws import KeepLaw
     from sparse_release.operators import hierarchy as H
+    from sparse_release.operators import sketch as K
     from sparse_release.operators import summaries as S
     from sparse_release.plans import experiments as X
 
@@ -291,4 +292,12 @@ def test_dense_summaries_of_large_domains(spark, monkeypatch):
     pruned = X._scored("filter_pruned", 300, H.prune(kept, h), cells, q, estimate=lambda t: H.answer_dyadic(t, q, h)).first()
     assert got["filter", 1000].abs_error == want.abs_error and near(got["filter", 1000].rows, want.rows) and got["filter", 1000].seconds is None
     assert (got["filter_pruned", 1000].abs_error, got["filter_pruned", 1000].rows) == (pruned.abs_error, pruned.rows) and set(got) == set(trees)
+    # the sketch: the same buckets for asked and occupied cells, the noise of all others by their number
+    asked = spark.range(40).selectExpr("id * 3 AS cell_id")
+    sums = K.sketch_of_noisy_sums(cells, X._plan(2_000_000), 800, asked)
+    whole = K.sketch_of_noisy(cells, X._plan(2_000_000), 800, 1)
+    spread = lambda df: df.selectExpr("count(*) AS n", "stddev(v) AS sd").first()
+    a, b = spread(sums), spread(whole)
+    assert a.n == b.n == 800 and 0.85 < a.sd / b.sd < 1.18
+    assert K.sketch_of_noisy_sums(cells, X._plan(2 << 40), 50_000, asked).count() == 50_000
     assert KeepLaw(plan.alpha, 13).keep() * m > 500
