@@ -300,4 +300,7 @@ def test_dense_summaries_of_large_domains(spark, monkeypatch):
     a, b = spread(sums), spread(whole)
     assert a.n == b.n == 800 and 0.85 < a.sd / b.sd < 1.18
     assert K.sketch_of_noisy_sums(cells, X._plan(2 << 40), 50_000, asked).count() == 50_000
+    # rows of a throughput are timed in domains of any size
+    monkeypatch.setattr(S, "MATERIALISED_CELLS", 1000)
+    assert X.throughput(spark, {"v": (cells, m, n)}, only=("geometric", "dyadic_geometric")).count() == 2
     assert KeepLaw(plan.alpha, 13).keep() * m > 500
